@@ -24,9 +24,12 @@ _MIX = np.uint64(0x9E3779B97F4A7C15)
 
 
 def features(text: bytes, ids: WordIds, buckets: int) -> np.ndarray:
-    """Buckets of the words, punctuation runs and pairs of neighbours in a whole text."""
+    """Buckets of the words, punctuation runs and pairs of neighbours in a whole text.
+
+    All pairs of a token with itself are one feature.
+    """
     h = ids.array(_TOKEN.findall(text))
-    pairs = (h[:-1] * _MIX) ^ (h[1:] >> np.uint64(7))
+    pairs = np.where(h[:-1] == h[1:], _MIX, (h[:-1] * _MIX) ^ (h[1:] >> np.uint64(7)))
     return (np.concatenate([h, pairs]) % np.uint64(buckets)).astype(np.int64)
 
 
