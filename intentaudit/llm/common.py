@@ -157,3 +157,17 @@ def take_in_order(df: DataFrame, groups: DataFrame, group: str, place: str, mass
     here = F.struct(F.col(place).alias("p"), F.col(tie).alias("t"))
     inside = F.col("__edge").isNull() | (F.col("__bin") < F.col("__edge")) | ((F.col("__bin") == F.col("__edge")) & F.coalesce(here <= F.col("__last"), F.lit(False)))
     return placed.join(last, group, "left").withColumn("__in", inside).drop("__bin", "__edge", "__before", "__budget", "__last")
+
+
+BROADCAST_ROWS = 1_000_000
+
+
+def sized(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """A narrow frame of identifiers, broadcast if it is counted and found small, else left to shuffle."""
+    return F.broadcast(df) if df.count() <= rows else df
+
+
+def without(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id") -> DataFrame:
+    """The documents whose identifier is not in ``gone`` (one column); all columns stay."""
+    gone = gone.toDF("__gone").distinct()
+    return docs.join(sized(gone), F.col(id_col).eqNullSafe(F.col("__gone")), "left_anti")

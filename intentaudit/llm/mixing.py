@@ -36,7 +36,7 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, cap: in
 
 
 def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_col: str = "source", weight_col: str | None = None, weights: tuple[int, ...] = WEIGHTS, cap: int = CAP, seed: str = SEED) -> DataFrame:
-    """One row per document: doc_id, size, source_size, target, taken.
+    """One row per document: doc_id, size, source_size, target, taken, copies.
 
     ``weight_col`` tilts inclusion within a source. Words come near the target:
     documents are taken in Pareto order while they fit, then the one whose size
@@ -69,7 +69,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
         .agg(F.min_by("__id", F.struct(near.alias("a"), F.col("__place").alias("b"), F.col("__id").alias("c"))).alias("__fill"))
     )
     once = F.when(F.col("__in") | F.coalesce(F.col("__id") == F.col("__fill"), F.lit(False)), 1).otherwise(0)
-    return cut.join(fill, "__key", "left").select("doc_id", "size", "source_size", "target", ((F.col("__whole") + once) * F.col("size")).cast("long").alias("taken"))
+    return cut.join(fill, "__key", "left").select("doc_id", "size", "source_size", "target", ((F.col("__whole") + once) * F.col("size")).cast("long").alias("taken"), (F.col("__whole") + once).cast("int").alias("copies"))
 
 
 ORACLE = r"""

@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import exact_dedup, mixing, near_dedup, packing, quality, secret_scan, toxicity, weighted_sampling
+from . import exact_dedup, line_dedup, mixing, near_dedup, packing, quality, secret_scan, suffix_tree, toxicity, weighted_sampling
 from .common import table
 
 TOKENIZER = "byte_bpe_50k.json"
@@ -40,8 +40,17 @@ def op5_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     return toxicity.score(docs, toxicity.train(docs, table(spark, sf_dir, "labels")))
 
 
+def op6_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    out = line_dedup.drop_repeated_lines(table(spark, sf_dir, "documents").select("doc_id", "text"))
+    return out.select("doc_id", "n_lines", "n_removed", F.sha2(F.coalesce("text", F.lit("")), 256).alias("text_sha256"))
+
+
+def op7_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return suffix_tree.score(table(spark, sf_dir, "documents"))
+
+
 def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents"))
+    return mixing.mix(table(spark, sf_dir, "documents")).drop("copies")
 
 
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -52,5 +61,5 @@ def op10_pack(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(table(spark, sf_dir, "documents"), tokenizer_path())
 
 
-QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_near_dedup, op2_exact_dedup, op3_fingerprint, op4_secrets, op5_toxicity, op8_mix_sources, op9_quality, op10_pack)}
-ORACLES: dict[str, str] = {"op1_near_dedup": near_dedup.ORACLE, "op2_exact_dedup": exact_dedup.ORACLE, "op8_mix_sources": mixing.ORACLE}
+QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {f.__name__: f for f in (op1_near_dedup, op2_exact_dedup, op3_fingerprint, op4_secrets, op5_toxicity, op6_line_dedup, op7_lm_score, op8_mix_sources, op9_quality, op10_pack)}
+ORACLES: dict[str, str] = {"op1_near_dedup": near_dedup.ORACLE, "op2_exact_dedup": exact_dedup.ORACLE, "op6_line_dedup": line_dedup.ORACLE, "op8_mix_sources": mixing.ORACLE}
