@@ -10,6 +10,10 @@ pieces again by (length, rank).
 from __future__ import annotations
 
 import heapq
+import os
+import re
+import struct
+import unicodedata
 import zlib
 from collections import Counter
 
@@ -25,44 +29,64 @@ from .common import map_batches, materialize, text_of
 SPLIT = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
 
 
-class PieceEncoder:
+#: The same split by the standard ``re``, whose \w also holds letter-like and other numbers and whose \s the separators 1C-1F: for texts without those.
+_PLAIN = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d| ?[^\W\d_]+| ?\d+| ?(?:[^\s\w]|_)+|\s+(?!\S)|\s+")
+_CONTROL = "\x1c\x1d\x1e\x1f"
+_ODD = frozenset(_CONTROL) | {c for c in map(chr, range(0x110000)) if unicodedata.category(c) in ("Nl", "No")}
+_ODD_LATIN = [c for c in sorted(_ODD) if c <= "\xff"]
+
+
+def plain_split(text: str) -> bool:
+    """Whether the standard ``re`` splits this text alike."""
+    if text.isascii():
+        return not any(c in text for c in _CONTROL)
+    try:
+        text.encode("latin-1")
+    except UnicodeEncodeError:
+        return _ODD.isdisjoint(text)
+    return not any(c in text for c in _ODD_LATIN)
+
+
+def byte_alphabet() -> dict[int, str]:
+    """Byte to printable character, the byte-level vocabulary's rule: printable bytes stand for themselves, the rest follow from 256 on."""
+    keep = [b for b in range(256) if 33 <= b <= 126 or 161 <= b <= 172 or 174 <= b]
+    rest = [b for b in range(256) if b not in keep]
+    return {b: chr(b) for b in keep} | {b: chr(256 + i) for i, b in enumerate(rest)}
+
+
+class PieceEncoder(dict):
     """Token ids by ``tokenizers``, remembered per pre-token.
 
     A byte-level BPE encodes each pre-token by itself, so ids of a text are
-    the ids of its pre-tokens in order. Unseen pre-tokens go to the library in
-    one batch. Memory is bounded: past ``limit`` entries the store is emptied.
-    Texts holding an added token's string go to the library whole.
+    the ids of its pre-tokens in order; unseen ones go to the library's model.
+    Memory is bounded: past ``limit`` entries the store is emptied. Texts
+    holding an added token's string go to the library whole.
     """
 
     def __init__(self, path: str, limit: int = 600_000):
-        import os
-
+        super().__init__()
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         import regex
         from tokenizers import Tokenizer
 
-        self.tok, self.limit, self.known = Tokenizer.from_file(path), limit, {}
+        self.tok, self.limit, self.alphabet = Tokenizer.from_file(path), limit, byte_alphabet()
+        self.model = self.tok.model
         self.find = regex.compile(SPLIT).findall
         self.added = [t.content for t in self.tok.get_added_tokens_decoder().values()]
 
-    def _bytes(self, ids) -> bytes:
-        return np.asarray(ids, "<u4").tobytes()
+    def __missing__(self, part: str) -> bytes:
+        if len(self) >= self.limit:
+            self.clear()
+        spelled = part.encode().decode("latin-1").translate(self.alphabet)
+        ids = self[part] = struct.pack(f"<{len(t)}I", *(x.id for x in t)) if (t := self.model.tokenize(spelled)) else b""
+        return ids
 
     def __call__(self, text: str) -> bytes:
         """Little-endian unsigned 32-bit ids."""
         if any(a in text for a in self.added):
-            return self._bytes(self.tok.encode(text, add_special_tokens=False).ids)
-        known, parts = self.known, self.find(text)
-        try:
-            return b"".join(map(known.__getitem__, parts))
-        except KeyError:
-            pass
-        if len(known) > self.limit:
-            known.clear()
-        new = list({p for p in parts if p not in known})
-        for p, e in zip(new, self.tok.encode_batch_fast(new, add_special_tokens=False)):
-            known[p] = self._bytes(e.ids)
-        return b"".join(map(known.__getitem__, parts))
+            return np.asarray(self.tok.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
+        find = _PLAIN.findall if plain_split(text) else self.find
+        return b"".join(map(self.__getitem__, find(text)))
 
 
 def pack_histogram(counts: dict[int, int], max_len: int) -> list[tuple[int, list[int]]]:
@@ -82,7 +106,7 @@ def pack_histogram(counts: dict[int, int], max_len: int) -> list[tuple[int, list
         made += 1
 
     for length in sorted(counts, reverse=True):
-        left, grown = counts[length], []
+        left = counts[length]
         while left:
             if heap and heap[0][0] + length <= max_len:
                 fill, key, lengths = heapq.heappop(heap)
@@ -95,7 +119,6 @@ def pack_histogram(counts: dict[int, int], max_len: int) -> list[tuple[int, list
             else:
                 add(length, [length], left)
                 left = 0
-        grown.clear()
     return [(packs[key], lengths) for _, key, lengths in sorted(heap, key=lambda x: x[1])]
 
 
