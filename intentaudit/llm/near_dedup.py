@@ -20,12 +20,14 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordIds, blobs, map_batches, materialize, text_of
+from .common import WordIds, blobs, map_batches, materialize, session, settled, sized, text_of
 
 WIDTH, NUM, DEN = 5, 3, 4  # words in a shingle; the threshold NUM/DEN
 BANDS, ROWS = 32, 4
 BATCH, MISS = 16, 1e-4
-SMALL = 24  # members up to which a bucket's pairs are listed
+HUB = BANDS * ROWS * NUM // DEN  # matches that make a pair likely to reach the threshold
+SMALL = 8  # members up to which a bucket's pairs are listed
+BLOCK = 1024  # documents of a block in the comparison of families
 _A = np.random.Generator(np.random.PCG64(20240229)).integers(1, 2**63, BANDS * ROWS, dtype=np.uint64) | np.uint64(1)
 _B = np.random.Generator(np.random.PCG64(20240301)).integers(0, 2**63, BANDS * ROWS, dtype=np.uint64)
 
@@ -174,10 +176,9 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
             rep = np.repeat(b.column("rep").to_numpy(zero_copy_only=False), BANDS)
             yield pa.record_batch([pa.array(key.ravel().view(np.int64)), pa.array(rep)], ["bucket", "rep"])
 
-    rows = map_batches(one.select("rep", "sig"), bands, "bucket long, rep long")
+    rows = materialize(map_batches(one.select("rep", "sig"), bands, "bucket long, rep long"))
     lead = rows.groupBy("bucket").agg(F.count("*").alias("members"), F.min_by("rep", F.xxhash64("rep", "bucket")).alias("leader")).filter("members > 1")
     shared = materialize(rows.join(lead, "bucket"))
-    seen = shared.filter("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
 
     def prune(batches):
         for b in batches:
@@ -193,10 +194,16 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         sized = pairs.join(sa, "a").join(sb, "b").filter("4 * least(na, nb) >= 3 * greatest(na, nb)")
         return materialize(map_batches(sized.select("a", "b", "sa", "sb"), prune, "a long, b long, matches int"))
 
-    texts = base.join(one.select("rep"), F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "text")
+    def led(members):
+        """Pairs (a, b) of every member with its bucket's leader."""
+        return members.filter("rep <> leader").select(F.least("leader", "rep").alias("a"), F.greatest("leader", "rep").alias("b")).distinct()
 
-    def label(links):
-        return connected(links)
+    # only documents that share a bucket are ever compared by text
+    met = sized(shared.select("rep").distinct())
+    texts = materialize(base.join(met, F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "text").dropDuplicates(["rep"]))
+
+    def components(df, comps):
+        return df.join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
 
     def across(pairs, comps):
         """Pairs whose ends are still in different components."""
@@ -204,25 +211,37 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         cb = comps.select(F.col("node").alias("b"), F.col("component").alias("cb"))
         return pairs.join(ca, "a", "left").join(cb, "b", "left").filter(F.coalesce("ca", "a") != F.coalesce("cb", "b"))
 
-    # one candidate a document first: the most alike
-    alive = survivors(seen)
-    best = alive.groupBy("b").agg(F.max_by("a", F.struct("matches", -F.col("a"))).alias("a"))
+    # leaders by chance first; the members that most leaders are like, the hubs, lead next
+    alive = survivors(led(shared))
+    likely = F.sum(F.when(F.col("matches") >= HUB, 1).otherwise(0))
+    degree = materialize(alive.select("b", "matches").union(alive.select("a", "matches")).groupBy(F.col("b").alias("rep")).agg(likely.alias("degree")))
+    hubs = shared.select("bucket", "rep").join(degree, "rep").groupBy("bucket").agg(F.max_by("rep", F.struct("degree", -F.col("rep"))).alias("leader"))
+    again = led(shared.drop("leader").join(hubs, "bucket")).join(alive.select("a", "b"), ["a", "b"], "left_anti")
+    alive = materialize(alive.union(survivors(again)))
+
+    # one candidate a document: its likeliest hub; then those that still join components
+    ranked = alive.join(degree.toDF("a", "da"), "a", "left").join(degree.toDF("b", "db"), "b", "left").fillna(0, ["da", "db"])
+    ends = ranked.select(F.col("b").alias("x"), F.col("a").alias("y"), F.col("da").alias("d"), "matches").union(ranked.select(F.col("a").alias("x"), F.col("b").alias("y"), F.col("db").alias("d"), "matches"))
+    best = ends.groupBy("x").agg(F.max_by("y", F.struct((F.col("matches") >= HUB).alias("l"), "d", "matches", -F.col("y"))).alias("y")).select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    best = materialize(best)
     links = materialize(_confirm(best, texts, width))
-    comps = materialize(label(links))
+    comps = materialize(connected(links))
     rest = across(alive.join(best, ["a", "b"], "left_anti"), comps).select("a", "b")
     links = materialize(links.union(_confirm(rest, texts, width)))
-    comps = materialize(label(links))
+    comps = materialize(connected(links))
 
     # buckets that still hold several components
-    placed = shared.select("bucket", "rep", "members").join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
+    placed = components(shared.select("bucket", "rep", "members"), comps)
     mixed = placed.groupBy("bucket").agg(F.min("component").alias("lo"), F.max("component").alias("hi")).filter("lo <> hi").select("bucket")
     open_ = materialize(placed.join(mixed, "bucket"))
     few = open_.filter(F.col("members") <= SMALL)
     cross = few.alias("x").join(few.alias("y"), "bucket").filter("x.rep < y.rep and x.component <> y.component").select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
-    many = open_.filter(F.col("members") > SMALL).select("rep", "component").distinct()
-    cross = cross.union(_prefix_pairs(many, texts, width)).distinct().join(alive.select("a", "b"), ["a", "b"], "left_anti")
-    late = _confirm(survivors(cross), texts, width)
-    comps = label(links.union(late))
+    cross = cross.distinct().join(alive.select("a", "b"), ["a", "b"], "left_anti")
+    late = materialize(_confirm(survivors(cross), texts, width))
+    many = open_.filter(F.col("members") > SMALL)
+    if not many.isEmpty():
+        late = late.union(_family_links(many, one, texts, width))
+    comps = connected(links.union(late))
 
     classes = reps.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component_id"))
     linked = full.select("doc_id", "n_shingles", "set_key").join(classes, "set_key").select("doc_id", "n_shingles", "component_id")
@@ -230,29 +249,60 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     return linked.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
 
 
-def _prefix_pairs(members: DataFrame, texts: DataFrame, width: int) -> DataFrame:
-    """All pairs across components that share one of their rarest shingles.
+def _family_links(many: DataFrame, one: DataFrame, texts: DataFrame, width: int) -> DataFrame:
+    """Links (a, b) across components among the members of large open buckets.
 
-    Two sets of similarity >= NUM/DEN share a shingle among the first
-    n - ceil(n*NUM/DEN) + 1 of each in any common order; the order here is
-    rarity among the members, so passages shared by many are last.
+    Members that meet in such buckets form families. A family is dealt by hash
+    into blocks of about BLOCK documents and every two blocks meet in one task, which
+    prunes by signature batches and confirms on full sets; only links leave the
+    task, never the pairs.
     """
-
-    def spread(batches):
+    edges = many.groupBy("bucket").agg(F.min("rep").alias("a")).join(many.select("bucket", F.col("rep").alias("b")), "bucket").select("a", "b").distinct()
+    family = materialize(connected(edges).withColumnRenamed("component", "family"))
+    blocks = settled(family.groupBy("family").agg(F.ceil(F.count("*") / BLOCK).cast("int").alias("blocks")))
+    members = many.select("rep", "component").distinct().join(family.withColumnRenamed("node", "rep"), "rep").join(blocks, "family")
+    members = members.withColumn("own", F.pmod(F.xxhash64("rep"), F.col("blocks")).cast("int")).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)))
+    full = members.join(one.select("rep", "sig"), "rep").join(texts, "rep")
+    dealt = full.select("family", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "rep", "component", "sig", "text")
+
+    def compare(t: pa.Table) -> pa.Table:
+        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
         ids = WordIds()
-        for b in batches:
-            for rep, comp, t in zip(b.column("rep").to_pylist(), b.column("component").to_pylist(), blobs(b.column("text"))):
-                s = shingle_hashes(t, ids, width)
-                yield pa.record_batch([pa.array(np.full(len(s), rep)), pa.array(np.full(len(s), comp)), pa.array(s.view(np.int64))], ["rep", "component", "shingle"])
-
-    rows = map_batches(texts.join(members, "rep"), spread, "rep long, component long, shingle long")
-    from pyspark.sql import Window
-
-    df = rows.groupBy("shingle").agg(F.count("*").alias("df"))
-    own = Window.partitionBy("rep")
-    ranked = rows.join(df, "shingle").withColumn("nth", F.row_number().over(own.orderBy("df", "shingle"))).withColumn("n", F.count("*").over(own))
-    prefix = ranked.filter(F.col("nth") <= F.col("n") - F.ceil(F.col("n") * NUM / DEN) + 1).filter("df > 1").select("shingle", "rep", "component")
-    return prefix.alias("x").join(prefix.alias("y"), "shingle").filter("x.rep < y.rep and x.component <> y.component").select(F.col("x.rep").alias("a"), F.col("y.rep").alias("b"))
+        rep, comp, own, text = t.column("rep").to_numpy(), t.column("component").to_numpy(), t.column("own").to_numpy(), blobs(t.column("text").combine_chunks())
+        sig = np.frombuffer(b"".join(blobs(t.column("sig").combine_chunks())), "<u4").reshape(-1, BANDS * ROWS)
+        sets = [shingle_hashes(x, ids, width) for x in text]
+        n = np.array([len(x) for x in sets])
+        root = {c: c for c in set(comp.tolist())}
+
+        def find(c):
+            while root[c] != c:
+                root[c] = root[root[c]]
+                c = root[c]
+            return c
+
+        links = []
+        left = np.flatnonzero(own == i)
+        right = np.flatnonzero(own == j)
+        for x in left:
+            y = right[rep[right] > rep[x]] if i == j else right
+            y = y[(comp[y] != comp[x]) & (DEN * np.minimum(n[y], n[x]) >= NUM * np.maximum(n[y], n[x]))]
+            done, matches = 0, np.zeros(len(y), np.int32)
+            for upto, least in least_matches():
+                if not len(y):
+                    break
+                matches = matches + (sig[y, done:upto] == sig[x, done:upto]).sum(axis=1, dtype=np.int32)
+                y, matches, done = y[matches >= least], matches[matches >= least], upto
+            for k in y[np.argsort(-matches, kind="stable")]:
+                if find(comp[x]) == find(comp[k]):
+                    continue
+                both = len(np.intersect1d(sets[x], sets[k], assume_unique=True))
+                if DEN * both >= NUM * (n[x] + n[k] - both) and similar(exact_shingles(text[x], width), exact_shingles(text[k], width)):
+                    links.append((min(rep[x], rep[k]), max(rep[x], rep[k])))
+                    root[find(comp[x])] = find(comp[k])
+        return pa.table([pa.array([p[0] for p in links], pa.int64()), pa.array([p[1] for p in links], pa.int64())], ["a", "b"])
+
+    session(dealt)
+    return dealt.groupBy("family", "i", "j").applyInArrow(compare, "a long, b long")
 
 
 ORACLE = r"""
