@@ -145,7 +145,7 @@ def take_in_order(df: DataFrame, groups: DataFrame, group: str, place: str, mass
         .agg(F.min_by(F.struct("__bin", (F.col("__upto") - F.col("__mass")).alias("__before"), "__budget"), "__bin").alias("__cut"))
         .select(group, F.col("__cut.__bin").alias("__edge"), F.col("__cut.__before").alias("__before"), F.col("__cut.__budget").alias("__budget"))
     )
-    placed = binned.join(cut, group, "left")
+    placed = binned.join(settled(cut), group, "left")
     edge = placed.filter(F.col("__bin") == F.col("__edge"))
     upto = Window.partitionBy(group).orderBy(place, tie)
     last = (
@@ -156,7 +156,7 @@ def take_in_order(df: DataFrame, groups: DataFrame, group: str, place: str, mass
     )
     here = F.struct(F.col(place).alias("p"), F.col(tie).alias("t"))
     inside = F.col("__edge").isNull() | (F.col("__bin") < F.col("__edge")) | ((F.col("__bin") == F.col("__edge")) & F.coalesce(here <= F.col("__last"), F.lit(False)))
-    return placed.join(last, group, "left").withColumn("__in", inside).drop("__bin", "__edge", "__before", "__budget", "__last")
+    return placed.join(settled(last), group, "left").withColumn("__in", inside).drop("__bin", "__edge", "__before", "__budget", "__last")
 
 
 BROADCAST_ROWS = 1_000_000
@@ -167,6 +167,11 @@ def sized(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
     return F.broadcast(df) if df.count() <= rows else df
 
 
+def settled(df: DataFrame) -> DataFrame:
+    """A table with one row per group, written down and broadcast where it is small, so that joins with it leave large groups spread."""
+    return sized(materialize(df))
+
+
 def without(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """The documents whose identifier is not in ``gone`` (one column); all columns stay."""
     gone = gone.toDF("__gone").distinct()

@@ -11,7 +11,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import materialize, take_in_order, text_of, uniform, word_count
+from .common import materialize, settled, take_in_order, text_of, uniform, word_count
 
 WEIGHTS, CAP, SEED = (1, 2, 3), 3, "mix"
 
@@ -53,6 +53,7 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
         .withColumn("__key", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("null")))
         .drop("source")
     )
+    plan = settled(plan)
     rows = base.withColumn("__key", F.coalesce(F.concat(F.lit("s"), F.col("source")), F.lit("null"))).drop("source").join(plan, "__key")
     u = uniform(seed, F.col("doc_id"))
     p = F.least(F.greatest((F.col("__ratio") - F.col("__whole")) * F.col("__tilt"), F.lit(1e-9)), F.lit(1 - 1e-9))
@@ -63,13 +64,13 @@ def mix(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", source_
     near = F.abs(F.col("size") - F.col("__gap"))
     fill = (
         cut.filter(~F.col("__in") & (F.col("size") > 0))
-        .join(used, "__key")
+        .join(settled(used), "__key")
         .filter(near < F.col("__gap"))
         .groupBy("__key")
         .agg(F.min_by("__id", F.struct(near.alias("a"), F.col("__place").alias("b"), F.col("__id").alias("c"))).alias("__fill"))
     )
     once = F.when(F.col("__in") | F.coalesce(F.col("__id") == F.col("__fill"), F.lit(False)), 1).otherwise(0)
-    return cut.join(fill, "__key", "left").select("doc_id", "size", "source_size", "target", ((F.col("__whole") + once) * F.col("size")).cast("long").alias("taken"), (F.col("__whole") + once).cast("int").alias("copies"))
+    return cut.join(settled(fill), "__key", "left").select("doc_id", "size", "source_size", "target", ((F.col("__whole") + once) * F.col("size")).cast("long").alias("taken"), (F.col("__whole") + once).cast("int").alias("copies"))
 
 
 ORACLE = r"""
