@@ -43,15 +43,13 @@ def contaminated(docs: DataFrame, bench: DataFrame, n: int = 8) -> DataFrame:
     Word n-grams of both sides meet by hash; the text itself decides. Items
     shorter than n words meet on their first word.
     """
-    def grams(text, width):
-        w = F.split(text, r"[ \n]+")
-        return F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - (width - 1), F.lit(1))), lambda i: F.xxhash64(F.slice(w, i, width))))
-
+    words = docs.select("doc_id", F.explode(F.array(F.split("text", r"[ \n]+"))).alias("w"))
+    grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - (n - 1), F.lit(1))), lambda i: F.xxhash64(F.slice("w", i, n))))
     # an item's inner n-gram is free of the edges that other text may touch
     w = F.split("text", r"[ \n]+")
     key = F.when(F.size(w) >= n + 2, F.xxhash64(F.slice(w, 2, n)))
     long_items = bench.select("item_id", F.col("text").alias("passage"), key.alias("g")).filter("g is not null")
-    pairs = docs.select("doc_id", F.explode(grams(F.col("text"), n)).alias("g")).join(F.broadcast(long_items.select("g", "item_id")), "g").select("doc_id", "item_id").distinct()
+    pairs = words.select("doc_id", F.explode(grams).alias("g")).join(F.broadcast(long_items.select("g", "item_id")), "g").select("doc_id", "item_id").distinct()
     hit = pairs.join(docs.select("doc_id", "text"), "doc_id").join(F.broadcast(long_items.select("item_id", "passage")), "item_id").filter(F.col("text").contains(F.col("passage"))).select("doc_id", "item_id")
     short = bench.filter(F.size(w) < n + 2).select("item_id", F.col("text").alias("passage"))
     return hit.union(docs.join(F.broadcast(short), F.col("text").contains(F.col("passage"))).select("doc_id", "item_id"))

@@ -85,8 +85,9 @@ def complete(prompt: DataFrame, train: DataFrame) -> DataFrame:
 def transition_counts(train: DataFrame, header: str = "intent5") -> DataFrame:
     """Count model: (h, prev2, prev1, next, n) over statements; the end is ''."""
     stm = F.concat(F.array(F.lit("^"), F.lit("^")), F.split("program", "\n"), F.array(F.lit("")))
-    grams = F.transform(F.sequence(F.lit(1), F.size(stm) - 2), lambda i: F.struct(F.element_at(stm, i).alias("prev2"), F.element_at(stm, i + 1).alias("prev1"), F.element_at(stm, i + 2).alias("next")))
-    return train.select(F.col(header).alias("h"), F.explode(grams).alias("g")).groupBy("h", "g.prev2", "g.prev1", "g.next").agg(F.count("*").alias("n"))
+    s = F.col("s")
+    grams = F.transform(F.sequence(F.lit(1), F.size(s) - 2), lambda i: F.struct(F.element_at(s, i).alias("prev2"), F.element_at(s, i + 1).alias("prev1"), F.element_at(s, i + 2).alias("next")))
+    return train.select(F.col(header).alias("h"), F.explode(F.array(stm)).alias("s")).select("h", F.explode(grams).alias("g")).groupBy("h", "g.prev2", "g.prev1", "g.next").agg(F.count("*").alias("n"))
 
 
 def nll(counts: DataFrame, corpus: DataFrame, header: str = "intent5", add: float = 0.5) -> DataFrame:
@@ -99,17 +100,19 @@ def nll(counts: DataFrame, corpus: DataFrame, header: str = "intent5", add: floa
     return j.groupBy("h").agg(F.sum("m").alias("statements"), (F.sum(F.col("m") * lp) / F.sum("m")).alias("nll"))
 
 
-def greedy_decode(counts: DataFrame, starts: DataFrame, cap: int = 24) -> DataFrame:
+def greedy_decode(counts: DataFrame, starts: DataFrame, cap: int = 24, cut=lambda df: df) -> DataFrame:
     """Greedy statement decoding by pointer doubling.
 
     State = (h, prev2, prev1); the successor is the most frequent next statement,
     ties by text. Doubling the successor table log2(cap) times composes up
-    to ``cap`` steps with as many self-joins. ``starts`` has (id, h, prev2, prev1).
+    to ``cap`` steps with as many self-joins; ``cut`` writes the table between
+    doublings. ``starts`` has (id, h, prev2, prev1).
     """
     best = counts.groupBy("h", "prev2", "prev1").agg(F.max_by("next", F.struct("n", "next")).alias("next"))
     step = best.select("h", "prev2", "prev1", F.when(F.col("next") == "", F.array().cast("array<string>")).otherwise(F.array("next")).alias("out"), F.col("prev1").alias("to2"), F.col("next").alias("to1"))
     n = 1
     while n < cap:
+        step = cut(step)
         a, b = step.alias("a"), step.alias("b")
         go = (F.col("a.h") == F.col("b.h")) & (F.col("a.to2") == F.col("b.prev2")) & (F.col("a.to1") == F.col("b.prev1")) & (F.col("a.to1") != "")
         step = a.join(b, go, "left").select(F.col("a.h").alias("h"), F.col("a.prev2").alias("prev2"), F.col("a.prev1").alias("prev1"), F.concat("a.out", F.coalesce("b.out", F.array().cast("array<string>"))).alias("out"), F.coalesce("b.to2", "a.to2").alias("to2"), F.coalesce("b.to1", "a.to1").alias("to1"))

@@ -11,8 +11,8 @@ from ..schema import PRIMARY
 
 def feature_rows(scores: DataFrame) -> DataFrame:
     """One row per wrong-arm output and primary feature that the true intent lacks: named in the header or not, realized or not."""
-    s = scores.filter("arm = 'wrong'").select("model", "form", "seed", "program_id", "ok", F.explode(F.array(*[F.struct(F.lit(n).alias("feature"), (F.col("intent4").bitwiseAND(1 << i) != 0).alias("true"), (F.col("h").bitwiseAND(1 << i) != 0).alias("named"), (F.col("psi5").bitwiseAND(1 << i) != 0).alias("real")) for i, n in enumerate(PRIMARY)])).alias("f"))
-    return s.select("model", "form", "seed", "program_id", "ok", "f.*").filter("not true")
+    s = scores.filter("arm = 'wrong'").select("model", "form", "seed", "program_id", "ok", F.explode(F.array(*[F.struct(F.lit(n).alias("feature"), (F.col("intent4").bitwiseAND(1 << i) != 0).alias("intended"), (F.col("h").bitwiseAND(1 << i) != 0).alias("named"), (F.col("psi5").bitwiseAND(1 << i) != 0).alias("real")) for i, n in enumerate(PRIMARY)])).alias("f"))
+    return s.select("model", "form", "seed", "program_id", "ok", "f.*").filter("not intended")
 
 
 def uptake(scores: DataFrame) -> DataFrame:

@@ -1 +1,250 @@
-ORACLES = {}
+"""DuckDB SQL for the registered queries, on the same tables.
+
+Common table expressions are built here once; each oracle selects from them.
+"""
+
+from __future__ import annotations
+
+from ..functions.tails import ERFC
+from ..schema import FEATURES, PRIMARY, SEEDS
+from ..sources.tables import BLOCK_ORDER, DEPTHS, LOOPS, OFFSETS, OUTLINES
+
+NL = "chr(10)"
+
+
+def _hex(e: str) -> str:
+    return f"(('0x' || substr(md5({e}), 1, 8))::UBIGINT)::BIGINT"
+
+
+def _loop(points) -> str:
+    return f" || {NL} || ".join(f"'{'seg' if i else 'pen'} ' || (s * {x}) || ' ' || (s * {y})" for i, (x, y) in enumerate(points))
+
+
+def _phi(p: str) -> str:
+    num = lambda r, g=1: f"list_transform(regexp_extract_all({p}, '{r}', {g}), lambda v: v::INT)"
+    depth = f"list_max({num('raise ([0-9]{1,8})')})"
+    width = f"list_max(list_concat(list_concat({num('(?:pen|seg) ([0-9]{1,8}) [0-9]{1,8}')}, {num('(?:pen|seg) [0-9]{1,8} ([0-9]{1,8})')}), list_transform({num('disc ([0-9]{1,8})')}, lambda v: 2 * v)))"
+    return (
+        f"(CASE WHEN regexp_matches({p}, 'disc [0-9]+') THEN 1 ELSE 0 END + CASE WHEN regexp_matches({p}, '(seg [0-9]+ [0-9]+\\n){{4,}}shut') THEN 2 ELSE 0 END"
+        f" + CASE WHEN coalesce(10 * {depth} < 3 * {width}, false) THEN 4 ELSE 0 END + CASE WHEN coalesce({depth} > 2 * {width}, false) THEN 8 ELSE 0 END"
+        f" + CASE WHEN len(regexp_extract_all({p}, 'raise [0-9]+')) > 1 THEN 16 ELSE 0 END)::INT"
+    )
+
+
+def _profile(b: str) -> str:
+    return "concat_ws('+', " + ", ".join(f"CASE WHEN ({b} & {1 << i}) <> 0 THEN '{n}' END" for i, n in enumerate(PRIMARY)) + ")"
+
+
+def _psi(n: str, source: str) -> str:
+    """CTEs ending in {n}_psi(program, ok, psi5) for the distinct programs of a source."""
+    num = lambda e: f"CASE WHEN regexp_full_match({e}, '[0-9]{{1,8}}') THEN ({e})::BIGINT END"
+    return f"""
+{n}_st AS (SELECT program, unnest(range(1, len(l) + 1)) AS i, unnest(l) AS s FROM (SELECT program, string_split(program, {NL}) AS l FROM (SELECT DISTINCT program FROM {source}))),
+{n}_bk AS (SELECT program, i, string_split(s, ' ') AS w, coalesce(sum(CASE WHEN split_part(s, ' ', 1) = 'raise' THEN 1 ELSE 0 END) OVER (PARTITION BY program ORDER BY i ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0)::INT AS b FROM {n}_st),
+{n}_g AS (SELECT program, b, list(w ORDER BY i) AS ss FROM {n}_bk GROUP BY 1, 2),
+{n}_k AS (SELECT program, b, ss[1] AS f, ss[len(ss)] AS l, ss[2:len(ss) - 1] AS mid, len(ss) AS n FROM {n}_g),
+{n}_h AS (SELECT *, mid[1:len(mid) - 1] AS lp, n >= 3 AND f[1] = 'sheet' AND len(f) = 2 AND l[1] = 'raise' AND len(l) = 2 AS framed FROM {n}_k),
+{n}_s AS (SELECT program, b, lp, {num('f[2]')} AS x, {num('mid[1][2]')} AS r, {num('l[2]')} AS d,
+  CASE WHEN coalesce(framed AND len(mid) = 1 AND mid[1][1] = 'disc' AND len(mid[1]) = 2, false) THEN 'disc'
+       WHEN coalesce(framed AND len(mid) >= 4 AND mid[1][1] = 'pen' AND len(mid[len(mid)]) = 1 AND mid[len(mid)][1] = 'shut' AND len(list_filter(lp[2:], lambda e: e[1] <> 'seg')) = 0
+            AND len(list_filter(lp, lambda e: NOT (len(e) = 3 AND regexp_full_match(coalesce(e[2], ''), '[0-9]{{1,8}}') AND regexp_full_match(coalesce(e[3], ''), '[0-9]{{1,8}}')))) = 0, false) THEN 'poly' ELSE 'bad' END AS shape FROM {n}_h),
+{n}_u AS (SELECT program, b, unnest(range(0, len(lp))) AS j, len(lp) AS m, unnest(list_transform(lp, lambda e: e[2]::BIGINT)) AS px, unnest(list_transform(lp, lambda e: e[3]::BIGINT)) AS py FROM {n}_s WHERE shape = 'poly'),
+{n}_e AS (SELECT p.program, p.b, p.j, p.px, p.py, q.px AS qx, q.py AS qy, o.px AS ox, o.py AS oy FROM {n}_u p JOIN {n}_u q ON p.program = q.program AND p.b = q.b AND q.j = (p.j + 1) % p.m JOIN {n}_u o ON p.program = o.program AND p.b = o.b AND o.j = (p.j + p.m - 1) % p.m),
+{n}_a AS (SELECT program, b, min(px) AS x0, max(px) AS x1, min(py) AS y0, max(py) AS y1, sum(px * qy - qx * py) AS area, count(*) FILTER ((px - ox) * (qy - oy) - (py - oy) * (qx - ox) <> 0) AS sides FROM {n}_e GROUP BY 1, 2),
+{n}_c AS (SELECT DISTINCT e.program FROM {n}_e e JOIN {n}_e g ON e.program = g.program AND e.b = g.b AND e.j < g.j WHERE
+  sign((e.qx - e.px) * (g.py - e.py) - (e.qy - e.py) * (g.px - e.px)) * sign((e.qx - e.px) * (g.qy - e.py) - (e.qy - e.py) * (g.qx - e.px)) < 0
+  AND sign((g.qx - g.px) * (e.py - g.py) - (g.qy - g.py) * (e.px - g.px)) * sign((g.qx - g.px) * (e.qy - g.py) - (g.qy - g.py) * (e.qx - g.px)) < 0),
+{n}_b AS (SELECT s.program, s.b, shape, d, x + CASE WHEN shape = 'disc' THEN 0 ELSE a.x0 END AS x0, x + CASE WHEN shape = 'disc' THEN 2 * r ELSE a.x1 END AS x1, CASE WHEN shape = 'disc' THEN 0 ELSE a.y0 END AS y0, CASE WHEN shape = 'disc' THEN 2 * r ELSE a.y1 END AS y1, coalesce(sides, 0) AS sides,
+  NOT (shape = 'bad' OR x IS NULL OR d IS NULL OR (shape = 'disc' AND r IS NULL)) AND NOT coalesce(d <= 0 OR (shape = 'disc' AND r <= 0) OR (shape = 'poly' AND area = 0), false) AS good FROM {n}_s s LEFT JOIN {n}_a a ON s.program = a.program AND s.b = a.b),
+{n}_n AS (SELECT *, max(x1) OVER (PARTITION BY program ORDER BY x0, b ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING) AS reach FROM {n}_b),
+{n}_v AS (SELECT n.program, bool_and(good) AND NOT bool_or(c.program IS NOT NULL) AS ok, bool_or(shape = 'disc') AS circle, max(sides) AS sides, max(d) AS dz, greatest(max(x1) - min(x0), max(y1) - min(y0)) AS wide, count(*) FILTER (reach IS NULL OR reach <= x0) AS solids FROM {n}_n n LEFT JOIN {n}_c c ON n.program = c.program GROUP BY 1),
+{n}_psi AS MATERIALIZED (SELECT program, ok, CASE WHEN ok THEN (CASE WHEN circle THEN 1 ELSE 0 END + CASE WHEN sides >= 5 THEN 2 ELSE 0 END + CASE WHEN 10 * dz < 3 * wide THEN 4 ELSE 0 END + CASE WHEN dz > 2 * wide THEN 8 ELSE 0 END + CASE WHEN solids > 1 THEN 16 ELSE 0 END) ELSE 0 END::INT AS psi5 FROM {n}_v)"""
+
+
+_BODY = "CASE edges WHEN 0 THEN 'disc ' || (s * 5) " + " ".join(f"WHEN {n} THEN {_loop(p)} || CASE WHEN closed THEN {NL} || 'shut' ELSE '' END" for n, p in LOOPS.items()) + " END"
+_ROUNDS = 6
+_ALLOC = ",\n".join(
+    ["al0 AS (SELECT profile, pool, NULL::BIGINT AS pin FROM counts)"]
+    + [f"al{i + 1} AS (SELECT profile, pool, coalesce(pin, CASE WHEN pool * ((SELECT (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0))::DOUBLE / sum(pool) FILTER (pin IS NULL) FROM al{i})) < 15 THEN least(15, pool) END) AS pin FROM al{i})" for i in range(_ROUNDS)]
+)
+_GIVEN = ",\n".join(
+    f"rk{s} AS (SELECT program_id, intent5, row_number() OVER (ORDER BY md5('R{s}:' || program_id), program_id) - 1 AS r, count(*) OVER () AS n FROM train),\n"
+    f"gv{s} AS (SELECT a.program_id, a.intent5 AS own, b.intent5 AS given FROM rk{s} a JOIN rk{s} b ON b.r = (a.r + 1) % a.n)"
+    for s in SEEDS
+)
+_CELLS = "(VALUES " + ", ".join(f"('{m}', '{f}', {s})" for s in SEEDS for m, f in (("U", "none"), ("M", "text"), ("M", "token"), ("R", "text"))) + ") c(model, form, seed)"
+_H = "CASE model WHEN 'U' THEN -1 WHEN 'M' THEN intent5 ELSE CASE seed WHEN 0 THEN g0 WHEN 1 THEN g1 ELSE g2 END END"
+_ARMS = "(VALUES ('U','none','uncond'),('M','text','correct'),('M','text','wrong'),('M','text','masked'),('M','token','correct'),('M','token','wrong'),('M','token','masked'),('R','text','correct'),('R','text','wrong')) m(model, form, arm)"
+
+PROGRAMS = f"""
+blk AS (SELECT l_orderkey, l_returnflag, k, edges, w, (w // 10) * kk AS d, CASE WHEN k = 1 THEN 0 ELSE x END AS x, closed, w // 10 AS s FROM (
+  SELECT l_orderkey, l_returnflag, row_number() OVER (PARTITION BY l_orderkey, l_returnflag ORDER BY {', '.join(BLOCK_ORDER)}) AS k,
+    CASE split_part(p_type, ' ', 1) {' '.join(f"WHEN '{k}' THEN {v}" for k, v in OUTLINES.items())} ELSE 4 END AS edges,
+    ((floor((l_quantity - 1) / 10) + 1) * 10)::INT AS w, {list(DEPTHS)}[(round(l_discount * 100) + 1)::INT] AS kk, {list(OFFSETS)}[(l_suppkey % 4 + 1)::INT] AS x, round(l_tax * 100) <> 8 AS closed
+  FROM lineitem JOIN part ON l_partkey = p_partkey) WHERE k <= 3),
+raw AS (SELECT l_orderkey || '-' || l_returnflag AS program_id, l_orderkey, count(*)::INT AS n_blocks, string_agg('sheet ' || x || {NL} || {_BODY} || {NL} || 'raise ' || d, {NL} ORDER BY k) AS program FROM blk GROUP BY l_orderkey, l_returnflag),
+bits AS (SELECT program, {_phi('program')} AS intent5 FROM (SELECT DISTINCT program FROM raw)),
+prog AS MATERIALIZED (SELECT program_id, l_orderkey, n_blocks, program, sha256(program) AS program_sha, CASE WHEN {_hex('l_orderkey::VARCHAR')} % 10 < 8 THEN 'train' ELSE 'held' END AS split, intent5, (intent5 & 15)::INT AS intent4, {_profile('intent5')} AS profile,
+  regexp_replace(regexp_replace(lower(program), 'sheet [0-9]+', 'sheet', 'g'), '[ \t]+', ' ', 'g') AS loose FROM raw JOIN bits USING (program))"""
+
+SAMPLE = f"""{PROGRAMS},
+clean AS (SELECT * FROM prog h WHERE split = 'held' AND NOT EXISTS (SELECT 1 FROM prog t WHERE t.split = 'train' AND t.program = h.program) AND NOT EXISTS (SELECT 1 FROM prog t WHERE t.split = 'train' AND t.loose = h.loose)),
+pool AS MATERIALIZED (SELECT * FROM clean WHERE program_id IN (SELECT min(program_id) FROM clean GROUP BY program) AND intent4 > 0),
+counts AS (SELECT profile, count(*) AS pool FROM pool GROUP BY 1),
+{_ALLOC},
+rate AS (SELECT (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0)) AS left_, (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0))::DOUBLE / sum(pool) FILTER (pin IS NULL) AS r FROM al{_ROUNDS}),
+fl AS (SELECT profile, pool, pin, floor(pool * r)::BIGINT AS whole, pool * r - floor(pool * r) AS frac, left_ FROM al{_ROUNDS}, rate),
+quota AS (SELECT profile, coalesce(pin, whole + CASE WHEN row_number() OVER (PARTITION BY pin IS NULL ORDER BY frac DESC, profile) <= left_ - sum(CASE WHEN pin IS NULL THEN whole END) OVER () THEN 1 ELSE 0 END) AS quota FROM fl),
+sample AS MATERIALIZED (SELECT p.*, substr(program, 1, floor(length(program) * 40 / 100)::INT) AS prefix, sha256(substr(program, 1, floor(length(program) * 40 / 100)::INT)) AS prefix_sha FROM (
+  SELECT *, row_number() OVER (PARTITION BY profile ORDER BY md5('20260805:' || program_id), program_id) AS rn FROM pool) p JOIN quota USING (profile) WHERE rn <= quota)"""
+
+PLAN = """
+hs AS (SELECT max(c) AS g, sum(c)::BIGINT AS n FROM (SELECT count(*) AS c FROM sample GROUP BY intent5)),
+hr AS (SELECT program_id, intent5, row_number() OVER (ORDER BY intent5, md5('plan:' || program_id), program_id) - 1 AS r FROM sample),
+plan AS MATERIALIZED (SELECT a.program_id, a.intent5 AS own, b.intent5 AS given FROM hr a, hs, hr b WHERE b.r = (a.r + g) % n)"""
+
+TRAIN = f"""
+train AS MATERIALIZED (SELECT program_id, program, intent5 FROM prog WHERE split = 'train' AND intent5 > 0),
+{_GIVEN},
+seen AS MATERIALIZED (SELECT t.program_id, t.program, t.intent5, gv0.given AS g0, gv1.given AS g1, gv2.given AS g2 FROM train t JOIN gv0 USING (program_id) JOIN gv1 USING (program_id) JOIN gv2 USING (program_id))"""
+
+
+def _stem(e: str) -> str:
+    return f"array_to_string(string_split({e}, {NL})[1:2], {NL})"
+
+
+SCORES = f"""{SAMPLE}, {PLAN}, {TRAIN},
+pre AS (SELECT DISTINCT prefix FROM sample),
+hit AS (SELECT seen.*, prefix FROM seen JOIN pre ON starts_with(program, prefix)),
+mh AS MATERIALIZED (SELECT model, form, seed, {_H} AS h, md5(seed || ':' || form || ':' || program_id) AS key, program, prefix FROM hit, {_CELLS} WHERE {_hex("seed || ':' || form || ':' || program_id")} % 10 < 8),
+one AS (SELECT model, form, seed, h, prefix, arg_min(program, key) AS p1 FROM mh GROUP BY ALL),
+two AS (SELECT model, form, seed, prefix, arg_min(program, key) AS p2 FROM mh GROUP BY ALL),
+stems AS (SELECT DISTINCT {_stem('prefix')} AS stem FROM sample),
+sh AS (SELECT seen.*, stem FROM (SELECT *, {_stem('program')} AS stem FROM seen) seen JOIN stems USING (stem)),
+three AS (SELECT model, form, seed, stem, arg_min(program, (length(program), md5(seed || ':' || form || ':' || program_id))) AS p3 FROM sh, {_CELLS} WHERE {_hex("seed || ':' || form || ':' || program_id")} % 10 < 8 GROUP BY ALL),
+jobs AS (SELECT s.program_id, s.prefix, {_stem('s.prefix')} AS stem, m.model, m.form, m.arm, d.seed, CASE WHEN m.model = 'U' THEN -1 WHEN m.arm = 'correct' THEN s.intent5 WHEN m.arm = 'wrong' THEN plan.given ELSE 0 END AS h FROM sample s JOIN plan USING (program_id), {_ARMS}, (VALUES (0), (1), (2)) d(seed)),
+gen AS MATERIALIZED (SELECT j.*, CASE WHEN j.h <> 0 AND p1 IS NOT NULL THEN 1 WHEN j.h <> 0 AND p2 IS NOT NULL THEN 2 ELSE 3 END AS level,
+  j.prefix || substr(CASE WHEN j.h <> 0 AND p1 IS NOT NULL THEN p1 WHEN j.h <> 0 AND p2 IS NOT NULL THEN p2 ELSE coalesce(p3, '') END, length(j.prefix) + 1) AS program
+  FROM jobs j LEFT JOIN one ON j.model = one.model AND j.form = one.form AND j.seed = one.seed AND j.h = one.h AND j.prefix = one.prefix LEFT JOIN two ON j.model = two.model AND j.form = two.form AND j.seed = two.seed AND j.prefix = two.prefix LEFT JOIN three ON j.model = three.model AND j.form = three.form AND j.seed = three.seed AND j.stem = three.stem),
+{_psi('gn', 'gen')},
+gphi AS (SELECT program, {_phi('program')} AS phi5 FROM (SELECT DISTINCT program FROM gen)),
+sc AS MATERIALIZED (SELECT g.*, ok, psi5, phi5, s.intent4, s.intent5, s.profile, s.prefix_sha, (6 * bit_count(s.intent4 & psi5) / bit_count(s.intent4))::INT AS adh6, (6 * bit_count(s.intent4 & phi5) / bit_count(s.intent4))::INT AS rec6, CASE WHEN ok THEN (6 * bit_count(s.intent4 & phi5) / bit_count(s.intent4))::INT ELSE 0 END AS gated6
+  FROM gen g JOIN gn_psi USING (program) JOIN gphi USING (program) JOIN sample s ON g.program_id = s.program_id)"""
+
+REFS = f"{SAMPLE}, {_psi('rf', 'sample')}, refs AS (SELECT s.*, ok, psi5, (6 * bit_count(intent4 & psi5) / bit_count(intent4))::INT AS adh6 FROM sample s JOIN rf_psi USING (program))"
+
+
+def _diff(arm: str) -> str:
+    """CTE x(form, seed, program_id, prefix_sha, profile, d, ok)."""
+    return f"x AS (SELECT a.form, a.seed, a.program_id, a.prefix_sha, a.profile, (a.adh6 - b.adh6) / 6.0::DOUBLE AS d, a.ok AND b.ok AS ok FROM sc a JOIN sc b ON b.model = 'U' AND a.seed = b.seed AND a.program_id = b.program_id WHERE a.model = 'M' AND a.arm = '{arm}')"
+
+
+INTER = """x AS (SELECT seed, program_id, prefix_sha, any_value(profile) AS profile, (max(adh6) FILTER (model = 'M' AND arm = 'correct') - max(adh6) FILTER (model = 'M' AND arm = 'wrong')) / 6.0::DOUBLE AS drop_m,
+ (max(adh6) FILTER (model = 'R' AND arm = 'correct') - max(adh6) FILTER (model = 'R' AND arm = 'wrong')) / 6.0::DOUBLE AS drop_r, bool_and(ok) AS ok FROM sc WHERE form = 'text' AND arm IN ('correct', 'wrong') GROUP BY 1, 2, 3),
+y AS (SELECT *, drop_m - drop_r AS d FROM x)"""
+
+
+def _lnup(z: str) -> str:
+    x = f"(abs({z}) / sqrt(2.0::DOUBLE))"
+    t = f"(1.0 / (1.0 + 0.5 * {x}))"
+    poly = "0.0::DOUBLE"
+    for c in reversed(ERFC):
+        poly = f"({poly} * {t} + ({c}))"
+    return f"(ln({t}) - {x} * {x} + {poly} - ln(2.0::DOUBLE))"
+
+
+def _p(z: str, alt: str) -> str:
+    sf = lambda e: f"CASE WHEN {e} >= 0 THEN exp({_lnup(e)}) ELSE 1.0 - exp({_lnup(e)}) END"
+    return sf(z) if alt == "greater" else sf(f"(-{z})") if alt == "less" else f"2.0 * exp({_lnup(z)})"
+
+
+def _LF(e: str) -> str:
+    return f"lgamma({e} + 1)"
+
+
+def _wilcoxon(src: str, cell: str, alt: str, zeros: str = "pratt", tag: str = "t") -> str:
+    """CTEs ending in {tag}(cell, n, n_zero, n_pos, n_neg, mean_d, t_plus, z, p)."""
+    r = "1.0::DOUBLE" if zeros == "sign" else f"(coalesce(sum(c) OVER (PARTITION BY {cell} ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + (c + 1) / 2.0::DOUBLE)"
+    where = "WHERE v > 0" if zeros == "drop" else ""
+    z2 = "1" if zeros == "split" else "0"
+    return f"""
+{tag}_v AS (SELECT {cell}, round(abs(d), 12) AS v, count(*) FILTER (d > 0) AS pos, count(*) FILTER (d < 0) AS neg, count(*) AS c FROM {src} GROUP BY ALL),
+{tag}_r AS (SELECT *, {r} AS r FROM {tag}_v {where}),
+{tag}_a AS (SELECT {cell}, sum(pos * r) + {z2} * sum(CASE WHEN v = 0 THEN c * r ELSE 0 END) / 2 AS t_plus, (sum(CASE WHEN v > 0 THEN c * r ELSE 0 END) + {z2} * sum(CASE WHEN v = 0 THEN c * r ELSE 0 END)) / 2 AS mu, (sum(CASE WHEN v > 0 THEN c * r * r ELSE 0 END) + {z2} * sum(CASE WHEN v = 0 THEN c * r * r ELSE 0 END)) / 4 AS var, sum(CASE WHEN v > 0 THEN c * r * r ELSE 0 END) AS sr2 FROM {tag}_r GROUP BY {cell}),
+{tag}_n AS (SELECT {cell}, sum(c)::BIGINT AS n, sum(CASE WHEN v = 0 THEN c ELSE 0 END)::BIGINT AS n_zero, sum(pos)::BIGINT AS n_pos, sum(neg)::BIGINT AS n_neg, sum(v * (pos - neg)) / sum(c) AS mean_d FROM {tag}_v GROUP BY {cell}),
+{tag}_z AS (SELECT n.*, t_plus, CASE WHEN sr2 > 0 THEN (t_plus - mu) / sqrt(var) END AS z FROM {tag}_n n LEFT JOIN {tag}_a a USING ({cell})),
+{tag} AS (SELECT *, {_p('z', alt)} AS p FROM {tag}_z)"""
+
+
+def _test(pre: str, src: str, cell: str, alt: str) -> str:
+    want = "mean_d > 0" if alt == "greater" else "mean_d < 0" if alt == "less" else "mean_d <> 0"
+    return f"WITH {pre}, {_wilcoxon(src, cell, alt)} SELECT {cell}, n, n_zero, n_pos, n_neg, round(mean_d, 9) AS mean_d, round(t_plus, 9) AS t_plus, round(z, 9) AS z, round(log10(p), 6) AS p, coalesce(p < 0.05, false) AS significant, {want} AS in_direction FROM t"
+
+
+CLUSTER = "y AS (SELECT form, seed, prefix_sha, sum(round(d * 6)) / (6 * count(*)) AS d, count(*) AS members FROM x GROUP BY ALL)"
+_MEAN = "sum(adh6) / (6 * count(*))"
+W = f"{SCORES}, {_diff('wrong')}"
+
+ORACLES = {
+    "corpus_programs": f"WITH {PROGRAMS} SELECT program_id, n_blocks, program_sha, split FROM prog",
+    "phi_bits": f"WITH {PROGRAMS} SELECT program_id, intent5, intent4, profile FROM prog",
+    "psi_bits": f"WITH {PROGRAMS}, {_psi('pp', 'prog')} SELECT sha256(program) AS sha, ok, psi5, regexp_full_match(program, '((sheet|disc|raise) [0-9]+|(pen|seg) [0-9]+ [0-9]+|shut)(\\n((sheet|disc|raise) [0-9]+|(pen|seg) [0-9]+ [0-9]+|shut))*') AND regexp_matches(program, 'raise [0-9]+$') AS valid FROM pp_psi",
+    "dedup_exact": f"WITH {PROGRAMS} SELECT min(program_id) AS program_id, program_sha FROM prog GROUP BY program_sha",
+    "dedup_loose": f"WITH {PROGRAMS} SELECT min(program_id) AS program_id FROM prog GROUP BY loose",
+    "dedup_key_report": f"WITH {PROGRAMS}, q AS (SELECT *, floor(length(program) * 40 / 100)::INT AS c FROM prog), k AS (SELECT 'source' AS key, l_orderkey::VARCHAR AS v FROM q UNION ALL SELECT 'program', program FROM q UNION ALL SELECT 'prefix', substr(program, 1, c) FROM q UNION ALL SELECT 'completion', substr(program, c + 1) FROM q), g AS (SELECT key, v, count(*) AS n FROM k GROUP BY ALL) SELECT key, count(*) FILTER (n > 1) AS clusters, sum(n - 1)::BIGINT AS redundant, max(n) AS largest FROM g GROUP BY key",
+    "leak_filter": f"WITH {SAMPLE} SELECT program_id FROM clean",
+    "contamination": "SELECT doc_id, item_id FROM documents d JOIN benchmark b ON contains(d.text, b.text)",
+    "pool_agree": f"WITH {SAMPLE} SELECT count(*) AS \"both\", 0::BIGINT AS only_a, 0::BIGINT AS only_b FROM pool",
+    "length_profile": f"WITH {PROGRAMS}, q AS (SELECT split, len(regexp_extract_all(program, '[ \\n]')) + 1 AS n FROM prog) SELECT split, count(*) AS n, round(avg(n), 9) AS mean_len, max(n)::INT AS max_len, round(quantile_cont(n, 0.95), 9) AS p95_len, round(avg((n <= 1024)::INT), 9) AS within_cap FROM q GROUP BY split",
+    "profile_counts": f"WITH {SAMPLE} SELECT * FROM counts",
+    "quota_draw": f"WITH {SAMPLE} SELECT program_id, profile, prefix_sha FROM sample",
+    "natural_weights": f"WITH {SAMPLE} SELECT profile, pool, round(pool / (SELECT sum(pool) FROM counts), 9) AS weight FROM counts",
+    "sample_facts": f"WITH {SAMPLE} SELECT count(*) AS n, round(avg(bit_count(intent4)), 9) AS mean_tags, round(avg(((intent4 & 8) <> 0)::INT), 9) AS tall_sample, count(DISTINCT profile) AS profiles, count(DISTINCT prefix_sha) AS distinct_inputs, (SELECT round(avg(((intent4 & 8) <> 0)::INT), 9) FROM pool) AS tall_pool FROM sample",
+    "header_vocab": f"WITH {PROGRAMS}, t AS (SELECT unnest(list_concat(['<WANT>', '</WANT>'], list_filter([{', '.join(f'CASE WHEN (intent5 & {1 << b}) <> 0 THEN $${chr(60)}{n}{chr(62)}$$ END' for n, b, _, _ in FEATURES)}], lambda v: v IS NOT NULL))) AS token FROM prog WHERE intent5 > 0) SELECT token, count(*) AS n FROM t GROUP BY token",
+    "derangement_plan": f"WITH {PROGRAMS}, {TRAIN} SELECT program_id, own, given FROM gv0",
+    "wrong_headers": f"WITH {SAMPLE}, {PLAN} SELECT program_id, own, given FROM plan",
+    "chance_match": f"WITH {PROGRAMS}, {TRAIN} SELECT count(*) AS n, round(avg((own = given)::INT), 9) AS matched, (SELECT round(sum(p * p), 9) FROM (SELECT count(*) / sum(count(*)) OVER () AS p FROM gv0 GROUP BY own)) AS expected FROM gv0",
+    "marginal_identity": f"WITH {PROGRAMS}, {TRAIN} SELECT h, count(*) AS n FROM ((SELECT own AS h FROM gv0 EXCEPT ALL SELECT given FROM gv0) UNION ALL (SELECT given FROM gv0 EXCEPT ALL SELECT own FROM gv0)) GROUP BY h",
+    "retrieved_header": "WITH p AS (SELECT a.vec_id, a.label AS own, b.label AS given, b.vec_id AS other, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 9) AS c FROM embeddings a JOIN embeddings b ON a.vec_id <> b.vec_id WHERE a.vec_id % 50 = 0) SELECT vec_id, own, arg_min(given, (-c, other)) AS given, round(max(c), 6) AS cosine FROM p GROUP BY vec_id, own",
+    "prefix_clusters": f"WITH {SAMPLE} SELECT prefix_sha, count(*) AS members FROM sample GROUP BY 1",
+    "prefix_leakage": f"WITH {SAMPLE}, q AS (SELECT {_phi('prefix')} & intent5 AS b FROM sample) SELECT count(*) AS n, round(avg(((b & 15) <> 0)::INT), 9) AS leak4, round(avg((b <> 0)::INT), 9) AS leak5 FROM q",
+    "cap_calibration": f"WITH {PROGRAMS}, q AS (SELECT len(string_split(substr(program, floor(length(program) * 40 / 100)::INT + 1), {NL})) AS n FROM prog WHERE split = 'train' ORDER BY md5('cap:' || program_id), program_id LIMIT 20) SELECT count(*) AS n, quantile_cont(n, 0.95) AS cap FROM q",
+    "generations": f"WITH {SCORES} SELECT program_id, model, form, arm, seed, h, level, sha256(program) AS sha FROM gen",
+    "score_rows": f"WITH {SCORES} SELECT program_id, model, form, arm, seed, ok, phi5, psi5, adh6, rec6, gated6 FROM sc",
+    "detector_agreement": f"WITH {REFS}, c AS (SELECT feature, ok, (intent5 & bit) <> 0 AS t, (psi5 & bit) <> 0 AS s FROM refs, (VALUES {', '.join(f'($${n}$$, {1 << i})' for i, n in enumerate(PRIMARY))}) f(feature, bit)), r AS (SELECT *, 'all' AS rows FROM c UNION ALL SELECT *, 'runnable' FROM c WHERE ok) SELECT feature, rows, count(*) AS n, round(avg((t = s)::INT), 9) AS agree, count(*) FILTER (t AND s) AS \"both\", count(*) FILTER (t AND NOT s) AS text_only, count(*) FILTER (NOT t AND s) AS solid_only FROM r GROUP BY 1, 2",
+    "reference_self_score": f"WITH {REFS} SELECT count(*) AS n, round({_MEAN}, 9) AS self_score, count(*) FILTER (adh6 = 6) AS \"full\", count(*) FILTER (adh6 > 0 AND adh6 < 6) AS partial, count(*) FILTER (adh6 = 0) AS \"none\", count(*) FILTER (NOT ok) AS not_running FROM refs",
+    "multi_part": f"WITH {SCORES} SELECT model, form, arm, count(*) AS n, count(*) FILTER ((psi5 & 16) <> 0) AS realized FROM sc WHERE ok AND (intent5 & 16) <> 0 GROUP BY 1, 2, 3",
+    "output_identity": f"WITH {SCORES}, p AS (SELECT model, form, seed, program_id, bool_and(ok) AS ok, max(psi5 & 15) FILTER (arm = 'correct') AS c, max(psi5 & 15) FILTER (arm = 'wrong') AS w FROM sc WHERE arm IN ('correct', 'wrong') GROUP BY ALL) SELECT model, form, seed, count(*) AS runnable, count(*) FILTER (c = w) AS same FROM p WHERE ok GROUP BY 1, 2, 3",
+    "arm_levels": f"""WITH {SCORES}, s AS (SELECT model, form, arm, seed, count(*) AS n, count(DISTINCT prefix_sha) AS inputs, sum(adh6) / (6 * count(*)) AS adherence, sum(rec6) / (6 * count(*)) AS regex_recall, sum(gated6) / (6 * count(*)) AS gated_recall, avg(ok::INT) AS executability,
+      sum(bit_count(intent4 & psi5)) AS h, sum(bit_count(psi5 & 15)) AS m, sum(bit_count(intent4)) AS w, avg(((psi5 & 15) = intent4)::INT) AS exact_set, avg(CASE WHEN ok THEN bit_count(psi5 & 15) END) AS features_per_runnable, avg(CASE WHEN ok AND (psi5 & 15) <> 0 THEN bit_count(psi5 & 15) END) AS features_given_any, avg(CASE WHEN ok THEN ((psi5 & 15) = 0)::INT END) AS runnable_without, avg(CASE WHEN ok THEN adh6 / 6.0::DOUBLE END) AS runnable_adherence FROM sc GROUP BY 1, 2, 3, 4)
+      SELECT model, form, arm, sum(n)::BIGINT AS n, max(inputs) AS distinct_inputs, {', '.join(f'round(avg({e}), 9) AS {n}' for n, e in (('adherence', 'adherence'), ('regex_recall', 'regex_recall'), ('gated_recall', 'gated_recall'), ('executability', 'executability'), ('micro_precision', 'h / nullif(m, 0)'), ('micro_recall', 'h / w'), ('micro_f1', '2 * h / nullif(m + w, 0)'), ('exact_set', 'exact_set'), ('features_per_runnable', 'features_per_runnable'), ('features_given_any', 'features_given_any'), ('runnable_without', 'runnable_without'), ('runnable_adherence', 'runnable_adherence')))} FROM s GROUP BY 1, 2, 3""",
+    "recovery": f"WITH {SCORES}, {_psi('rf', 'sample')} SELECT model, form, arm, count(*) AS n, round({_MEAN}, 9) AS adherence, round(avg((adh6 = 6)::INT), 9) AS \"full\" FROM sc WHERE program_id IN (SELECT program_id FROM sample JOIN rf_psi USING (program) WHERE NOT ok) GROUP BY 1, 2, 3",
+    "paired_wilcoxon": _test(W, "x", "form, seed", "less"),
+    "cluster_wilcoxon": _test(f"{W}, {CLUSTER}", "y", "form, seed", "less"),
+    "joint_executable": _test(f"{W}, y AS (SELECT * FROM x WHERE ok)", "y", "form, seed", "less"),
+    "masked_contrast": _test(f"{SCORES}, {_diff('masked')}", "x", "form, seed", "less"),
+    "benefit": _test(f"{SCORES}, {_diff('correct')}", "x", "form, seed", "two-sided"),
+    "zero_handling": f"WITH {W}, {', '.join(_wilcoxon('x', 'form, seed', 'less', z, 't' + z) for z in ('pratt', 'drop', 'split', 'sign'))} " + " UNION ALL ".join(f"SELECT '{z}' AS zeros, form, seed, round(t_plus, 9) AS t_plus, round(z, 9) AS z, round(log10(p), 6) AS p FROM t{z}" for z in ("pratt", "drop", "split", "sign")),
+    "blinded_check": f"WITH {W} SELECT form, seed, count(*) AS pairs, count(*) FILTER (d <> 0) AS nonzero FROM x GROUP BY 1, 2",
+    "profile_reweighting": f"WITH {W}, p AS (SELECT form, profile, count(DISTINCT program_id) AS n, sum(round(d * 6)) / (6 * count(*)) AS effect FROM x GROUP BY 1, 2), q AS (SELECT p.*, pool / (SELECT sum(pool) FROM counts) AS weight FROM p JOIN counts USING (profile)) SELECT form, round(avg(effect) FILTER (n >= 15), 9) AS guardrail, round(avg(effect), 9) AS equal_all, round(sum(effect * weight) / sum(weight), 9) AS \"natural\" FROM q GROUP BY form",
+    "dissociation": f"WITH {SCORES}, {INTER}, {_wilcoxon('y', 'seed', 'greater')}, m AS (SELECT seed, avg(drop_m) AS drop_m, avg(drop_r) AS drop_r, count(*) FILTER (ok) AS n_joint, avg(d) FILTER (ok) AS joint FROM y GROUP BY seed) SELECT seed, n, n - n_zero AS nonzero, n - n_zero < 0.15 * n AS flagged, round(mean_d, 9) AS interaction, round(z, 9) AS z, round(log10(p), 6) AS p, coalesce(p < 0.05, false) AS significant, mean_d > 0 AS in_direction, round(drop_m, 9) AS drop_m, round(drop_r, 9) AS drop_r, n_joint, round(joint, 9) AS joint FROM t JOIN m USING (seed)",
+    "competence_gate": f"WITH {SCORES}, r AS (SELECT seed, sum(adh6) FILTER (arm = 'correct') / (6 * count(*) FILTER (arm = 'correct')) AS c, sum(adh6) FILTER (arm = 'wrong') / (6 * count(*) FILTER (arm = 'wrong')) AS w FROM sc WHERE model = 'R' GROUP BY seed), e AS (SELECT avg(ok::INT) FILTER (model = 'R') AS a, avg(ok::INT) FILTER (model = 'U') AS b FROM sc), k AS (SELECT count(*) FILTER (c >= 0.3 AND w >= 0.3) AS seeds_ok FROM r) SELECT seeds_ok, round(a, 9) AS exec_r, round(b, 9) AS exec_base, seeds_ok >= 2 AND a >= b - 0.1 AS passed FROM k, e",
+    "neither_named": f"WITH {SCORES}, f AS (SELECT w.model, w.form, feature, (w.psi5 & bit) <> 0 AS r, (u.psi5 & bit) <> 0 AS b FROM sc w JOIN sc u ON u.model = 'U' AND u.seed = w.seed AND u.program_id = w.program_id, (VALUES {', '.join(f'($${n}$$, {1 << i})' for i, n in enumerate(PRIMARY))}) f(feature, bit) WHERE w.arm = 'wrong' AND (w.h & bit) = 0 AND (w.intent4 & bit) = 0) SELECT model, form, feature, count(*) AS n, round(avg(r::INT), 9) AS rate, round(avg(b::INT), 9) AS base_rate FROM f GROUP BY 1, 2, 3",
+    "per_profile": f"WITH {SCORES}, t AS (SELECT profile, count(DISTINCT program_id) AS n, {', '.join(f'avg(adh6 / 6.0::DOUBLE) FILTER (model = $${m}$$ AND form = $${f}$$ AND arm = $${a}$$) AS {k}' for k, m, f, a in (('baseline', 'U', 'none', 'uncond'), ('m_correct', 'M', 'text', 'correct'), ('m_wrong', 'M', 'text', 'wrong'), ('r_correct', 'R', 'text', 'correct'), ('r_wrong', 'R', 'text', 'wrong')))} FROM sc GROUP BY profile) SELECT profile, n, {', '.join(f'round({k}, 9) AS {k}' for k in ('baseline', 'm_correct', 'm_wrong', 'r_correct', 'r_wrong'))}, round(m_wrong - baseline, 9) AS wrong_minus_base, round((m_correct - m_wrong) - (r_correct - r_wrong), 9) AS interaction FROM t",
+    "control_offset": f"WITH {SCORES}, b AS (SELECT seed, {_MEAN} AS base FROM sc WHERE model = 'U' GROUP BY seed), l AS (SELECT seed, arm, {_MEAN} AS level FROM sc WHERE model = 'R' GROUP BY seed, arm) SELECT seed, arm, round(level, 9) AS level, round(base, 9) AS base, round(level - base, 9) AS \"offset\" FROM l JOIN b USING (seed)",
+    "metric_shift": f"WITH {SCORES}, m AS (SELECT form, seed, sum(rec6) / (6 * count(*)) AS a, sum(gated6) / (6 * count(*)) AS b, sum(adh6) / (6 * count(*)) AS c FROM sc WHERE arm IN ('uncond', 'correct') AND model IN ('U', 'M') GROUP BY 1, 2), g AS (SELECT m.form, avg(m.a - u.a) AS a, avg(m.b - u.b) AS b, avg(m.c - u.c) AS c FROM m JOIN m u ON u.form = 'none' AND u.seed = m.seed WHERE m.form <> 'none' GROUP BY m.form) SELECT form, round(a, 9) AS gain_text, round(b, 9) AS gain_gated, round(c, 9) AS gain_executed, round(b - a, 9) AS execution_part, round(c - b, 9) AS detector_part FROM g",
+    "regime_defined": f"WITH {SCORES} SELECT model, form, arm, count(DISTINCT (prefix_sha, h)) AS distinct_prompts, round(avg(ok::INT), 9) AS executability, (SELECT max(ok::INT) = 1 FROM sc WHERE model = 'U') AS defined FROM sc GROUP BY 1, 2, 3",
+    "reference_strata": f"WITH {W}, {_psi('rf', 'sample')}, st AS (SELECT program_id, CASE (6 * bit_count(intent4 & psi5) / bit_count(intent4))::INT WHEN 6 THEN 'full' WHEN 0 THEN 'none' ELSE 'partial' END AS stratum FROM sample JOIN rf_psi USING (program)) SELECT form, seed, stratum, count(*) AS n, round(sum(round(d * 6)) / (6 * count(*)), 9) AS effect FROM x JOIN st USING (program_id) GROUP BY 1, 2, 3",
+    "diff_mass_cube": f"WITH {W}, q AS (SELECT form, profile, CASE WHEN d > 0 THEN 'up' WHEN d < 0 THEN 'down' ELSE 'tie' END AS sign, ok::VARCHAR AS runs, d FROM x) SELECT form, profile, sign, runs, count(*) AS n, sum(round(d * 6))::BIGINT AS mass6 FROM q GROUP BY CUBE (form, profile, sign, runs)",
+    "leave_one_profile": _test(f"{SCORES}, {INTER}, f AS (SELECT p.profile AS left_out, y.* FROM y JOIN (SELECT DISTINCT profile FROM y) p ON y.profile <> p.profile)", "f", "left_out, seed", "greater"),
+    "leave_one_feature": _test(f"{SCORES}, {INTER}, f AS (SELECT n AS left_out, y.* FROM y JOIN (VALUES {', '.join(f'($${n}$$)' for n in PRIMARY)}) p(n) ON NOT list_contains(string_split(y.profile, '+'), n))", "f", "left_out, seed", "greater"),
+    "uptake": f"WITH {SCORES}, f AS (SELECT model, form, ok, feature, (h & bit) <> 0 AS named, (psi5 & bit) <> 0 AS real FROM sc, (VALUES {', '.join(f'($${n}$$, {1 << i})' for i, n in enumerate(PRIMARY))}) f(feature, bit) WHERE arm = 'wrong' AND (intent4 & bit) = 0), r AS (SELECT *, 'all' AS rows FROM f UNION ALL SELECT *, 'runnable' FROM f WHERE ok), g AS (SELECT model, form, feature, rows, count(*) FILTER (named) AS n_named, count(*) FILTER (NOT named) AS n_unnamed, count(*) FILTER (named AND real) AS a, count(*) FILTER (NOT named AND real) AS c FROM r GROUP BY 1, 2, 3, 4), k AS (SELECT *, n_named - a AS b, n_unnamed - c AS e, n_named + n_unnamed AS n FROM g) SELECT model, form, feature, rows, n_named, n_unnamed, a, c, round(a / nullif(n_named, 0) - c / nullif(n_unnamed, 0), 9) AS diff, round(log10(least(1.0, list_sum(list_transform(range(0, least(b, c) + 1), lambda i: exp({_LF('n_named')} + {_LF('n_unnamed')} + {_LF('a + c')} + {_LF('b + e')} - {_LF('n')} - {_LF('a + i')} - {_LF('b - i')} - {_LF('c - i')} - {_LF('e + i')}))))), 6) AS p FROM k",
+    "mann_whitney": f"WITH {SCORES}, v AS (SELECT seed, adh6 AS v, count(*) FILTER (model = 'R') AS x, count(*) AS c FROM sc WHERE ok AND ((model = 'R' AND arm = 'correct') OR model = 'U') GROUP BY 1, 2), r AS (SELECT *, coalesce(sum(c) OVER (PARTITION BY seed ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + (c + 1) / 2.0::DOUBLE AS r FROM v), s AS (SELECT seed, sum(x)::BIGINT AS n1, sum(c)::BIGINT AS n, sum(x * r) AS rs, sum(c::DOUBLE * c * c - c) AS ties FROM r GROUP BY seed), u AS (SELECT seed, n1, n - n1 AS n0, rs - n1 * (n1 + 1) / 2 AS u, (rs - n1 * (n1 + 1) / 2 - n1 * (n - n1) / 2.0::DOUBLE) / sqrt(n1 * (n - n1) / 12.0::DOUBLE * ((n + 1) - ties / (n * (n - 1)))) AS z FROM s) SELECT seed, n1, n0, round(u, 9) AS u, round(z, 9) AS z, round(log10({_p('z', 'two-sided')}), 6) AS p FROM u",
+    "rollup_arms": f"WITH {SCORES} SELECT form, arm, seed, count(*) AS n, round({_MEAN}, 9) AS adherence FROM sc GROUP BY ROLLUP (form, arm, seed)",
+    "grouping_sets_profiles": f"WITH {SCORES} SELECT arm, profile, count(*) AS n, round({_MEAN}, 9) AS adherence FROM sc GROUP BY GROUPING SETS ((arm), (profile), (arm, profile), ())",
+    "population_strata": "SELECT r_name, c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY CUBE (r_name, c_mktsegment)",
+    "asof_orders": "WITH o AS (SELECT o_custkey AS key, o_orderdate::TIMESTAMP AS f, max(o_orderkey)::VARCHAR AS artifact FROM orders GROUP BY 1, 2), e AS (SELECT user_id AS key, ts - INTERVAL 27 YEAR AS ts, event_id AS row FROM events) SELECT e.key, e.row, o.artifact FROM e ASOF LEFT JOIN o ON e.key = o.key AND e.ts >= o.f",
+    "interval_pairs": "SELECT p.event_id AS purchase_id, c.event_id AS click_id FROM events p JOIN events c ON p.user_id = c.user_id AND p.event_type = 'purchase' AND c.event_type = 'click' AND p.ts >= c.ts AND p.ts <= c.ts + INTERVAL 1 HOUR",
+    "stream_windows": "SELECT strftime(date_trunc('day', ts), '%Y-%m-%d %H:%M:%S') AS start, CASE event_type WHEN 'click' THEN 'correct' WHEN 'purchase' THEN 'wrong' WHEN 'signup' THEN 'masked' WHEN 'error' THEN 'failed' ELSE 'uncond' END AS arm, count(*) AS n, count(*) FILTER (event_type <> 'error') AS runnable, sum(CASE WHEN event_type = 'error' THEN 0 ELSE least(greatest(floor(coalesce(value, 0) / 20)::INT, 0), 6) END)::BIGINT AS adh6 FROM events GROUP BY 1, 2",
+    "job_manifest": "SELECT model, form, arm, 0.4::DOUBLE AS prefix_frac, seed FROM (SELECT 'M' AS model, form, arm FROM (VALUES ('text'), ('token')) f(form), (VALUES ('correct'), ('wrong'), ('masked')) a(arm) UNION ALL SELECT 'U', 'none', 'uncond'), (VALUES (0), (1), (2)) s(seed)",
+}

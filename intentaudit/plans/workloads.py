@@ -1,12 +1,11 @@
 """The registered queries: each method and experiment on the given tables.
 
-Programs, sample and scores of a directory are shared by the queries of a
-session; they are kept in memory and spilled to disk.
+Programs, sample and scores of a directory are shared by the queries of an
+application; they are written once to the shared folder.
 """
 
 from __future__ import annotations
 
-from pyspark import StorageLevel
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -16,7 +15,8 @@ from ..operators import contrasts as C
 from ..operators import corpus, decisions, generator, pairing, prompts, ranktests, resampling, routing, sampling, scoring
 from ..operators import protocol as P
 
-from ..sources.tables import assemble_histories, programs, table, transpile
+from ..sources.tables import programs, table
+from .scratch import written
 
 _KEPT: dict[tuple, DataFrame] = {}
 
@@ -24,7 +24,7 @@ _KEPT: dict[tuple, DataFrame] = {}
 def _keep(spark: SparkSession, sf_dir: str, name: str, make) -> DataFrame:
     key = (spark.sparkContext.applicationId, sf_dir, name)
     if key not in _KEPT:
-        _KEPT[key] = make().persist(StorageLevel.MEMORY_AND_DISK)
+        _KEPT[key] = written(make())
     return _KEPT[key]
 
 
@@ -205,7 +205,7 @@ def nll(spark, d):
 def decode_greedy(spark, d):
     c = generator.transition_counts(training(spark, d))
     starts = sample(spark, d).select(F.col("program_id").alias("id"), F.col("intent5").alias("h"), F.lit("^").alias("prev2"), F.lit("^").alias("prev1"))
-    return generator.greedy_decode(c, starts)
+    return generator.greedy_decode(c, starts, cut=written)
 
 
 def generations(spark, d):
@@ -247,11 +247,11 @@ def output_identity(spark, d):
 
 
 def paired_wilcoxon(spark, d):
-    return logp(r9(ranktests.wilcoxon(wrong_d(spark, d), ["form", "seed"])))
+    return r9(logp(ranktests.wilcoxon(wrong_d(spark, d), ["form", "seed"])))
 
 
 def cluster_wilcoxon(spark, d):
-    return logp(r9(ranktests.wilcoxon(C.clustered(wrong_d(spark, d)), ["form", "seed"])))
+    return r9(logp(ranktests.wilcoxon(C.clustered(wrong_d(spark, d)), ["form", "seed"])))
 
 
 def zero_handling(spark, d):
@@ -260,7 +260,7 @@ def zero_handling(spark, d):
     out = parts[0]
     for p in parts[1:]:
         out = out.union(p)
-    return logp(r9(out))
+    return r9(logp(out))
 
 
 def sign_flip(spark, d):
@@ -268,7 +268,7 @@ def sign_flip(spark, d):
 
 
 def largest_class(spark, d):
-    return logp(r9(C.largest_class(wrong_d(spark, d))), "p_without")
+    return r9(logp(C.largest_class(wrong_d(spark, d)), "p_without"))
 
 
 def bootstrap_exact(spark, d):
@@ -298,15 +298,15 @@ def profile_reweighting(spark, d):
 
 
 def masked_contrast(spark, d):
-    return logp(r9(ranktests.wilcoxon(C.paired(scores(spark, d), "masked"), ["form", "seed"])))
+    return r9(logp(ranktests.wilcoxon(C.paired(scores(spark, d), "masked"), ["form", "seed"])))
 
 
 def benefit(spark, d):
-    return logp(r9(ranktests.wilcoxon(C.paired(scores(spark, d), "correct"), ["form", "seed"], alternative="two-sided")))
+    return r9(logp(ranktests.wilcoxon(C.paired(scores(spark, d), "correct"), ["form", "seed"], alternative="two-sided")))
 
 
 def joint_executable(spark, d):
-    return logp(r9(ranktests.wilcoxon(wrong_d(spark, d).filter("ok"), ["form", "seed"])))
+    return r9(logp(ranktests.wilcoxon(wrong_d(spark, d).filter("ok"), ["form", "seed"])))
 
 
 def reference_strata(spark, d):
@@ -314,7 +314,7 @@ def reference_strata(spark, d):
 
 
 def dissociation(spark, d):
-    return logp(r9(decisions.dissociation_cells(C.dissociation_rows(scores(spark, d)))))
+    return r9(logp(decisions.dissociation_cells(C.dissociation_rows(scores(spark, d)))))
 
 
 def competence_gate(spark, d):
@@ -327,7 +327,7 @@ def outcome(spark, d):
 
 
 def uptake(spark, d):
-    return logp(r9(routing.uptake(scores(spark, d))))
+    return r9(logp(routing.uptake(scores(spark, d))))
 
 
 def uptake_permutation(spark, d):
@@ -340,15 +340,15 @@ def neither_named(spark, d):
 
 def mann_whitney(spark, d):
     s = scores(spark, d).filter("ok and ((model = 'R' and arm = 'correct') or model = 'U')").withColumn("g", F.when(F.col("model") == "R", 1).otherwise(0))
-    return logp(r9(ranktests.mann_whitney(s, ["seed"], "adh6", "g")))
+    return r9(logp(ranktests.mann_whitney(s, ["seed"], "adh6", "g")))
 
 
 def leave_one_profile(spark, d):
-    return logp(r9(ranktests.wilcoxon(routing.leave_one_out(C.dissociation_rows(scores(spark, d))), ["left_out", "seed"], alternative="greater")))
+    return r9(logp(ranktests.wilcoxon(routing.leave_one_out(C.dissociation_rows(scores(spark, d))), ["left_out", "seed"], alternative="greater")))
 
 
 def leave_one_feature(spark, d):
-    return logp(r9(ranktests.wilcoxon(routing.leave_one_out(C.dissociation_rows(scores(spark, d)), "feature"), ["left_out", "seed"], alternative="greater")))
+    return r9(logp(ranktests.wilcoxon(routing.leave_one_out(C.dissociation_rows(scores(spark, d)), "feature"), ["left_out", "seed"], alternative="greater")))
 
 
 def diff_mass_cube(spark, d):
@@ -398,7 +398,7 @@ def initial_evaluation(spark, d):
     s = prompts.with_prefix(sampling.draw_simple(held, 100, "initial"))
     sc = scoring.score(generator.complete(generator.prompts(s), training(spark, d)), s)
     x = C.paired(sc, "wrong").join(s.select("program_id", "program_sha"), "program_id")
-    return logp(r9(ranktests.wilcoxon(C.clustered(x, "program_sha"), ["form", "seed"])))
+    return r9(logp(ranktests.wilcoxon(C.clustered(x, "program_sha"), ["form", "seed"])))
 
 
 def job_manifest(spark, d):
