@@ -24,37 +24,48 @@ _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
 @functools.cache
-def variates(samples: int = SAMPLES, terms: int = TERMS, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Per (term, sample): gamma(2,1) steps, log of gamma(2,1) and uniform shifts; a fixed table."""
+def variates(samples: int = SAMPLES, terms: int = TERMS, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Per (term, sample): gamma(2,1) step, its inverse, uniform shift, and log gamma(2,1) less the step; a fixed table."""
     rng = np.random.Generator(np.random.PCG64(seed))
     step = rng.gamma(2.0, 1.0, (terms, samples)).astype(np.float32) + np.float32(1e-6)
-    level = np.log(rng.gamma(2.0, 1.0, (terms, samples)) + 1e-12).astype(np.float32)
-    return step, level, rng.random((terms, samples), dtype=np.float32)
+    level = np.log(rng.gamma(2.0, 1.0, (terms, samples)) + 1e-12).astype(np.float32) - step
+    return step, np.float32(1) / step, rng.random((terms, samples), dtype=np.float32), level
 
 
 def weighted_terms(text: bytes, ids: WordIds, terms: int = TERMS) -> tuple[np.ndarray, np.ndarray]:
-    """(term numbers, weights): pairs of neighbours by count, words by root of count."""
+    """(term numbers, weights): words by root of count in the lower half of the numbers, pairs of neighbours by count in the upper half."""
     h = ids.array(text.lower().split())
     if not len(h):
-        return np.zeros(0, np.int64), np.zeros(0)
-    pair = (((h[:-1] * _MULT) ^ (h[1:] + (h[1:] << np.uint64(9)))) * _MULT) >> np.uint64(48)
-    words, n = np.unique((h * _MULT) >> np.uint64(48), return_counts=True)
-    pairs, m = np.unique(pair, return_counts=True)
-    total = np.bincount(np.concatenate([words, pairs]).astype(np.int64) % terms, np.concatenate([np.sqrt(n), m]), terms)
-    at = np.flatnonzero(total)
-    return at, total[at]
+        return np.zeros(0, np.int64), np.zeros(0, np.float32)
+    half = np.uint64(terms // 2)
+    words, n = np.unique(((h * _MULT) >> np.uint64(40)) % half, return_counts=True)
+    pair = (h[:-1] * _MULT) ^ (h[1:] + (h[1:] << np.uint64(9)))
+    pairs, m = np.unique(((pair * _MULT) >> np.uint64(40)) % half + half, return_counts=True)
+    return np.concatenate([words, pairs]).astype(np.int64), np.concatenate([np.sqrt(n), m]).astype(np.float32)
 
 
 def sample_signature(at: np.ndarray, weights: np.ndarray) -> np.ndarray:
     """One 32-bit value per sample; zeros for a text without terms."""
-    if not len(at):
-        return np.zeros(SAMPLES, np.uint32)
-    step, level, shift = (v[at] for v in variates())
-    t = np.floor(np.log(weights).astype(np.float32)[:, None] / step + shift)
-    arrival = level - step * (t - shift) - step
-    k = arrival.argmin(axis=0)
-    chosen = at[k].astype(np.uint64) * _MULT + t[k, np.arange(SAMPLES)].astype(np.int64).view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(1)
-    return ((chosen ^ (chosen >> np.uint64(29))) >> np.uint64(8)).astype(np.uint32) | np.uint32(1)
+    best, key = np.full(SAMPLES, np.inf, np.float32), np.zeros(SAMPLES, np.uint64)
+    step, inverse, shift, level = variates()
+    every, log = np.arange(SAMPLES), np.log(weights)[:, None]
+    for lo in range(0, len(at), 512):  # blocks that stay in the cache
+        k = at[lo : lo + 512]
+        d = shift.take(k, axis=0)
+        t = inverse.take(k, axis=0)
+        t *= log[lo : lo + 512]
+        t += d
+        np.floor(t, out=t)
+        np.subtract(t, d, out=d)
+        d *= step.take(k, axis=0)
+        arrival = np.subtract(level.take(k, axis=0), d, out=d)
+        i = arrival.argmin(axis=0)
+        least = arrival[i, every]
+        new = least < best
+        best[new] = least[new]
+        code = k[i].astype(np.uint64) * _MULT + t[i, every].astype(np.int64).view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(1)
+        key[new] = code[new]
+    return ((key ^ (key >> np.uint64(29))) >> np.uint64(8)).astype(np.uint32) | np.uint32(1) if len(at) else np.zeros(SAMPLES, np.uint32)
 
 
 def fingerprint(text: bytes, ids: WordIds) -> np.ndarray:
