@@ -103,7 +103,8 @@ def in_order_with_next(docs: DataFrame, id_col: str, text_col: str) -> DataFrame
     n = max(2, 2 * int(spark.conf.get("spark.sql.shuffle.partitions")))
     cuts = base.approxQuantile("__k", [i / n for i in range(1, n)], 0.2 / n)  # n numbers
     edges = [float("-inf"), *sorted(set(cuts)), float("inf")]
-    binned = Bucketizer(splits=edges, inputCol="__k", outputCol="__b").transform(base).withColumn("bin", -F.col("__b").cast("int")).drop("__b")
+    placed = Bucketizer(splits=edges, inputCol="__k", outputCol="__b").transform(base) if len(edges) > 2 else base.withColumn("__b", F.lit(0))
+    binned = placed.withColumn("bin", -F.col("__b").cast("int")).drop("__b")
     heads = sorted((r["bin"], r["k"]) for r in binned.groupBy("bin").agg(F.max(F.coalesce("doc_id", F.lit(-(2**63)))).alias("k")).collect())  # a row per bin
     if not heads:
         return binned.select("bin", F.lit(0).alias("carried"), "doc_id", "text")
