@@ -240,7 +240,7 @@ ORACLES = {
     "leave_one_feature": _test(f"{SCORES}, {INTER}, f AS (SELECT n AS left_out, y.* FROM y JOIN (VALUES {', '.join(f'($${n}$$)' for n in PRIMARY)}) p(n) ON NOT list_contains(string_split(y.profile, '+'), n))", "f", "left_out, seed", "greater"),
     "uptake": f"WITH {SCORES}, f AS (SELECT model, form, ok, feature, (h & bit) <> 0 AS named, (psi5 & bit) <> 0 AS real FROM sc, (VALUES {', '.join(f'($${n}$$, {1 << i})' for i, n in enumerate(PRIMARY))}) f(feature, bit) WHERE arm = 'wrong' AND (intent4 & bit) = 0), r AS (SELECT *, 'all' AS rows FROM f UNION ALL SELECT *, 'runnable' FROM f WHERE ok), g AS (SELECT model, form, feature, rows, count(*) FILTER (named) AS n_named, count(*) FILTER (NOT named) AS n_unnamed, count(*) FILTER (named AND real) AS a, count(*) FILTER (NOT named AND real) AS c FROM r GROUP BY 1, 2, 3, 4), k AS (SELECT *, n_named - a AS b, n_unnamed - c AS e, n_named + n_unnamed AS n FROM g) SELECT model, form, feature, rows, n_named, n_unnamed, a, c, round(a / nullif(n_named, 0) - c / nullif(n_unnamed, 0), 9) AS diff, round(log10(least(1.0, list_sum(list_transform(range(0, least(b, c) + 1), lambda i: exp({_LF('n_named')} + {_LF('n_unnamed')} + {_LF('a + c')} + {_LF('b + e')} - {_LF('n')} - {_LF('a + i')} - {_LF('b - i')} - {_LF('c - i')} - {_LF('e + i')}))))), 6) AS p FROM k",
     "mann_whitney": f"WITH {SCORES}, v AS (SELECT seed, adh6 AS v, count(*) FILTER (model = 'R') AS x, count(*) AS c FROM sc WHERE ok AND ((model = 'R' AND arm = 'correct') OR model = 'U') GROUP BY 1, 2), r AS (SELECT *, coalesce(sum(c) OVER (PARTITION BY seed ORDER BY v ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING), 0) + (c + 1) / 2.0::DOUBLE AS r FROM v), s AS (SELECT seed, sum(x)::BIGINT AS n1, sum(c)::BIGINT AS n, sum(x * r) AS rs, sum(c::DOUBLE * c * c - c) AS ties FROM r GROUP BY seed), u AS (SELECT seed, n1, n - n1 AS n0, rs - n1 * (n1 + 1) / 2 AS u, (rs - n1 * (n1 + 1) / 2 - n1 * (n - n1) / 2.0::DOUBLE) / sqrt(n1 * (n - n1) / 12.0::DOUBLE * ((n + 1) - ties / (n * (n - 1)))) AS z FROM s) SELECT seed, n1, n0, round(u, 9) AS u, round(z, 9) AS z, round(log10({_p('z', 'two-sided')}), 6) AS p FROM u",
-    "rollup_arms": f"WITH {SCORES} SELECT form, arm, seed, count(*) AS n, round({_MEAN}, 9) AS adherence FROM sc GROUP BY ROLLUP (form, arm, seed)",
+    "rollup_arms": f"WITH {SCORES} SELECT coalesce(form, 'all') AS form, coalesce(arm, 'all') AS arm, coalesce(seed::VARCHAR, 'all') AS seed, count(*) AS n, round({_MEAN}, 9) AS adherence FROM sc GROUP BY ROLLUP (form, arm, seed)",
     "grouping_sets_profiles": f"WITH {SCORES} SELECT arm, profile, count(*) AS n, round({_MEAN}, 9) AS adherence FROM sc GROUP BY GROUPING SETS ((arm), (profile), (arm, profile), ())",
     "population_strata": "SELECT r_name, c_mktsegment, count(*) AS n FROM customer JOIN nation ON c_nationkey = n_nationkey JOIN region ON n_regionkey = r_regionkey GROUP BY CUBE (r_name, c_mktsegment)",
     "asof_orders": "WITH o AS (SELECT o_custkey AS key, o_orderdate::TIMESTAMP AS f, max(o_orderkey)::VARCHAR AS artifact FROM orders GROUP BY 1, 2), e AS (SELECT user_id AS key, ts - INTERVAL 27 YEAR AS ts, event_id AS row FROM events) SELECT e.key, e.row, o.artifact FROM e ASOF LEFT JOIN o ON e.key = o.key AND e.ts >= o.f",

@@ -454,7 +454,7 @@ def asof_orders(spark, d):
 
 def interval_pairs(spark, d):
     """Purchases within an hour after a click of the same user, by hour buckets and an equi-join."""
-    e = table(spark, d, "events").select("event_id", "user_id", "event_type", "ts", F.unix_micros("ts").alias("u"))
+    e = table(spark, d, "events").select("event_id", "user_id", "event_type", "ts", F.unix_micros(F.col("ts").cast("timestamp")).alias("u"))
     hour = 3_600_000_000
     c = e.filter("event_type = 'click'").select(F.col("event_id").alias("click_id"), "user_id", F.col("u").alias("cu"), F.explode(F.array(F.floor(F.col("u") / hour), F.floor(F.col("u") / hour) + 1)).alias("b"))
     p = e.filter("event_type = 'purchase'").select(F.col("event_id").alias("purchase_id"), "user_id", "u", F.floor(F.col("u") / hour).alias("b"))
@@ -462,7 +462,8 @@ def interval_pairs(spark, d):
 
 
 def rollup_arms(spark, d):
-    return r9(scores(spark, d).rollup("form", "arm", "seed").agg(F.count("*").alias("n"), (F.sum("adh6") / (6 * F.count("*"))).alias("adherence")))
+    t = scores(spark, d).withColumn("seed", F.col("seed").cast("string")).rollup("form", "arm", "seed").agg(F.count("*").alias("n"), (F.sum("adh6") / (6 * F.count("*"))).alias("adherence"))
+    return r9(t.fillna("all", ["form", "arm", "seed"]))
 
 
 def grouping_sets_profiles(spark, d):
