@@ -30,9 +30,19 @@ _IDS = WordIds()
 END = _IDS[b"\n"]  # no word holds a line feed
 
 
-def tokens(text: bytes, ids: WordIds) -> np.ndarray:
-    """Word hashes (A-Z lowered), then the end."""
-    return ids.array([*text.lower().split(), b"\n"])
+def tokens(texts: list[bytes], ids: WordIds) -> tuple[np.ndarray, np.ndarray]:
+    """Word hashes (A-Z lowered) of the texts, each followed by the end, and where each text starts."""
+    words, starts = [], []
+    for t in texts:
+        starts.append(len(words))
+        words += t.lower().split()
+        words.append(b"\n")
+    return ids.array(words), np.array(starts, np.int64)
+
+
+def place_in_text(n: int, starts: np.ndarray) -> np.ndarray:
+    """Number of tokens before each token in its own text."""
+    return np.arange(n) - np.repeat(starts, np.diff(np.append(starts, n)))
 
 
 class _Counts:
@@ -67,13 +77,13 @@ def _emit(counts: _Counts, size: int = 100_000):
 
 
 def _count(texts: DataFrame, codes_of) -> DataFrame:
-    """(code, n) summed over all texts; each task sends one row per code. ``codes_of`` maps token hashes to codes."""
+    """(code, n) summed over all texts; each task sends one row per code. ``codes_of`` maps token hashes and their places to codes."""
 
     def run(batches):
         ids, total = WordIds(), _Counts()
         for b in batches:
-            for t in blobs(b.column("text")):
-                total.add(codes_of(tokens(t, ids)))
+            h, starts = tokens(blobs(b.column("text")), ids)
+            total.add(codes_of(h, place_in_text(len(h), starts)))
         yield from _emit(total)
 
     return map_batches(texts.select("text"), run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
@@ -105,31 +115,28 @@ class SuffixTree:
     def root(self, c: np.ndarray) -> np.ndarray:
         return np.log10((c + ADD) / (self.words + ADD * (self.distinct + 1)))
 
-    def score(self, h: np.ndarray, base: np.ndarray) -> float:
-        """Log10 probability of the tokens h, whose unigram scores are base."""
+    def score(self, h: np.ndarray, starts: np.ndarray, base: np.ndarray) -> np.ndarray:
+        """Log10 probability of each text, given all their token hashes and unigram scores."""
         p, lp, w = _place(self.frequent, h), base.copy(), self.width
-        before = np.full(len(h), -1, np.int64)
-        for depth in range(len(self.codes)):
-            # contexts of depth+1 words, as place of the older * width + place of the newer
-            ctx = np.full(len(h), -1, np.int64)
-            if depth == 0:
-                ctx[1:] = p[:-1]
-            else:
-                ctx[2:] = p[:-2] * w + p[1:-1]
-                ctx[2:][(p[:-2] == w - 1) | (p[1:-1] == w - 1)] = -1
-            at = np.searchsorted(self.contexts[depth], ctx)
-            at[at == len(self.contexts[depth])] = 0
-            hit = (self.contexts[depth][at] == ctx) & (ctx >= 0) if len(self.contexts[depth]) else np.zeros(len(h), bool)
-            if not hit.any():
+        place = place_in_text(len(h), starts)
+        for depth, contexts in enumerate(self.contexts):
+            if not len(contexts):
                 continue
-            i = np.flatnonzero(hit)
-            code = at[i] * w + p[i]
-            k = np.searchsorted(self.codes[depth], code)
-            k[k == len(self.codes[depth])] = 0
-            stored = (self.codes[depth][k] == code) & (p[i] < w - 1) if len(self.codes[depth]) else np.zeros(len(i), bool)
-            lp[i] = np.where(stored, self.logp[depth][k] if len(self.codes[depth]) else 0.0, lp[i] + self.backoff[depth][at[i]])
-            before[i] = depth
-        return float(lp.sum())
+            # contexts of depth+1 words: the place of the older * width + the place of the newer
+            i = np.flatnonzero((place > depth) & (np.concatenate([[w], p[:-1]]) < w - 1))
+            ctx = p[i - 1] if depth == 0 else np.where(p[i - 2] < w - 1, p[i - 2] * w + p[i - 1], -1)
+            at = np.searchsorted(contexts, ctx)
+            at[at == len(contexts)] = 0
+            hit = contexts[at] == ctx
+            i, at = i[hit], at[hit]
+            new = lp[i] + self.backoff[depth][at]
+            if len(self.codes[depth]):
+                code = at * w + p[i]
+                k = np.searchsorted(self.codes[depth], code)
+                k[k == len(self.codes[depth])] = 0
+                new = np.where((self.codes[depth][k] == code) & (p[i] < w - 1), self.logp[depth][k], new)
+            lp[i] = new
+        return np.add.reduceat(lp, starts)
 
 
 def _retain(counts: DataFrame, width: int, parent: DataFrame, parent_key, least: float, gain: float):
@@ -142,7 +149,7 @@ def _retain(counts: DataFrame, width: int, parent: DataFrame, parent_key, least:
     total = counts.groupBy("ctx").agg(F.sum("n").alias("total"), F.count("*").alias("kinds"))
     joined = counts.join(total, "ctx").withColumn("pk", parent_key).join(parent, ["pk", "x"])
     div = joined.groupBy("ctx").agg(F.sum(F.col("n") * F.ln(F.col("n") / F.col("total") / F.col("p"))).alias("div"), F.first("total").alias("total"), F.first("kinds").alias("kinds"))
-    keep = div.filter((F.col("div") >= gain * F.col("total")) & (2 * F.col("div") > F.col("kinds") + 4 * F.sqrt(2.0 * F.col("kinds"))) & (F.col("kinds") > 1)).select("ctx")
+    keep = div.filter((F.col("div") >= gain * F.col("total")) & (2 * F.col("div") > F.col("kinds") + 4 * F.sqrt(2.0 * F.col("kinds")))).select("ctx")
     kept = joined.join(keep, "ctx", "left_semi")
     stored = kept.filter((F.col("n") >= F.greatest(F.lit(2.0), least * F.col("total"))) & (F.col("x") < width - 1)).select("ctx", "x", "n", "total", "kinds", "p")
     return kept.select("ctx", "total", "kinds").distinct().toArrow(), stored.toArrow()
@@ -152,7 +159,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", share:
     """The tree and the unigram table (code, n), from documents of folds other than 0."""
     spark = docs.sparkSession
     train = docs.filter(fold(F.col(id_col), FOLDS) != 0).select(text_of(text_col).cast("binary").alias("text"))
-    unigrams = materialize(_count(train, lambda h: h))
+    unigrams = materialize(_count(train, lambda h, _: h))
     n, v = unigrams.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).collect()[0]
     top = unigrams.filter(F.col("n") >= max(2.0, share * n)).toArrow()  # at most 1/share rows
     words = top.column("code").to_numpy().view(np.uint64)
@@ -165,10 +172,10 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", share:
     end = int(np.searchsorted(frequent, np.uint64(END)))
     end = end if end < len(frequent) and frequent[end] == np.uint64(END) else -1
 
-    def pairs(h):
+    def pairs(h, at):
         p = _place(frequent, h)
         s, x = p[:-1], p[1:]
-        ok = s < w - 1
+        ok = (s < w - 1) & (at[1:] >= 1)
         return (s[ok] * w + x[ok]).astype(np.uint64)
 
     split = lambda df: df.select(F.floor(F.col("code") / w).cast("long").alias("ctx"), (F.col("code") % w).alias("x"), "n")
@@ -182,10 +189,10 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", share:
     if pair_rows.num_rows:
         allowed = np.sort(pair_rows.column("ctx").to_numpy() * w + pair_rows.column("x").to_numpy())
 
-        def triples(h):
+        def triples(h, place):
             p = _place(frequent, h)
             ctx = p[:-2] * w + p[1:-1]
-            ok = (p[:-2] < w - 1) & (p[1:-1] < w - 1)
+            ok = (p[:-2] < w - 1) & (p[1:-1] < w - 1) & (place[2:] >= 2)
             ctx, x = ctx[ok], p[2:][ok]
             at = np.searchsorted(allowed, ctx)
             at[at == len(allowed)] = 0
@@ -250,8 +257,9 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
         """The words of the chunks that this task got, once each."""
         ids, asked = WordIds(), {}
         for b in batches:
-            for c, t in zip(b.column("chunk").to_pylist(), blobs(b.column("text"))):
-                asked.setdefault(c, _Counts()).add(tokens(t, ids))
+            chunk, texts = b.column("chunk").to_numpy(), blobs(b.column("text"))
+            for c in np.unique(chunk).tolist():
+                asked.setdefault(c, _Counts()).add(tokens([texts[i] for i in np.flatnonzero(chunk == c)], ids)[0])
         for c, counts in asked.items():
             for out in _emit(counts):
                 yield pa.record_batch([pa.array(np.full(out.num_rows, c, np.int32)), out.column("code")], ["chunk", "code"])
@@ -262,12 +270,12 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
         order = np.argsort(codes)
         codes, n = codes[order], words.column("n").to_numpy()[order].astype(float)
         logs = model.root(n)
-        rows = []
-        for t in texts.column("text").to_pylist():
-            h = tokens(t or b"", ids)
+        every, rows = [t or b"" for t in texts.column("text").to_pylist()], []
+        for lo in range(0, len(every), 256):
+            h, starts = tokens(every[lo : lo + 256], ids)
             at = np.searchsorted(codes, h)
             lp = logs[at]
-            rows.append((len(h), int((n[at] > 0).sum()), float(lp.sum()), model.score(h, lp)))
+            rows += zip(np.diff(np.append(starts, len(h))), np.add.reduceat((n[at] > 0).astype(np.int64), starts), np.add.reduceat(lp, starts), model.score(h, starts, lp))
         c = list(zip(*rows))
         return pa.table([texts.column("doc_id"), texts.column("held_out"), pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array([model.words] * len(rows), pa.int64()), pa.array(c[2], pa.float64()), pa.array(c[3], pa.float64())], ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
