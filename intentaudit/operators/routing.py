@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions.tails import fisher_greater
@@ -37,31 +37,49 @@ def compress(scores: DataFrame) -> DataFrame:
     return scores.filter("arm = 'wrong'").groupBy("model", "form", "seed", F.col("h").bitwiseAND(15).alias("h"), "intent4", F.col("psi5").bitwiseAND(15).alias("psi4")).agg(F.count("*").alias("c"))
 
 
-def _statistic(df: DataFrame, keys: list[str], weight: str) -> DataFrame:
-    f = df.withColumn("f", F.explode(F.array(*[F.lit(1 << i) for i in range(4)]))).filter(F.col("intent4").bitwiseAND(F.col("f")) == 0)
-    named, real = F.col("h").bitwiseAND(F.col("f")) != 0, (F.col("psi4").bitwiseAND(F.col("f")) != 0).cast("int")
-    w = F.col(weight)
-    rate = lambda c: F.sum(F.when(c, w * real)) / F.sum(F.when(c, w))
-    return f.groupBy(*keys).agg((rate(named) - rate(~named)).alias("u"))
+def uptake_permutation(scores: DataFrame, replicates: int = 2000, seed: int = 2000) -> DataFrame:
+    """Null of the pooled uptake when headers are re-assigned to outputs within a seed: z and p per model and form.
 
-
-def uptake_permutation(scores: DataFrame, replicates: int = 2000) -> DataFrame:
-    """Null of the pooled uptake when headers are re-assigned to outputs: z and p per model and form.
-
-    In each replicate, headers and outputs of a cell are ranked by independent md5 orders and
-    paired by rank; one shuffle on (cell, replicate).
+    Works on compressed states: a group holds at most a few thousand distinct
+    (header, intent, realized) rows. A re-assignment draws, state by state, how
+    many outputs get which header (multivariate hypergeometric), so its cost does not depend on the number of rows.
     """
-    s = scores.filter("arm = 'wrong'").select("model", "form", "seed", "program_id", F.col("h").bitwiseAND(15).alias("h"), "intent4", F.col("psi5").bitwiseAND(15).alias("psi4"))
-    rows = s.withColumn("b", F.explode(F.sequence(F.lit(1), F.lit(replicates))))
-    part = ["model", "form", "seed", "b"]
-    key = lambda t: F.xxhash64(F.lit(t), "b", "program_id", "seed")
-    # headers in one order, outputs in another: collected per cell and replicate, a sample-sized array
-    g = rows.groupBy(*part).agg(F.array_sort(F.collect_list(F.struct(key("H").alias("k"), "h"))).alias("hs"), F.array_sort(F.collect_list(F.struct(key("O").alias("k"), "intent4", "psi4"))).alias("os"))
-    z = g.select(*part, F.explode(F.arrays_zip(F.col("hs.h").alias("h"), F.col("os.intent4").alias("intent4"), F.col("os.psi4").alias("psi4"))).alias("z")).select(*part, "z.*")
-    z = z.groupBy("model", "form", "b", "h", "intent4", "psi4").agg(F.count("*").alias("c"))
-    null = _statistic(z, ["model", "form", "b"], "c")
-    seen = _statistic(compress(scores), ["model", "form"], "c").withColumnRenamed("u", "observed")
-    return null.join(seen, ["model", "form"]).groupBy("model", "form").agg(F.first("observed").alias("observed"), F.avg("u").alias("null_mean"), F.stddev_pop("u").alias("null_sd"), ((1 + F.count_if(F.col("u") >= F.col("observed"))) / (1 + F.count("*"))).alias("p_perm")).withColumn("z", (F.col("observed") - F.col("null_mean")) / F.col("null_sd"))
+    import numpy as np
+    import pandas as pd
+
+    def null(pdf: pd.DataFrame) -> pd.DataFrame:
+        rng = np.random.default_rng(seed)
+
+        def statistic(h, i, p, c):
+            out = []
+            for named in (True, False):
+                n = k = 0.0
+                for bit in (1, 2, 4, 8):
+                    rows = ((i & bit) == 0) & (((h & bit) != 0) == named)
+                    n += (c * rows).sum()
+                    k += (c * (rows & ((p & bit) != 0))).sum()
+                out.append(k / n if n else np.nan)
+            return out[0] - out[1]
+
+        seen = statistic(*(pdf[x].to_numpy() for x in ("h", "intent4", "psi4", "c")))
+        draws = []
+        for _ in range(replicates):
+            parts = []
+            for _, g in pdf.groupby("seed"):
+                heads = g.groupby("h")["c"].sum()
+                left, hs = heads.to_numpy().copy(), heads.index.to_numpy()
+                states = g.groupby(["intent4", "psi4"])["c"].sum()
+                for (i, p), c in states.items():
+                    got = rng.multivariate_hypergeometric(left, int(c), method="marginals")
+                    left = left - got
+                    at = got > 0
+                    parts.append(np.stack([hs[at], np.full(at.sum(), i), np.full(at.sum(), p), got[at]]))
+            draws.append(statistic(*np.concatenate(parts, axis=1)))
+        u = np.array(draws)
+        sd = float(u.std())
+        return pd.DataFrame({"model": [pdf["model"].iloc[0]], "form": [pdf["form"].iloc[0]], "observed": [seen], "null_mean": [float(u.mean())], "null_sd": [sd], "p_perm": [(1 + int((u >= seen).sum())) / (1 + replicates)], "z": [(seen - float(u.mean())) / sd if sd else float("nan")]})
+
+    return compress(scores).groupBy("model", "form").applyInPandas(null, "model string, form string, observed double, null_mean double, null_sd double, p_perm double, z double")
 
 
 def leave_one_out(d: DataFrame, by: str = "profile") -> DataFrame:
