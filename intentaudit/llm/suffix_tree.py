@@ -1,33 +1,35 @@
 """Language-model scoring with a probabilistic suffix tree over words.
 
-Contexts are runs of up to two frequent words. A context stays in the tree if
-the words that follow it diverge from those that follow its own suffix by more
-than noise explains. A retained context's next-word distribution is smoothed towards its
+Contexts are runs of up to ``depth`` words seen at least ``support`` times, a
+count that does not depend on the size of the corpus. A context stays in the tree if
+the words that follow it are better foretold by its own counts, each
+occurrence left out in turn, than by those of its suffix, by more than noise
+explains. A retained context keeps all its next words; its distribution is smoothed towards its
 suffix's, down to the unigram root; a word is scored in the state of the
 longest retained suffix of what precedes it.
 
-Unigram counts cover all training words and grow with the corpus; they reach
-the scoring tasks by joins on the word. Contexts must hold a share of
-``share`` of all words, and a stored next word a share of ``least`` of its context,
-so the tree has at most 1/share * 1/least entries per depth whatever the corpus.
+Words, contexts and next words are rows of tables that grow with the corpus;
+they reach the scoring tasks by joins on 64-bit codes. Only bit maps of fixed
+size are broadcast. They save rows that could not match; a false hit costs
+time and changes nothing.
 """
 
 from __future__ import annotations
 
 import math
-from dataclasses import dataclass, field
+from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordIds, blobs, fold, map_batches, materialize, text_of
+from .common import WordIds, blobs, fold, map_batches, materialize, settled, text_of
 
-FOLDS, SHARE, LEAST, GAIN, ADD = 10, 2e-4, 2e-3, 0.01, 0.1
+FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
 CHUNK_BYTES = 32 << 20
-_IDS = WordIds()
-END = _IDS[b"\n"]  # no word holds a line feed
+BITS = 23
+_P1, _P2, _P3, _P4, _P5 = (np.uint64(p) for p in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
 
 
 def tokens(texts: list[bytes], ids: WordIds) -> tuple[np.ndarray, np.ndarray]:
@@ -36,7 +38,7 @@ def tokens(texts: list[bytes], ids: WordIds) -> tuple[np.ndarray, np.ndarray]:
     for t in texts:
         starts.append(len(words))
         words += t.lower().split()
-        words.append(b"\n")
+        words.append(b"\n")  # no word holds a line feed
     return ids.array(words), np.array(starts, np.int64)
 
 
@@ -45,207 +47,185 @@ def place_in_text(n: int, starts: np.ndarray) -> np.ndarray:
     return np.arange(n) - np.repeat(starts, np.diff(np.append(starts, n)))
 
 
+def _hash_long(x: np.ndarray, seed) -> np.ndarray:
+    turn = lambda v, k: (v << np.uint64(k)) | (v >> np.uint64(64 - k))
+    h = (seed + _P5 + np.uint64(8)) ^ (turn(x * _P2, 31) * _P1)
+    h = turn(h, 27) * _P1 + _P4
+    h = (h ^ (h >> np.uint64(33))) * _P2
+    h = (h ^ (h >> np.uint64(29))) * _P3
+    return h ^ (h >> np.uint64(32))
+
+
+def code_of(ctx: np.ndarray, up: np.ndarray) -> np.ndarray:
+    """The code of a run of words from those of the run without its last and without its first word, as Spark's xxhash64 gives it."""
+    return _hash_long(up, _hash_long(ctx, np.array([42], np.uint64)))
+
+
+def longer(codes: np.ndarray) -> np.ndarray:
+    """Codes of the runs of one word more that end at each token; the first has no meaning."""
+    return np.concatenate([codes[:1], code_of(codes[:-1], codes[1:])])
+
+
+def bit_map(codes: DataFrame) -> np.ndarray:
+    """A bit per leading BITS bits of the column ``code``; 2**BITS / 64 rows at most reach the driver."""
+    at = codes.select(F.shiftrightunsigned("code", 64 - BITS).alias("at"))
+    rows = at.groupBy(F.shiftright("at", 6).alias("word")).agg(F.expr("bit_or(shiftleft(1L, cast(at & 63 as int)))").alias("bits")).toArrow()
+    out = np.zeros(1 << (BITS - 6), np.uint64)
+    out[rows.column("word").to_numpy()] = rows.column("bits").to_numpy().view(np.uint64)
+    return out
+
+
+def in_map(bits: np.ndarray, codes: np.ndarray) -> np.ndarray:
+    at = codes >> np.uint64(64 - BITS)
+    return (bits[(at >> np.uint64(6)).view(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) != 0
+
+
 class _Counts:
-    """Counts of 64-bit codes, merged when the buffer is full."""
+    """Counts of 64-bit codes, each with its further columns, merged when the buffer is full."""
 
     def __init__(self, limit: int = 2_000_000):
         self.parts, self.n, self.limit = [], 0, limit
-        self.codes, self.counts = np.zeros(0, np.uint64), np.zeros(0, np.int64)
 
-    def add(self, codes: np.ndarray) -> None:
-        self.parts.append(codes)
-        self.n += len(codes)
+    def add(self, *columns: np.ndarray) -> None:
+        self.parts.append((*columns, np.ones(len(columns[0]), np.int64)))
+        self.n += len(columns[0])
         if self.n > self.limit:
             self.settle()
+            self.limit = max(self.limit, 2 * self.n)
 
-    def settle(self):
-        if self.parts:
-            new, n = np.unique(np.concatenate(self.parts), return_counts=True)
-            codes = np.concatenate([self.codes, new])
-            order = np.argsort(codes, kind="stable")
-            codes, counts = codes[order], np.concatenate([self.counts, n])[order]
-            first = np.flatnonzero(np.r_[True, codes[1:] != codes[:-1]])
-            self.codes, self.counts = codes[first], np.add.reduceat(counts, first)
-            self.parts, self.n = [], 0
-        return self.codes, self.counts
+    def settle(self) -> tuple[np.ndarray, ...]:
+        """The codes, their further columns and their counts."""
+        codes, *more, counts = (np.concatenate(c) for c in zip(*self.parts))
+        order = np.argsort(codes, kind="stable")
+        codes = codes[order]
+        first = np.flatnonzero(np.r_[True, codes[1:] != codes[:-1]]) if len(codes) else np.zeros(0, np.int64)
+        out = (codes[first], *(c[order[first]] for c in more), np.add.reduceat(counts[order], first) if len(first) else counts)
+        self.parts, self.n = [out], len(first)
+        return out
 
 
-def _emit(counts: _Counts, size: int = 100_000):
-    codes, n = counts.settle()
-    for at in range(0, len(codes), size):
-        yield pa.record_batch([pa.array(codes[at : at + size].view(np.int64)), pa.array(n[at : at + size])], ["code", "n"])
+def _emit(counts: _Counts, names: list[str], size: int = 100_000):
+    if counts.parts:
+        columns = counts.settle()
+        for at in range(0, len(columns[0]), size):
+            yield pa.record_batch([pa.array(c[at : at + size].view(np.int64)) for c in columns], names)
 
 
-def _count(texts: DataFrame, codes_of) -> DataFrame:
-    """(code, n) summed over all texts; each task sends one row per code. ``codes_of`` maps token hashes and their places to codes."""
+def _count(texts: DataFrame, depth: int, allowed) -> DataFrame:
+    """Counts of the runs of depth + 1 words: (code, n) of single words, else (ctx, up, n) of those whose context may be in the bit map."""
 
     def run(batches):
         ids, total = WordIds(), _Counts()
         for b in batches:
             h, starts = tokens(blobs(b.column("text")), ids)
-            total.add(codes_of(h, place_in_text(len(h), starts)))
-        yield from _emit(total)
-
-    return map_batches(texts.select("text"), run, "code long, n long").groupBy("code").agg(F.sum("n").alias("n"))
-
+            if not depth:
+                total.add(h)
+                continue
+            for _ in range(depth - 1):
+                h = longer(h)
+            i = np.flatnonzero(place_in_text(len(h), starts) >= depth)
+            i = i[in_map(allowed.value, h[i - 1])]
+            total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i])
+        for out in _emit(total, ["code", "ctx", "up", "n"] if depth else ["code", "n"]):
+            yield out.select(["ctx", "up", "n"]) if depth else out
 
-def _place(frequent: np.ndarray, h: np.ndarray) -> np.ndarray:
-    """Position among the frequent words, or their number for others."""
-    at = np.searchsorted(frequent, h)
-    at[at == len(frequent)] = 0
-    return np.where(frequent[at] == h, at, len(frequent)) if len(frequent) else np.zeros(len(h), np.int64)
+    keys = ["ctx", "up"] if depth else ["code"]
+    return map_batches(texts.select("text"), run, f"{' long, '.join(keys)} long, n long").groupBy(*keys).agg(F.sum("n").alias("n"))
 
 
 @dataclass
 class SuffixTree:
-    """``frequent`` sorted word hashes; per depth, stored (context*width+next) codes with log10 probabilities and log10 back-off per context."""
+    """Size of the training words, and a bit map of the retained contexts' codes."""
 
     words: int
     distinct: int
-    frequent: np.ndarray
-    codes: list[np.ndarray] = field(default_factory=list)
-    logp: list[np.ndarray] = field(default_factory=list)
-    contexts: list[np.ndarray] = field(default_factory=list)
-    backoff: list[np.ndarray] = field(default_factory=list)
-
-    @property
-    def width(self) -> int:
-        return len(self.frequent) + 1  # the last stands for all other words
+    depth: int
+    contexts: np.ndarray
 
     def root(self, c: np.ndarray) -> np.ndarray:
-        return np.log10((c + ADD) / (self.words + ADD * (self.distinct + 1)))
+        return (c + ADD) / (self.words + ADD * (self.distinct + 1))
 
-    def score(self, h: np.ndarray, starts: np.ndarray, base: np.ndarray) -> np.ndarray:
-        """Log10 probability of each text, given all their token hashes and unigram scores."""
-        p, lp, w = _place(self.frequent, h), base.copy(), self.width
+    def wanted(self, h: np.ndarray, starts: np.ndarray):
+        """Per length of context from 1 on: tokens that may have one, their contexts' codes and their own; and the codes that count or continue at each."""
         place = place_in_text(len(h), starts)
-        for depth, contexts in enumerate(self.contexts):
-            if not len(contexts):
-                continue
-            # contexts of depth+1 words: the place of the older * width + the place of the newer
-            i = np.flatnonzero((place > depth) & (np.concatenate([[w], p[:-1]]) < w - 1))
-            ctx = p[i - 1] if depth == 0 else np.where(p[i - 2] < w - 1, p[i - 2] * w + p[i - 1], -1)
-            at = np.searchsorted(contexts, ctx)
-            at[at == len(contexts)] = 0
-            hit = contexts[at] == ctx
-            i, at = i[hit], at[hit]
-            new = lp[i] + self.backoff[depth][at]
-            if len(self.codes[depth]):
-                code = at * w + p[i]
-                k = np.searchsorted(self.codes[depth], code)
-                k[k == len(self.codes[depth])] = 0
-                new = np.where((self.codes[depth][k] == code) & (p[i] < w - 1), self.logp[depth][k], new)
-            lp[i] = new
-        return np.add.reduceat(lp, starts)
-
-
-def _retain(counts: DataFrame, width: int, parent: DataFrame, parent_key, least: float, gain: float):
-    """Retained contexts and their stored next words, as Arrow tables.
-
-    counts: (ctx, x, n). parent: (pk, x, p), the suffix's distribution. A context
-    is retained if its divergence passes both ``gain`` nats a word and the noise of
-    that many parameters (its mean plus four deviations). Sizes: see the module.
+        state = in_map(self.contexts, h)
+        for depth in range(1, self.depth + 1):
+            run = longer(h)
+            i = np.flatnonzero(place >= depth)
+            i = i[state[i - 1]]
+            state = in_map(self.contexts, run) if depth < self.depth else np.zeros(len(run), bool)
+            yield i, h[i - 1], run[i], run[(place >= depth) & state]
+            h = run
+
+
+def _retained(grams: DataFrame, sums: DataFrame, support: int, gain: float) -> tuple[DataFrame, DataFrame]:
+    """(ctx, total, kinds) of all contexts with the support, and (code, total, kinds) of those retained.
+
+    grams: (ctx, n, m, pk): counts, the suffix's counts of the same word, and
+    the suffix; sums: (pk, all), the suffix's total. Every occurrence is rated by the counts of its context
+    without itself, smoothed as in scoring, against the suffix. The mean gain has to pass ``gain``
+    nats, and the sum four deviations of its noise.
     """
-    total = counts.groupBy("ctx").agg(F.sum("n").alias("total"), F.count("*").alias("kinds"))
-    joined = counts.join(total, "ctx").withColumn("pk", parent_key).join(parent, ["pk", "x"])
-    div = joined.groupBy("ctx").agg(F.sum(F.col("n") * F.ln(F.col("n") / F.col("total") / F.col("p"))).alias("div"), F.first("total").alias("total"), F.first("kinds").alias("kinds"))
-    keep = div.filter((F.col("div") >= gain * F.col("total")) & (2 * F.col("div") > F.col("kinds") + 4 * F.sqrt(2.0 * F.col("kinds")))).select("ctx")
-    kept = joined.join(keep, "ctx", "left_semi")
-    stored = kept.filter((F.col("n") >= F.greatest(F.lit(2.0), least * F.col("total"))) & (F.col("x") < width - 1)).select("ctx", "x", "n", "total", "kinds", "p")
-    return kept.select("ctx", "total", "kinds").distinct().toArrow(), stored.toArrow()
+    totals = settled(grams.groupBy("ctx").agg(F.sum("n").alias("total"), F.count("*").alias("kinds")).filter(F.col("total") >= support))
+    p = F.col("m") / F.col("all")
+    own = (F.col("n") - 1 + F.col("kinds") * p) / (F.col("total") - 1 + F.col("kinds"))
+    rated = grams.join(totals, "ctx").join(sums, "pk").withColumn("l", F.ln(own / p))
+    each = rated.groupBy("ctx").agg(F.first("total").alias("total"), F.first("kinds").alias("kinds"), F.sum(F.col("n") * F.col("l")).alias("div"), F.sum(F.col("n") * F.col("l") * F.col("l")).alias("square"))
+    noise = F.sqrt(F.greatest(F.col("square") - F.col("div") * F.col("div") / F.col("total"), F.lit(0.0)))
+    kept = each.filter((F.col("div") >= gain * F.col("total")) & (F.col("div") > 4 * noise)).select(F.col("ctx").alias("code"), "total", "kinds")
+    return totals, materialize(kept)
 
 
-def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", share: float = SHARE, least: float = LEAST, gain: float = GAIN, add: float = ADD) -> tuple[SuffixTree, DataFrame]:
-    """The tree and the unigram table (code, n), from documents of folds other than 0."""
+def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN) -> tuple[SuffixTree, DataFrame]:
+    """The tree's size and the table (code, n, total, kinds), from documents of folds other than 0.
+
+    A row with ``n`` counts a word or a retained context's next word, a row with ``total`` is a retained context.
+    """
     spark = docs.sparkSession
     train = docs.filter(fold(F.col(id_col), FOLDS) != 0).select(text_of(text_col).cast("binary").alias("text"))
-    unigrams = materialize(_count(train, lambda h, _: h))
-    n, v = unigrams.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).collect()[0]
-    top = unigrams.filter(F.col("n") >= max(2.0, share * n)).toArrow()  # at most 1/share rows
-    words = top.column("code").to_numpy().view(np.uint64)
-    order = np.argsort(words)
-    tree = SuffixTree(int(n), int(v), words[order])
-    counts = top.column("n").to_numpy()[order]
-    if not len(words):
-        return tree, unigrams
-    frequent, w = tree.frequent, tree.width
-    end = int(np.searchsorted(frequent, np.uint64(END)))
-    end = end if end < len(frequent) and frequent[end] == np.uint64(END) else -1
-
-    def pairs(h, at):
-        p = _place(frequent, h)
-        s, x = p[:-1], p[1:]
-        ok = (s < w - 1) & (at[1:] >= 1)
-        return (s[ok] * w + x[ok]).astype(np.uint64)
-
-    split = lambda df: df.select(F.floor(F.col("code") / w).cast("long").alias("ctx"), (F.col("code") % w).alias("x"), "n")
-    one = materialize(split(_count(train, pairs)))
-    # root distribution over the frequent words, the last standing for all others (at most 1/share rows)
-    share_of = [*(counts / n).tolist(), max(float(n - counts.sum()), add) / n]
-    root = spark.createDataFrame([(0, i, p) for i, p in enumerate(share_of)], "pk int, x long, p double")
-    levels = [_retain(one, w, F.broadcast(root), F.lit(0), least, gain)]
-
-    pair_rows = one.filter((F.col("n") >= share * n) & (F.col("x") < w - 1) & (F.col("x") != end)).toArrow()  # at most 1/share rows
-    if pair_rows.num_rows:
-        allowed = np.sort(pair_rows.column("ctx").to_numpy() * w + pair_rows.column("x").to_numpy())
-
-        def triples(h, place):
-            p = _place(frequent, h)
-            ctx = p[:-2] * w + p[1:-1]
-            ok = (p[:-2] < w - 1) & (p[1:-1] < w - 1) & (place[2:] >= 2)
-            ctx, x = ctx[ok], p[2:][ok]
-            at = np.searchsorted(allowed, ctx)
-            at[at == len(allowed)] = 0
-            hit = allowed[at] == ctx
-            return (at[hit] * w + x[hit]).astype(np.uint64)
-
-        two = materialize(split(_count(train, triples)))
-        newer = spark.createDataFrame([(i, int(c % w)) for i, c in enumerate(allowed.tolist())], "ctx long, newer long")
-        sums = one.groupBy("ctx").agg(F.sum("n").alias("t"))
-        parent = one.join(sums, "ctx").select(F.col("ctx").alias("pk"), "x", (F.col("n") / F.col("t")).alias("p"))
-        levels.append(_retain(two.join(F.broadcast(newer), "ctx"), w, parent, F.col("newer"), least, gain))
-
-    for depth, (ctx, stored) in enumerate(levels):
-        ids = np.sort(ctx.column("ctx").to_numpy())
-        at = np.argsort(ctx.column("ctx").to_numpy())
-        total, kinds = ctx.column("total").to_numpy()[at].astype(float), ctx.column("kinds").to_numpy()[at].astype(float)
-        sc, sx, sn = (stored.column(c).to_numpy() for c in ("ctx", "x", "n"))
-        k = np.searchsorted(ids, sc)
-        # the suffix's smoothed probability of each stored word
-        up = tree.root(counts[sx].astype(float)) if len(sx) else np.zeros(0)
-        if depth and len(sx):
-            last = (allowed[sc] % w).astype(np.int64)
-            at0 = np.searchsorted(tree.contexts[0], last)
-            at0[at0 == len(tree.contexts[0])] = 0
-            hit = tree.contexts[0][at0] == last if len(tree.contexts[0]) else np.zeros(len(sx), bool)
-            code = at0 * w + sx
-            j = np.searchsorted(tree.codes[0], code)
-            j[j == len(tree.codes[0])] = 0
-            found = hit & (tree.codes[0][j] == code) if len(tree.codes[0]) else np.zeros(len(sx), bool)
-            up = np.where(found, tree.logp[0][j] if len(tree.codes[0]) else 0.0, up + np.where(hit, tree.backoff[0][at0] if len(tree.contexts[0]) else 0.0, 0.0))
-        pu = 10.0**up
-        seen = np.bincount(k, sn, len(ids)) if len(sx) else np.zeros(len(ids))
-        mass = np.bincount(k, pu, len(ids)) if len(sx) else np.zeros(len(ids))
-        back = ((total - seen) / np.maximum(1 - mass, 1e-9) + kinds) / (total + kinds)
-        p = (sn + kinds[k] * pu) / (total[k] + kinds[k]) if len(sx) else np.zeros(0)
-        order = np.argsort(k * w + sx)
-        tree.codes.append((k * w + sx)[order].astype(np.int64))
-        tree.logp.append(np.log10(np.maximum(p, 1e-300))[order])
-        tree.contexts.append((allowed[ids] if depth else ids).astype(np.int64))
-        tree.backoff.append(np.log10(np.maximum(back, 1e-300)))
-    return tree, unigrams
+    words = materialize(_count(train, 0, None))
+    n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).collect()[0]
+    none = F.lit(0).cast("long")
+    counts, contexts = words.select("code", "n"), []
+    level, sums = words.withColumn("ctx", none), F.broadcast(spark.createDataFrame([(0, int(n))], "pk long, all long"))
+    for d in range(1, depth + 1):
+        bits = bit_map(level.filter(F.col("n") >= support))
+        if not bits.any():
+            break
+        suffix = level.select(F.col("code").alias("up"), F.col("n").alias("m"), F.col("ctx").alias("pk"))
+        level = materialize(_count(train, d, spark.sparkContext.broadcast(bits)).join(suffix, "up").withColumn("code", F.xxhash64("ctx", "up")).drop("up"))
+        totals, kept = _retained(level, sums, support, gain)
+        counts = counts.union(level.join(kept.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n"))
+        contexts.append(kept)
+        sums = totals.select(F.col("ctx").alias("pk"), F.col("total").alias("all"))
+    table = counts.select("code", "n", none.alias("total"), none.alias("kinds"))
+    for kept in contexts:
+        table = table.union(kept.select("code", none.alias("n"), "total", "kinds"))
+    bits = np.zeros(1 << (BITS - 6), np.uint64)
+    for kept in contexts:
+        bits |= bit_map(kept)
+    return SuffixTree(int(n), int(v), depth, bits), table
+
+
+def _found(codes: np.ndarray, values: np.ndarray, asked: np.ndarray) -> np.ndarray:
+    """The values of the codes asked for, 0 where there is none."""
+    if not len(codes):
+        return np.zeros(len(asked))
+    at = np.searchsorted(codes, asked)
+    at[at == len(codes)] = 0
+    return np.where(codes[at] == asked, values[at], 0.0)
 
 
 def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, model: tuple[SuffixTree, DataFrame] | None = None) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Texts are dealt by hash into chunks of about ``chunk_bytes``; each chunk
-    meets the unigram counts of its own words, so no task holds the whole
-    vocabulary. Null texts are empty (the end alone); a null identifier hashes
+    meets the counts and contexts of its own words, so no task holds the whole
+    model. Null texts are empty (the end alone); a null identifier hashes
     as ''; repeated rows each get their row. With no training document every count is 0. Extra
     columns are ignored.
     """
-    tree, unigrams = model or fit(docs, id_col, text_col)
+    tree, table = model or fit(docs, id_col, text_col)
     spark = docs.sparkSession
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), FOLDS) == 0).alias("held_out"), text_of(text_col).cast("binary").alias("text"))
     size = docs.agg(F.coalesce(F.sum(F.octet_length(text_col)), F.lit(0))).collect()[0][0]
@@ -254,32 +234,47 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
     held = spark.sparkContext.broadcast(tree)
 
     def ask(batches):
-        """The words of the chunks that this task got, once each."""
+        """The codes that the chunks that this task got may have in the model, once each."""
         ids, asked = WordIds(), {}
         for b in batches:
             chunk, texts = b.column("chunk").to_numpy(), blobs(b.column("text"))
             for c in np.unique(chunk).tolist():
-                asked.setdefault(c, _Counts()).add(tokens([texts[i] for i in np.flatnonzero(chunk == c)], ids)[0])
+                h, starts = tokens([texts[i] for i in np.flatnonzero(chunk == c)], ids)
+                into = asked.setdefault(c, _Counts())
+                into.add(h)
+                for _, _, own, state in held.value.wanted(h, starts):
+                    into.add(own)
+                    into.add(state)
         for c, counts in asked.items():
-            for out in _emit(counts):
+            for out in _emit(counts, ["code", "n"]):
                 yield pa.record_batch([pa.array(np.full(out.num_rows, c, np.int32)), out.column("code")], ["chunk", "code"])
 
-    def rate(key, texts, words):
+    def rate(key, texts, rows):
         ids, model = WordIds(), held.value
-        codes = words.column("code").to_numpy().view(np.uint64)
-        order = np.argsort(codes)
-        codes, n = codes[order], words.column("n").to_numpy()[order].astype(float)
-        logs = model.root(n)
-        every, rows = [t or b"" for t in texts.column("text").to_pylist()], []
+        codes, n, total, kinds = (rows.column(c).to_numpy() for c in ("code", "n", "total", "kinds"))
+        codes = codes.view(np.uint64)
+
+        def part(at):
+            at = at[np.argsort(codes[at])]
+            return codes[at], n[at].astype(float), total[at].astype(float), kinds[at].astype(float)
+
+        (known, count, *_), (contexts, _, total, kinds) = part(np.flatnonzero(total == 0)), part(np.flatnonzero(total > 0))
+        every, out = [t or b"" for t in texts.column("text").to_pylist()], []
         for lo in range(0, len(every), 256):
             h, starts = tokens(every[lo : lo + 256], ids)
-            at = np.searchsorted(codes, h)
-            lp = logs[at]
-            rows += zip(np.diff(np.append(starts, len(h))), np.add.reduceat((n[at] > 0).astype(np.int64), starts), np.add.reduceat(lp, starts), model.score(h, starts, lp))
-        c = list(zip(*rows))
-        return pa.table([texts.column("doc_id"), texts.column("held_out"), pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array([model.words] * len(rows), pa.int64()), pa.array(c[2], pa.float64()), pa.array(c[3], pa.float64())], ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
+            c = _found(known, count, h)
+            p = model.root(c)
+            first = np.log10(p)
+            for i, ctx, own, _ in model.wanted(h, starts):
+                t = _found(contexts, total, ctx)
+                i, ctx, own, t = i[t > 0], ctx[t > 0], own[t > 0], t[t > 0]
+                k = _found(contexts, kinds, ctx)
+                p[i] = (_found(known, count, own) + k * p[i]) / (t + k)
+            out += zip(np.diff(np.append(starts, len(h))), np.add.reduceat((c > 0).astype(np.int64), starts), np.add.reduceat(first, starts), np.add.reduceat(np.log10(p), starts))
+        c = list(zip(*out))
+        return pa.table([texts.column("doc_id"), texts.column("held_out"), pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array([model.words] * len(out), pa.int64()), pa.array(c[2], pa.float64()), pa.array(c[3], pa.float64())], ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
 
     asked = map_batches(dealt.select("chunk", "text"), ask, "chunk int, code long")
-    words = asked.join(unigrams, "code", "left").select("chunk", "code", F.coalesce("n", F.lit(0)).alias("n"))
+    rows = asked.join(table, "code").select("chunk", "code", "n", "total", "kinds")
     schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return dealt.groupBy("chunk").cogroup(words.groupBy("chunk")).applyInArrow(rate, schema)
+    return dealt.groupBy("chunk").cogroup(rows.groupBy("chunk")).applyInArrow(rate, schema)

@@ -295,6 +295,26 @@ def test_suffix_tree_uses_contexts(spark):
     assert all(r["score"] > 0.3 * r["base_score"] for r in out)
 
 
+def test_suffix_tree_grows_with_the_corpus(spark):
+    """A context with few of all words, and its next words, which are rare themselves, are kept; the scores follow by hand."""
+    rng = random.Random(7)
+    rows = [(i, f"rare{i % 5} next{i % 5} " + " ".join(f"w{rng.randrange(30_000)}" for _ in range(3000)), "s") for i in range(700)]
+    df = make(spark, rows)
+    tree, table = suffix_tree.fit(df)
+    word = lambda w: np.array([WordIds()[w]], np.uint64)
+    ctx = word(b"rare2")
+    pair = suffix_tree.code_of(ctx, word(b"next2"))
+    got = [r for r in table.collect() if r["code"] in (int(ctx.view(np.int64)[0]), int(pair.view(np.int64)[0]))]
+    train = [i for i, *_ in rows if zlib.crc32(str(i).encode()) % 10]
+    seen = sum(i % 5 == 2 for i in train)
+    assert seen >= suffix_tree.SUPPORT and seen < 2e-4 * tree.words
+    assert [r["total"] for r in got if r["total"]] == [seen] and sorted(r["n"] for r in got if not r["total"]) == [seen, seen]
+    # w-words follow each other by chance, so that their contexts do not stay
+    assert table.filter("total > 0").count() <= 10
+    spark_codes = spark.createDataFrame([(5, -7)], "a long, b long").select(F.xxhash64("a", "b")).collect()[0][0]
+    assert suffix_tree.code_of(np.array([5], np.int64).view(np.uint64), np.array([-7], np.int64).view(np.uint64)).view(np.int64)[0] == spark_codes
+
+
 def test_mix(docs, empty):
     out = mixing.mix(docs).collect()
     rows = docs.collect()
