@@ -1,24 +1,26 @@
 """Secret scan: fixed patterns plus credential formats learned by grammar inference.
 
-Credentials found by the patterns in a bounded sample of documents are the
-labelled examples. Their prefix tree's states are merged while their outgoing
+Credentials found by the patterns in all documents are the labelled examples, of
+which each kind's automaton gets a bounded draw by hash. Their prefix tree's states are merged while their outgoing
 frequencies are statistically compatible, which gives a probabilistic automaton per
-kind; another is learned from ordinary long tokens. Every candidate
+kind; another is learned from ordinary tokens. Every candidate
 token of every text is scored by its likelihood under the formats against the ordinary one.
 """
 
 from __future__ import annotations
 
 import hashlib
+import heapq
 import math
 import re
 from collections import Counter, deque
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blobs, bounded_sample, map_batches, text_of
+from .common import WordIds, blobs, map_batches, materialize, text_of
 
 #: The base patterns, with the least length of what counts.
 KINDS = ("assign", "access", "hex")
@@ -27,7 +29,8 @@ _ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
 _HEX = re.compile(rb"[0-9a-f]{24,}")  # runs are maximal, so the bound may stand in the pattern
 _KEYWORDS = (b"passw", b"secret", b"token", b"apikey", b"api_key")
 _CANDIDATE = re.compile(rb"[A-Za-z0-9+/_=-]{16,}")
-SAMPLE_DOCS, EXAMPLES, MAX_LEN, ALPHA = 4000, 500, 64, 0.05
+_ORDINARY = re.compile(rb"[A-Za-z0-9+/_.=-]{6,}")
+EXAMPLES, ALPHA = 500, 0.05
 
 
 def base_spans(text: bytes) -> list[tuple[int, int, str]]:
@@ -44,7 +47,7 @@ def base_spans(text: bytes) -> list[tuple[int, int, str]]:
 
 def symbols(token: bytes) -> str:
     """Character classes: hex letter h, other lower l, upper u, digit d, the rest as they are."""
-    return "".join("d" if 48 <= c <= 57 else "h" if 97 <= c <= 102 else "l" if 103 <= c <= 122 else "u" if 65 <= c <= 90 else chr(c) for c in token[:MAX_LEN])
+    return "".join("d" if 48 <= c <= 57 else "h" if 97 <= c <= 102 else "l" if 103 <= c <= 122 else "u" if 65 <= c <= 90 else chr(c) for c in token[:64])
 
 
 class FormatAutomaton:
@@ -146,7 +149,7 @@ class Formats:
     """The learned automata and the least likelihood that counts as a format."""
 
     def __init__(self, credentials: dict[str, list[bytes]], ordinary: list[bytes]):
-        self.models = {k: FormatAutomaton([symbols(w) for w in v]) for k, v in credentials.items() if len(v) >= 20}
+        self.models = {k: FormatAutomaton([symbols(w) for w in v]) for k, v in credentials.items() if v}
         self.plain = FormatAutomaton([symbols(w) for w in ordinary] or ["l"])
         self.floor = {}
         for k, m in self.models.items():
@@ -166,25 +169,44 @@ class Formats:
         return hit
 
 
-def learn(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", sample_docs: int = SAMPLE_DOCS, examples: int = EXAMPLES) -> Formats:
-    """Learn from credentials in at most ``sample_docs`` documents (the smallest by md5), ``examples`` a kind."""
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).cast("binary").alias("text"))
-    chosen = bounded_sample(base.select("doc_id").distinct(), sample_docs, "formats", "doc_id")
+class _Draw:
+    """The distinct words with the smallest hashes, at most ``n``; draws of parts make up the draw of the whole."""
+
+    def __init__(self, n: int):
+        self.n, self.held, self.heap, self.edge = n, {}, [], 1 << 64
+
+    def add(self, word: bytes, h: int) -> None:
+        if h < self.edge and word not in self.held:
+            self.held[word] = h
+            heapq.heappush(self.heap, (-h, word))
+            if len(self.held) > self.n:
+                del self.held[heapq.heappop(self.heap)[1]]
+            if len(self.held) == self.n:
+                self.edge = -self.heap[0][0]
+
+
+def learn(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", examples: int = EXAMPLES) -> Formats:
+    """Learn from ``examples`` distinct credentials a kind and as many ordinary tokens, drawn by hash from those of all documents."""
 
     def gather(batches):
+        ids, draws = WordIds(), {k: _Draw(examples) for k in (*KINDS, "ordinary")}
         for b in batches:
-            rows = []
             for t in blobs(b.column("text")):
                 spans = base_spans(t)
                 for start, end, kind in spans:
                     w = t[start:end]
-                    rows.append((kind, (_ASSIGN.fullmatch(w)[2] if kind == "assign" else w)[:MAX_LEN]))
-                long_words = [w for w in t.split() if len(w) >= 12]
-                rows += [("ordinary", w[:MAX_LEN]) for w in long_words[:40] if not any(t[s:e] in w or w in t[s:e] for s, e, _ in spans)]
-            yield pa.record_batch([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary())], ["kind", "word"])
-
-    found = map_batches(base.join(F.broadcast(chosen), "doc_id", "left_semi").select("text"), gather, "kind string, word binary").distinct()
-    words = {k: [bytes(r["word"]) for r in bounded_sample(found.filter(F.col("kind") == k), examples, k, "word").collect()] for k in (*KINDS, "ordinary")}
+                    w = _ASSIGN.fullmatch(w)[2] if kind == "assign" else w
+                    draws[kind].add(w, ids[w])
+                words = [m[0] for m in _ORDINARY.finditer(t) if not any(a < m.end() and m.start() < b for a, b, _ in spans)] if spans else _ORDINARY.findall(t)
+                draw = draws["ordinary"]
+                h = ids.array(words)
+                for i in (h < np.uint64(min(draw.edge, (1 << 64) - 1))).nonzero()[0].tolist():
+                    draw.add(words[i], int(h[i]))
+        rows = [(k, w, h - (1 << 63)) for k, d in draws.items() for w, h in d.held.items()]
+        yield pa.record_batch([pa.array([r[0] for r in rows], pa.string()), pa.array([r[1] for r in rows], pa.binary()), pa.array([r[2] for r in rows], pa.int64())], ["kind", "word", "place"])
+
+    found = materialize(map_batches(docs.select(text_of(text_col).cast("binary").alias("text")), gather, "kind string, word binary, place long"))
+    words = {k: [bytes(r["word"]) for r in found.filter(F.col("kind") == k).distinct().orderBy("place", "word").limit(examples).collect()] for k in (*KINDS, "ordinary")}
     return Formats({k: words[k] for k in KINDS}, words["ordinary"])
 
 

@@ -206,6 +206,22 @@ def test_formats_are_learned():
     assert not any(f.matches(w) for w in plain) and not f.matches(b"chapter12section34")
 
 
+def test_formats_come_from_all_documents(spark, monkeypatch):
+    """Few labelled documents among many, fewer than 20 too, give their examples; ordinary ones come also from a text's end."""
+    access = {b"AKIA" + hashlib.sha256(b"%d" % i).hexdigest()[:16].upper().encode() for i in range(8)}
+    late = [b"word" + bytes([97 + i % 10, 107 + i // 10]) + b"long" for i in range(100)]
+    rows = [(i, "some words here and nothing else", "s") for i in range(6000)]
+    rows += [(10_000 + i, "x " + a.decode(), "s") for i, a in enumerate(access)] + [(20_000, b" ".join(late).decode(), "s")]
+    assert set(secret_scan.Formats({"access": sorted(access), "hex": []}, late).models) == {"access"}
+    monkeypatch.setattr(secret_scan, "Formats", lambda *a: a)
+    credentials, ordinary = secret_scan.learn(make(spark, rows))
+    assert set(credentials["access"]) == access and not credentials["hex"]
+    assert set(ordinary) == {*late, b"nothing"}
+    few, _ = secret_scan.learn(make(spark, rows).repartition(7), examples=5)
+    again, _ = secret_scan.learn(make(spark, rows).repartition(2), examples=5)
+    assert few == again and len(few["access"]) == 5
+
+
 def test_toxicity(spark, docs, empty):
     rng = random.Random(1)
     words = [f"word{i}" for i in range(200)]
