@@ -28,8 +28,8 @@ _ASSIGN = re.compile(rb"(password|passwd|secret|token|api_?key)[\"']?\x20*[:=]\x
 _ACCESS = re.compile(rb"AKIA[A-Z0-9]+")
 _HEX = re.compile(rb"[0-9a-f]{24,}")  # runs are maximal, so the bound may stand in the pattern
 _KEYWORDS = (b"passw", b"secret", b"token", b"apikey", b"api_key")
-_CANDIDATE = re.compile(rb"[A-Za-z0-9+/_=-]{16,}")
-_ORDINARY = re.compile(rb"[A-Za-z0-9+/_.=-]{6,}")
+_ALPHABET = rb"[A-Za-z0-9+/_.=-]"
+_ORDINARY = re.compile(_ALPHABET + rb"{6,}")
 EXAMPLES, ALPHA = 500, 0.05
 
 
@@ -47,7 +47,7 @@ def base_spans(text: bytes) -> list[tuple[int, int, str]]:
 
 def symbols(token: bytes) -> str:
     """Character classes: hex letter h, other lower l, upper u, digit d, the rest as they are."""
-    return "".join("d" if 48 <= c <= 57 else "h" if 97 <= c <= 102 else "l" if 103 <= c <= 122 else "u" if 65 <= c <= 90 else chr(c) for c in token[:64])
+    return "".join("d" if 48 <= c <= 57 else "h" if 97 <= c <= 102 else "l" if 103 <= c <= 122 else "u" if 65 <= c <= 90 else chr(c) for c in token)
 
 
 class FormatAutomaton:
@@ -137,9 +137,9 @@ class FormatAutomaton:
         return total / (len(word) + 1)
 
 
-def candidates(text: bytes, spans: list[tuple[int, int, str]]):
-    """Long tokens with a digit and a letter outside the base spans."""
-    for m in _CANDIDATE.finditer(text):
+def candidates(text: bytes, spans: list[tuple[int, int, str]], least: int):
+    """Tokens of at least ``least`` characters with a digit and a letter outside the base spans."""
+    for m in re.finditer(_ALPHABET + b"{%d,}" % least, text):
         w = m[0]
         if not w.isalpha() and not w.isdigit() and re.search(rb"[0-9]", w) and re.search(rb"[A-Za-z]", w) and not any(a < m.end() and m.start() < b for a, b, _ in spans):
             yield m.start(), m.end(), w
@@ -151,6 +151,7 @@ class Formats:
     def __init__(self, credentials: dict[str, list[bytes]], ordinary: list[bytes]):
         self.models = {k: FormatAutomaton([symbols(w) for w in v]) for k, v in credentials.items() if v}
         self.plain = FormatAutomaton([symbols(w) for w in ordinary] or ["l"])
+        self.least = min([16, *(len(w) for v in credentials.values() for w in v)])
         self.floor = {}
         for k, m in self.models.items():
             own = sorted(m.score(symbols(w)) for w in credentials[k])
@@ -165,7 +166,8 @@ class Formats:
             hit = any((x := m.score(s)) >= self.floor[k] and x > p + 0.1 for k, m in self.models.items())
             if len(self.known) > 100_000:
                 self.known.clear()
-            self.known[s] = hit
+            if len(s) <= 128:
+                self.known[s] = hit
         return hit
 
 
@@ -237,7 +239,7 @@ def scan(docs: DataFrame, formats: Formats | None = None, id_col: str = "doc_id"
             rows = []
             for t in blobs(b.column("text")):
                 base = base_spans(t)
-                extra = [(s, e, "format") for s, e, w in candidates(t, base) if formats.matches(w)]
+                extra = [(s, e, "format") for s, e, w in candidates(t, base, formats.least) if formats.matches(w)] if formats.models else []
                 base = _points(t, base) if base else base
                 spans = sorted([*base, *(_points(t, extra) if extra else [])], key=lambda s: (s[0], order.index(s[2])))
                 n = Counter(k for *_, k in spans)

@@ -222,6 +222,20 @@ def test_formats_come_from_all_documents(spark, monkeypatch):
     assert few == again and len(few["access"]) == 5
 
 
+def test_formats_see_whole_tokens():
+    rng = random.Random(5)
+    hexes = ["".join(rng.choice("0123456789abcdef") for _ in range(n)).encode() for n in (40, 40, 40, 200) for _ in range(50)]
+    dotted = [("%s.%s" % ("".join(rng.choice("ABCDEFGHIJKLMNOPQRSTUVWXYZ") for _ in range(4)), "".join(rng.choice("0123456789") for _ in range(4)))).encode() for _ in range(200)]
+    plain = ["".join(rng.choice("abcdefghijklmnopqrstuvwxyz") for _ in range(rng.randint(6, 20))).encode() for _ in range(200)]
+    f = secret_scan.Formats({"hex": hexes, "assign": dotted}, plain)
+    # a start like a credential's does not decide about the rest
+    odd = hexes[0][:32] * 2 + b"=Zq_" * 30
+    assert f.matches(hexes[0][:32] * 2) and not f.matches(odd)
+    assert len(secret_scan.symbols(odd)) == len(odd)
+    # short and dotted formats are candidates from the shortest learned length on
+    assert [w for *_, w in secret_scan.candidates(b"x QRST.8261 y A1.b", [], f.least)] == [b"QRST.8261"] and f.matches(b"QRST.8261")
+
+
 def test_toxicity(spark, docs, empty):
     rng = random.Random(1)
     words = [f"word{i}" for i in range(200)]
