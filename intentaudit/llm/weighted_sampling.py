@@ -5,6 +5,9 @@ gamma and uniform variates fixed by (term, sample) give each weighted term an
 arrival value; the least one and its quantised weight form the sample. Two
 texts agree in a sample with probability equal to their generalised Jaccard
 similarity (sum of minima over sum of maxima of the weights).
+
+Terms are 64-bit hashes and never merged: the sample holds the hash, and the
+three variates come from three rows of a fixed table, each chosen by other bits of the hash.
 """
 
 from __future__ import annotations
@@ -19,29 +22,29 @@ from pyspark.sql import functions as F
 
 from .common import WordIds, map_batches, text_of
 
-SAMPLES, TERMS, SEED = 64, 1 << 16, 97
+SAMPLES, ROWS, SEED = 64, 1 << 16, 97
 _MULT = np.uint64(0x9E3779B97F4A7C15)
 
 
 @functools.cache
-def variates(samples: int = SAMPLES, terms: int = TERMS, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Per (term, sample): gamma(2,1) step, its inverse, uniform shift, and log gamma(2,1) less the step; a fixed table."""
+def variates(samples: int = SAMPLES, rows: int = ROWS, seed: int = SEED) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+    """Per (row, sample): gamma(2,1) step, its inverse, uniform shift, and log gamma(2,1); a fixed table."""
     rng = np.random.Generator(np.random.PCG64(seed))
-    step = rng.gamma(2.0, 1.0, (terms, samples)).astype(np.float32) + np.float32(1e-6)
-    level = np.log(rng.gamma(2.0, 1.0, (terms, samples)) + 1e-12).astype(np.float32) - step
-    return step, np.float32(1) / step, rng.random((terms, samples), dtype=np.float32), level
+    step = rng.gamma(2.0, 1.0, (rows, samples)).astype(np.float32) + np.float32(1e-6)
+    level = np.log(rng.gamma(2.0, 1.0, (rows, samples)) + 1e-12).astype(np.float32)
+    return step, np.float32(1) / step, rng.random((rows, samples), dtype=np.float32), level
 
 
-def weighted_terms(text: bytes, ids: WordIds, terms: int = TERMS) -> tuple[np.ndarray, np.ndarray]:
-    """(term numbers, weights): words by root of count in the lower half of the numbers, pairs of neighbours by count in the upper half."""
+def weighted_terms(text: bytes, ids: WordIds) -> tuple[np.ndarray, np.ndarray]:
+    """(term hashes, weights): words by root of count, then pairs of neighbours by count."""
     h = ids.array(text.lower().split())
     if not len(h):
-        return np.zeros(0, np.int64), np.zeros(0, np.float32)
-    half = np.uint64(terms // 2)
-    words, n = np.unique(((h * _MULT) >> np.uint64(40)) % half, return_counts=True)
+        return np.zeros(0, np.uint64), np.zeros(0, np.float32)
+    words, n = np.unique(h * _MULT, return_counts=True)
     pair = (h[:-1] * _MULT) ^ (h[1:] + (h[1:] << np.uint64(9)))
-    pairs, m = np.unique(((pair * _MULT) >> np.uint64(40)) % half + half, return_counts=True)
-    return np.concatenate([words, pairs]).astype(np.int64), np.concatenate([np.sqrt(n), m]).astype(np.float32)
+    pair ^= pair >> np.uint64(31)
+    pairs, m = np.unique(pair * _MULT, return_counts=True)
+    return np.concatenate([words, pairs]), np.concatenate([np.sqrt(n), m]).astype(np.float32)
 
 
 def sample_signature(at: np.ndarray, weights: np.ndarray) -> np.ndarray:
@@ -51,19 +54,21 @@ def sample_signature(at: np.ndarray, weights: np.ndarray) -> np.ndarray:
     every, log = np.arange(SAMPLES), np.log(weights)[:, None]
     for lo in range(0, len(at), 512):  # blocks that stay in the cache
         k = at[lo : lo + 512]
-        d = shift.take(k, axis=0)
-        t = inverse.take(k, axis=0)
+        a, b, c = ((k >> np.uint64(x) & np.uint64(ROWS - 1)).astype(np.int64) for x in (48, 32, 16))
+        d = shift.take(b, axis=0)
+        t = inverse.take(a, axis=0)
         t *= log[lo : lo + 512]
         t += d
         np.floor(t, out=t)
         np.subtract(t, d, out=d)
-        d *= step.take(k, axis=0)
-        arrival = np.subtract(level.take(k, axis=0), d, out=d)
+        d += np.float32(1)
+        d *= step.take(a, axis=0)
+        arrival = np.subtract(level.take(c, axis=0), d, out=d)
         i = arrival.argmin(axis=0)
         least = arrival[i, every]
         new = least < best
         best[new] = least[new]
-        code = k[i].astype(np.uint64) * _MULT + t[i, every].astype(np.int64).view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(1)
+        code = k[i] * _MULT + t[i, every].astype(np.int64).view(np.uint64) * np.uint64(0xC2B2AE3D27D4EB4F) + np.uint64(1)
         key[new] = code[new]
     return ((key ^ (key >> np.uint64(29))) >> np.uint64(8)).astype(np.uint32) | np.uint32(1) if len(at) else np.zeros(SAMPLES, np.uint32)
 
