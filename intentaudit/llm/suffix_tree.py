@@ -8,15 +8,19 @@ explains. A retained context keeps all its next words; its distribution is smoot
 suffix's, down to the unigram root; a word is scored in the state of the
 longest retained suffix of what precedes it.
 
-Words, contexts and next words are rows of tables that grow with the corpus;
-they reach the scoring tasks by joins on 64-bit codes. Only bit maps of fixed
-size are broadcast. They save rows that could not match; a false hit costs
-time and changes nothing.
+Texts are read once: they become blocks of small integers beside the 64-bit hashes
+of the words they stand for, and blocks of a task make up chunks. Level by level, each chunk sends the
+runs that it holds with their counts, and gets back their counts in the corpus, so
+that no task holds the whole model. A run that only one training document holds once is not
+sent back: where its document asks for it, its count is one.
+Only bit maps of fixed size are broadcast. They save rows that could not
+match; a false hit costs time and changes nothing.
 """
 
 from __future__ import annotations
 
 import math
+from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -24,27 +28,16 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import WordIds, blobs, fold, map_batches, materialize, settled, text_of
+from .common import blobs, fold, map_batches, materialize, sized, text_of
 
 FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
 CHUNK_BYTES = 32 << 20
+BLOCK, PART = 1 << 17, 1_500_000  # tokens of a block, and about those whose counts one task settles
+VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
+END = b"\n"  # no word holds a line feed
 _P1, _P2, _P3, _P4, _P5 = (np.uint64(p) for p in (0x9E3779B185EBCA87, 0xC2B2AE3D27D4EB4F, 0x165667B19E3779F9, 0x85EBCA77C2B2AE63, 0x27D4EB2F165667C5))
-
-
-def tokens(texts: list[bytes], ids: WordIds) -> tuple[np.ndarray, np.ndarray]:
-    """Word hashes (A-Z lowered) of the texts, each followed by the end, and where each text starts."""
-    words, starts = [], []
-    for t in texts:
-        starts.append(len(words))
-        words += t.lower().split()
-        words.append(b"\n")  # no word holds a line feed
-    return ids.array(words), np.array(starts, np.int64)
-
-
-def place_in_text(n: int, starts: np.ndarray) -> np.ndarray:
-    """Number of tokens before each token in its own text."""
-    return np.arange(n) - np.repeat(starts, np.diff(np.append(starts, n)))
+_GAP = b" \t\n\x0b\x0c\r"
 
 
 def _hash_long(x: np.ndarray, seed) -> np.ndarray:
@@ -80,57 +73,244 @@ def in_map(bits: np.ndarray, codes: np.ndarray) -> np.ndarray:
     return (bits[(at >> np.uint64(6)).view(np.int64)] >> (at & np.uint64(63))) & np.uint64(1) != 0
 
 
+# blocks
+
+
+class _Vocabulary(dict):
+    """Words to small integers, in order of appearance."""
+
+    def __missing__(self, word: bytes) -> int:
+        i = self[word] = len(self)
+        return i
+
+
+def words_of(text: bytes) -> Iterator[list[bytes]]:
+    """The words (A-Z lowered) of a text and its end, a long text slice by slice."""
+    at = 0
+    while len(text) - at > SLICE:
+        cut = at + SLICE
+        while cut < len(text) and text[cut] not in _GAP:
+            cut += 1
+        yield text[at:cut].lower().split()
+        at = cut
+    last = (text[at:] if at else text).lower().split()
+    last.append(END)
+    yield last
+
+
+class _Blocks:
+    """Cuts the texts of a task into blocks; a text that passes a block's end goes on in the next, led by its last ``depth`` words."""
+
+    def __init__(self, task: int, depth: int, chunk_bytes: int, block: int):
+        import xxhash
+
+        self.hash, self.task, self.depth, self.chunk_bytes, self.block = xxhash.xxh64_intdigest, task, depth, chunk_bytes, block
+        self.rows, self.bytes, self.done = 0, 0, []
+        self._open()
+
+    def _open(self) -> None:
+        self.words, self.ids, self.pieces, self.n = _Vocabulary(), [], [], 0
+
+    def _put(self, words: list[bytes]) -> None:
+        self.ids.append(np.fromiter(map(self.words.__getitem__, words), np.uint16, len(words)))
+        self.n += len(words)
+
+    def close(self) -> None:
+        if self.n:
+            hashes = np.fromiter((self.hash(w, 0) for w in self.words), np.uint64, len(self.words))
+            p = np.array(self.pieces, np.int64)
+            train = int((p[:, 4] - p[:, 3])[p[:, 2] & 1 == 0].sum())
+            self.done.append(((self.task << 24) + self.bytes // self.chunk_bytes, train, self.n, np.concatenate(self.ids).tobytes(), hashes.tobytes(), p.tobytes()))
+        self._open()
+
+    def add(self, doc, held: bool, text: bytes) -> None:
+        row, self.rows = (self.task << 40) + self.rows, self.rows + 1
+        flags, tail = int(held) + 2 * (doc is None), []
+        for words in words_of(text):
+            at = 0
+            while at < len(words):
+                room = min(VOCABULARY - len(self.words), self.block - self.n) - self.depth
+                if room <= 0:
+                    self.close()
+                    continue
+                part = words if not at and len(words) <= room else words[at : at + room]
+                before = self.n
+                if tail:
+                    self._put(tail)
+                self._put(part)
+                self.pieces.append((row, doc or 0, flags, len(tail), self.n - before))
+                at += len(part)
+                tail = [*tail, *part[-self.depth :]][-self.depth :] if self.depth else []
+        self.bytes += len(text)
+
+
+def blocks_of(docs: DataFrame, id_col: str, text_col: str, depth: int, chunk_bytes: int, block: int = BLOCK) -> DataFrame:
+    """(chunk, train, tokens, ids, vocab, pieces): the texts as blocks, written down.
+
+    A piece is (row, doc_id, flags, lead, tokens): flag 1 is held out, 2 a null identifier; ``lead`` of its tokens belong to an earlier piece of the row.
+    """
+
+    def run(batches):
+        from pyspark import TaskContext
+
+        cut = _Blocks(TaskContext.get().partitionId(), depth, chunk_bytes, block)
+
+        def out():
+            c = list(zip(*cut.done))
+            cut.done = []
+            return pa.record_batch([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), *(pa.array(x, pa.binary()) for x in c[3:])], ["chunk", "train", "tokens", "ids", "vocab", "pieces"])
+
+        for b in batches:
+            for doc, held, text in zip(b.column("doc_id").to_pylist(), b.column("held").to_pylist(), blobs(b.column("text"))):
+                cut.add(doc, held, text)
+                if len(cut.done) >= 8:
+                    yield out()
+        cut.close()
+        if cut.done:
+            yield out()
+
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), FOLDS) == 0).alias("held"), text_of(text_col).cast("binary").alias("text"))
+    return materialize(map_batches(base, run, "chunk long, train long, tokens long, ids binary, vocab binary, pieces binary"))
+
+
+@dataclass
+class _Block:
+    """A block read back: word hashes, word numbers, pieces; per token its place in the document, whether it is the piece's own, and whether its row is training text."""
+
+    vocab: np.ndarray
+    ids: np.ndarray
+    pieces: np.ndarray
+    place: np.ndarray
+    own: np.ndarray
+    train: np.ndarray
+
+
+def _read(ids: bytes, vocab: bytes, pieces: bytes) -> _Block:
+    p = np.frombuffer(pieces, np.int64).reshape(-1, 5)
+    n = p[:, 4]
+    place = np.arange(int(n.sum())) - np.repeat(np.cumsum(n) - n, n)
+    return _Block(np.frombuffer(vocab, np.uint64), np.frombuffer(ids, np.uint16), p, place, place >= np.repeat(p[:, 3], n), np.repeat(p[:, 2] & 1 == 0, n))
+
+
+# counts
+
+
 class _Counts:
-    """Counts of 64-bit codes, each with its further columns, merged when the buffer is full."""
+    """Counts of 64-bit codes in training and in held-out text, each code with its further columns, merged when the buffer is full."""
 
     def __init__(self, limit: int = 2_000_000):
         self.parts, self.n, self.limit = [], 0, limit
 
     def add(self, *columns: np.ndarray) -> None:
-        self.parts.append((*columns, np.ones(len(columns[0]), np.int64)))
+        """Codes, further columns, training counts, held-out counts."""
+        self.parts.append(columns)
         self.n += len(columns[0])
         if self.n > self.limit:
             self.settle()
             self.limit = max(self.limit, 2 * self.n)
 
     def settle(self) -> tuple[np.ndarray, ...]:
-        """The codes, their further columns and their counts."""
-        codes, *more, counts = (np.concatenate(c) for c in zip(*self.parts))
-        order = np.argsort(codes, kind="stable")
-        codes = codes[order]
+        columns = [np.concatenate(c) for c in zip(*self.parts)]
+        order = np.argsort(columns[0], kind="stable")
+        codes = columns[0][order]
         first = np.flatnonzero(np.r_[True, codes[1:] != codes[:-1]]) if len(codes) else np.zeros(0, np.int64)
-        out = (codes[first], *(c[order[first]] for c in more), np.add.reduceat(counts[order], first) if len(first) else counts)
-        self.parts, self.n = [out], len(first)
-        return out
+        more = [c[order[first]] for c in columns[1:-2]]
+        sums = [np.add.reduceat(c[order], first) if len(first) else c for c in columns[-2:]]
+        self.parts, self.n = [(codes[first], *more, *sums)], len(first)
+        return self.parts[0]
 
 
-def _emit(counts: _Counts, names: list[str], size: int = 100_000):
-    if counts.parts:
-        columns = counts.settle()
-        for at in range(0, len(columns[0]), size):
-            yield pa.record_batch([pa.array(c[at : at + size].view(np.int64)) for c in columns], names)
+def _asks(blocks: DataFrame, depth: int, allowed) -> DataFrame:
+    """(chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, with their counts in training and held-out text; of single words ``up`` is the word and ``ctx`` 0."""
 
+    def run(batches):
+        chunk, total = None, _Counts()
 
-def _count(texts: DataFrame, depth: int, allowed) -> DataFrame:
-    """Counts of the runs of depth + 1 words: (code, n) of single words, else (ctx, up, n) of those whose context may be in the bit map."""
+        def out(size=100_000):
+            if total.parts:
+                _, ctx, up, n, held = total.settle()
+                order = np.argsort(ctx, kind="stable")  # rows with a context in common, one after the other, take less room
+                for at in range(0, len(order), size):
+                    i = order[at : at + size]
+                    yield pa.record_batch([pa.array(np.full(len(i), chunk, np.int64)), pa.array(ctx[i].view(np.int64)), pa.array(up[i].view(np.int64)), pa.array(n[i].astype(np.int32)), pa.array(held[i].astype(np.int32))], ["chunk", "ctx", "up", "n", "held"])
 
-    def run(batches):
-        ids, total = WordIds(), _Counts()
         for b in batches:
-            h, starts = tokens(blobs(b.column("text")), ids)
-            if not depth:
-                total.add(h)
-                continue
-            for _ in range(depth - 1):
-                h = longer(h)
-            i = np.flatnonzero(place_in_text(len(h), starts) >= depth)
-            i = i[in_map(allowed.value, h[i - 1])]
-            total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i])
-        for out in _emit(total, ["code", "ctx", "up", "n"] if depth else ["code", "n"]):
-            yield out.select(["ctx", "up", "n"]) if depth else out
-
-    keys = ["ctx", "up"] if depth else ["code"]
-    return map_batches(texts.select("text"), run, f"{' long, '.join(keys)} long, n long").groupBy(*keys).agg(F.sum("n").alias("n"))
+            for c, ids, vocab, pieces in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces"))):
+                if c != chunk:
+                    yield from out()
+                    chunk, total = c, _Counts()
+                k = _read(ids, vocab, pieces)
+                if not depth:
+                    n, held = (np.bincount(k.ids[k.own & t], minlength=len(k.vocab)) for t in (k.train, ~k.train))
+                    seen = n + held > 0
+                    total.add(k.vocab[seen], np.zeros(int(seen.sum()), np.uint64), k.vocab[seen], n[seen], held[seen])
+                    continue
+                h = k.vocab[k.ids]
+                for _ in range(depth - 1):
+                    h = longer(h)
+                i = np.flatnonzero((k.place >= depth) & k.own)
+                i = i[in_map(allowed.value, h[i - 1])]
+                train = k.train[i].astype(np.int64)
+                total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i], train, 1 - train)
+        yield from out()
+
+    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "chunk long, ctx long, up long, n int, held int")
+
+
+def _answers(asks: DataFrame, parts: int, depth: int, least: int) -> DataFrame:
+    """(chunk, code, n, ctx, up, first): for every chunk the corpus counts of the runs it asked for, written down.
+
+    Runs counted fewer than ``least`` times, but for those that held-out text asks
+    for too, are left out. ``first`` marks one row of each run, which alone has ctx and up; a row without a chunk has
+    in ``n`` the number of runs of training text that one task left out.
+    """
+
+    def run(batches):
+        got = [pa.Table.from_batches([b]) for b in batches]
+        if not got:
+            return
+        t = pa.concat_tables(got)
+        chunk, ctx, up, n, held = (t.column(c).to_numpy() for c in ("chunk", "ctx", "up", "n", "held"))
+        code = code_of(ctx.view(np.uint64), up.view(np.uint64)).view(np.int64) if depth else up
+        order = np.argsort(code, kind="stable")
+        code = code[order]
+        start = np.flatnonzero(np.r_[True, code[1:] != code[:-1]])
+        size = np.diff(np.append(start, len(code)))
+        total, asked = np.add.reduceat(n[order].astype(np.int64), start), np.add.reduceat(held[order].astype(np.int64), start)
+        stay = (total >= least) | ((total > 0) & (asked > 0))
+        dropped = int(((total > 0) & ~stay).sum())
+        rows = np.flatnonzero(np.repeat(stay, size))
+        first = np.zeros(len(code), bool)
+        first[start] = True
+        first, at, sums = first[rows], order[rows], np.repeat(total, size)[rows]
+        names = ["chunk", "code", "n", "ctx", "up", "first"]
+        for lo in range(0, len(rows), 100_000):
+            p = slice(lo, lo + 100_000)
+            yield pa.record_batch([pa.array(chunk[at[p]]), pa.array(code[rows[p]]), pa.array(sums[p]), pa.array(ctx[at[p]], mask=~first[p]), pa.array(up[at[p]], mask=~first[p]), pa.array(first[p])], names)
+        yield pa.record_batch([pa.array([None], pa.int64()), pa.array([0], pa.int64()), pa.array([dropped], pa.int64()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([False])], names)
+
+    return materialize(map_batches(asks.repartition(parts, "ctx", "up"), run, "chunk long, code long, n long, ctx long, up long, first boolean"))
+
+
+def _retained(grams: DataFrame, contexts: DataFrame, suffixes: DataFrame, gain: float) -> DataFrame:
+    """(code, total, kinds) of the contexts that stay, written down.
+
+    grams: (ctx, up, n) counted twice or more; contexts: (ctx, total); suffixes: (up, m, all), counts of the same
+    word after the suffix and of the suffix. Every occurrence is rated by the counts of its
+    context without itself, smoothed as in scoring, against the suffix; what
+    is seen once rates alike whatever the word. The mean gain has to pass ``gain``
+    nats, and the sum four deviations of its noise.
+    """
+    rows = grams.groupBy("ctx").agg(F.sum("n").alias("twice"), F.count("*").alias("types"))
+    sizes = sized(materialize(rows.join(contexts, "ctx").select("ctx", "total", (F.col("types") + F.col("total") - F.col("twice")).alias("kinds"), (F.col("total") - F.col("twice")).alias("once"))))
+    p = F.col("m") / F.col("all")
+    own = (F.col("n") - 1 + F.col("kinds") * p) / (F.col("total") - 1 + F.col("kinds"))
+    rated = grams.join(sizes, "ctx").join(suffixes, "up").withColumn("l", F.ln(own / p))
+    each = rated.groupBy("ctx").agg(F.first("total").alias("total"), F.first("kinds").alias("kinds"), F.first("once").alias("once"), F.sum(F.col("n") * F.col("l")).alias("div"), F.sum(F.col("n") * F.col("l") * F.col("l")).alias("square"))
+    single = F.ln(F.col("kinds") / (F.col("total") - 1 + F.col("kinds")))
+    each = each.withColumn("div", F.col("div") + F.col("once") * single).withColumn("square", F.col("square") + F.col("once") * single * single)
+    noise = F.sqrt(F.greatest(F.col("square") - F.col("div") * F.col("div") / F.col("total"), F.lit(0.0)))
+    return materialize(each.filter((F.col("div") >= gain * F.col("total")) & (F.col("div") > 4 * noise)).select(F.col("ctx").alias("code"), "total", "kinds"))
 
 
 @dataclass
@@ -145,136 +325,154 @@ class SuffixTree:
     def root(self, c: np.ndarray) -> np.ndarray:
         return (c + ADD) / (self.words + ADD * (self.distinct + 1))
 
-    def wanted(self, h: np.ndarray, starts: np.ndarray):
-        """Per length of context from 1 on: tokens that may have one, their contexts' codes and their own; and the codes that count or continue at each."""
-        place = place_in_text(len(h), starts)
-        state = in_map(self.contexts, h)
-        for depth in range(1, self.depth + 1):
-            run = longer(h)
-            i = np.flatnonzero(place >= depth)
-            i = i[state[i - 1]]
-            state = in_map(self.contexts, run) if depth < self.depth else np.zeros(len(run), bool)
-            yield i, h[i - 1], run[i], run[(place >= depth) & state]
-            h = run
-
 
-def _retained(grams: DataFrame, sums: DataFrame, support: int, gain: float) -> tuple[DataFrame, DataFrame]:
-    """(ctx, total, kinds) of all contexts with the support, and (code, total, kinds) of those retained.
+def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int) -> tuple[SuffixTree, list[DataFrame], list[DataFrame]]:
+    """The tree's size, the answers of each level (words, pairs, ...) and the retained contexts of one word, two words, ..."""
+    spark = blocks.sparkSession
+    words, tokens = blocks.agg(F.coalesce(F.sum("train"), F.lit(0)), F.coalesce(F.sum("tokens"), F.lit(0))).collect()[0]
+    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(tokens / PART))
+    answers, kept, firsts = [_answers(_asks(blocks, 0, None), parts, 0, least)], [], []
+    distinct = answers[0].agg(F.coalesce(F.sum(F.when(F.col("chunk").isNull(), F.col("n")).when(F.col("first"), 1)), F.lit(0))).collect()[0][0]
+    bits = np.zeros(1 << (BITS - 6), np.uint64)
+    for d in range(1, depth + 1):
+        firsts.append(answers[-1].filter("first").select("code", "ctx", "n"))
+        allowed = bit_map(firsts[-1].filter(F.col("n") >= support))
+        if not allowed.any():
+            break
+        answers.append(_answers(_asks(blocks, d, spark.sparkContext.broadcast(allowed)), parts, d, least))
+        grams = answers[-1].filter("first and n >= 2").select("ctx", "up", "n")
+        contexts = firsts[-1].filter(F.col("n") >= support).select(F.col("code").alias("ctx"), F.col("n").alias("total"))
+        suffixes = firsts[-1].filter("n >= 2").select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
+        if d == 1:
+            suffixes = suffixes.select("up", "m", F.lit(int(words)).alias("all"))
+        else:
+            above = firsts[-2].filter(F.col("n") >= support).select(F.col("code").alias("ctx"), F.col("n").alias("all"))
+            suffixes = suffixes.join(sized(above), "ctx").select("up", "m", "all")
+        kept.append(_retained(grams, contexts, suffixes, gain))
+        bits |= bit_map(kept[-1])
+    return SuffixTree(int(words), int(distinct), depth, bits), answers, kept
+
+
+def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN, chunk_bytes: int = CHUNK_BYTES) -> tuple[SuffixTree, DataFrame]:
+    """The tree's size and the table (code, n, total, kinds), from documents of folds other than 0, for scoring other documents too.
 
-    grams: (ctx, n, m, pk): counts, the suffix's counts of the same word, and
-    the suffix; sums: (pk, all), the suffix's total. Every occurrence is rated by the counts of its context
-    without itself, smoothed as in scoring, against the suffix. The mean gain has to pass ``gain``
-    nats, and the sum four deviations of its noise.
+    A row with ``n`` counts a word or a retained context's next word, a row with ``total`` is a retained context.
     """
-    totals = settled(grams.groupBy("ctx").agg(F.sum("n").alias("total"), F.count("*").alias("kinds")).filter(F.col("total") >= support))
-    p = F.col("m") / F.col("all")
-    own = (F.col("n") - 1 + F.col("kinds") * p) / (F.col("total") - 1 + F.col("kinds"))
-    rated = grams.join(totals, "ctx").join(sums, "pk").withColumn("l", F.ln(own / p))
-    each = rated.groupBy("ctx").agg(F.first("total").alias("total"), F.first("kinds").alias("kinds"), F.sum(F.col("n") * F.col("l")).alias("div"), F.sum(F.col("n") * F.col("l") * F.col("l")).alias("square"))
-    noise = F.sqrt(F.greatest(F.col("square") - F.col("div") * F.col("div") / F.col("total"), F.lit(0.0)))
-    kept = each.filter((F.col("div") >= gain * F.col("total")) & (F.col("div") > 4 * noise)).select(F.col("ctx").alias("code"), "total", "kinds")
-    return totals, materialize(kept)
+    tree, answers, kept = _grow(blocks_of(docs, id_col, text_col, depth, chunk_bytes), support, depth, gain, 1)
+    none = F.lit(0).cast("long")
+    table = answers[0].filter("first").select("code", "n", none.alias("total"), none.alias("kinds"))
+    for a, k in zip(answers[1:], kept):
+        table = table.union(a.filter("first").join(k.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n", none, none)).union(k.select("code", none, "total", "kinds"))
+    return tree, table
 
 
-def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN) -> tuple[SuffixTree, DataFrame]:
-    """The tree's size and the table (code, n, total, kinds), from documents of folds other than 0.
+# scoring
 
-    A row with ``n`` counts a word or a retained context's next word, a row with ``total`` is a retained context.
-    """
-    spark = docs.sparkSession
-    train = docs.filter(fold(F.col(id_col), FOLDS) != 0).select(text_of(text_col).cast("binary").alias("text"))
-    words = materialize(_count(train, 0, None))
-    n, v = words.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).collect()[0]
-    none = F.lit(0).cast("long")
-    counts, contexts = words.select("code", "n"), []
-    level, sums = words.withColumn("ctx", none), F.broadcast(spark.createDataFrame([(0, int(n))], "pk long, all long"))
-    for d in range(1, depth + 1):
-        bits = bit_map(level.filter(F.col("n") >= support))
-        if not bits.any():
-            break
-        suffix = level.select(F.col("code").alias("up"), F.col("n").alias("m"), F.col("ctx").alias("pk"))
-        level = materialize(_count(train, d, spark.sparkContext.broadcast(bits)).join(suffix, "up").withColumn("code", F.xxhash64("ctx", "up")).drop("up"))
-        totals, kept = _retained(level, sums, support, gain)
-        counts = counts.union(level.join(kept.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n"))
-        contexts.append(kept)
-        sums = totals.select(F.col("ctx").alias("pk"), F.col("total").alias("all"))
-    table = counts.select("code", "n", none.alias("total"), none.alias("kinds"))
-    for kept in contexts:
-        table = table.union(kept.select("code", none.alias("n"), "total", "kinds"))
-    bits = np.zeros(1 << (BITS - 6), np.uint64)
-    for kept in contexts:
-        bits |= bit_map(kept)
-    return SuffixTree(int(n), int(v), depth, bits), table
 
+def _wanted(blocks: DataFrame, tree: SuffixTree) -> DataFrame:
+    """(chunk, code): what each chunk may have in a tree of other documents, once each."""
+    held = blocks.sparkSession.sparkContext.broadcast(tree)
 
-def _found(codes: np.ndarray, values: np.ndarray, asked: np.ndarray) -> np.ndarray:
-    """The values of the codes asked for, 0 where there is none."""
-    if not len(codes):
-        return np.zeros(len(asked))
-    at = np.searchsorted(codes, asked)
-    at[at == len(codes)] = 0
-    return np.where(codes[at] == asked, values[at], 0.0)
+    def run(batches):
+        for b in batches:
+            for c, ids, vocab, pieces in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces"))):
+                k = _read(ids, vocab, pieces)
+                h, codes = k.vocab[k.ids], [k.vocab]
+                for d in range(1, held.value.depth + 1):
+                    run = longer(h)
+                    i = np.flatnonzero((k.place >= d) & k.own)
+                    codes.append(run[i[in_map(held.value.contexts, h[i - 1])]])
+                    h = run
+                    codes.append(h[(k.place >= d) & in_map(held.value.contexts, h)])
+                every = np.unique(np.concatenate(codes))
+                for at in range(0, len(every), 100_000):
+                    part = every[at : at + 100_000]
+                    yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part.view(np.int64))], ["chunk", "code"])
+
+    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "chunk long, code long").distinct()
+
+
+class _Table:
+    """A chunk's answers: counts and, for retained contexts, kinds of next words."""
+
+    def __init__(self, code: np.ndarray, n: np.ndarray, kinds: np.ndarray):
+        order = np.argsort(code.view(np.uint64), kind="stable")
+        code = code.view(np.uint64)[order]
+        start = np.flatnonzero(np.r_[True, code[1:] != code[:-1]]) if len(code) else np.zeros(0, np.int64)
+        most = lambda v: np.maximum.reduceat(v[order].astype(float), start) if len(start) else np.zeros(0)
+        self.code, self.n, self.kinds = code[start], most(n), most(kinds)
+
+    def find(self, asked: np.ndarray) -> np.ndarray:
+        """Row of each code, or -1."""
+        if not len(self.code):
+            return np.full(len(asked), -1)
+        once, back = np.unique(asked, return_inverse=True)
+        at = np.searchsorted(self.code, once)
+        at[at == len(self.code)] = 0
+        return np.where(self.code[at] == once, at, -1)[back]
+
+    def at(self, values: np.ndarray, rows: np.ndarray, otherwise) -> np.ndarray:
+        return np.where(rows >= 0, values[rows], otherwise) if len(values) else np.broadcast_to(otherwise, len(rows)).astype(float)
+
+
+def _rated(tree: SuffixTree, table: _Table, k: _Block, within: bool) -> np.ndarray:
+    """Per piece: tokens, known tokens, log10 probabilities by unigrams and by the tree."""
+    single = (k.train if within else np.zeros(len(k.ids), bool)).astype(float)
+    words = table.find(k.vocab)
+    c = np.where(words[k.ids] >= 0, table.at(table.n, words, 0.0)[k.ids], single)
+    p = tree.root(c)
+    base = np.log10(p)
+    kinds, totals = table.at(table.kinds, words, 0.0)[k.ids], table.at(table.n, words, 0.0)[k.ids]
+    h = k.vocab[k.ids]
+    for d in range(1, tree.depth + 1):
+        i = np.flatnonzero((k.place >= d) & k.own)
+        i = i[kinds[i - 1] > 0]
+        run = longer(h)
+        n, t = table.at(table.n, table.find(run[i]), single[i]), totals[i - 1]
+        p[i] = (n + kinds[i - 1] * p[i]) / (t + kinds[i - 1])
+        if d < tree.depth:
+            kinds, totals = np.zeros(len(h)), np.zeros(len(h))
+            may = np.flatnonzero((k.place >= d) & in_map(tree.contexts, run))
+            rows = table.find(run[may])
+            kinds[may], totals[may] = table.at(table.kinds, rows, 0.0), table.at(table.n, rows, 0.0)
+            h = run
+    start = np.cumsum(k.pieces[:, 4]) - k.pieces[:, 4]
+    sums = lambda v: np.add.reduceat(np.where(k.own, v, 0.0), start)
+    return np.stack([sums(1.0), sums((c > 0).astype(float)), sums(base), sums(np.log10(p))])
 
 
-def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, model: tuple[SuffixTree, DataFrame] | None = None) -> DataFrame:
+def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, model: tuple[SuffixTree, DataFrame] | None = None, support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN, block: int = BLOCK) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
-    Texts are dealt by hash into chunks of about ``chunk_bytes``; each chunk
-    meets the counts and contexts of its own words, so no task holds the whole
-    model. Null texts are empty (the end alone); a null identifier hashes
-    as ''; repeated rows each get their row. With no training document every count is 0. Extra
-    columns are ignored.
+    Without ``model`` the tree is grown from the documents of folds other than 0
+    of the same table. Null texts are empty (the end alone); a null identifier hashes
+    as ''; repeated rows each get their row; a very long text is cut into pieces whose contexts reach back over the cut. With no training document every count is 0. An empty
+    table gives an empty result. Extra columns are ignored.
     """
-    tree, table = model or fit(docs, id_col, text_col)
-    spark = docs.sparkSession
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), FOLDS) == 0).alias("held_out"), text_of(text_col).cast("binary").alias("text"))
-    size = docs.agg(F.coalesce(F.sum(F.octet_length(text_col)), F.lit(0))).collect()[0][0]
-    chunks = max(1, math.ceil(size / chunk_bytes))
-    dealt = base.withColumn("chunk", F.pmod(F.xxhash64("doc_id", F.octet_length("text")), F.lit(chunks)).cast("int")).repartition("chunk")
-    held = spark.sparkContext.broadcast(tree)
-
-    def ask(batches):
-        """The codes that the chunks that this task got may have in the model, once each."""
-        ids, asked = WordIds(), {}
-        for b in batches:
-            chunk, texts = b.column("chunk").to_numpy(), blobs(b.column("text"))
-            for c in np.unique(chunk).tolist():
-                h, starts = tokens([texts[i] for i in np.flatnonzero(chunk == c)], ids)
-                into = asked.setdefault(c, _Counts())
-                into.add(h)
-                for _, _, own, state in held.value.wanted(h, starts):
-                    into.add(own)
-                    into.add(state)
-        for c, counts in asked.items():
-            for out in _emit(counts, ["code", "n"]):
-                yield pa.record_batch([pa.array(np.full(out.num_rows, c, np.int32)), out.column("code")], ["chunk", "code"])
+    blocks = blocks_of(docs, id_col, text_col, model[0].depth if model else depth, chunk_bytes, block)
+    zero = F.lit(0).cast("long")
+    if model:
+        tree, table = model
+        rows = _wanted(blocks, tree).join(table.select("code", F.greatest("n", "total").alias("n"), "kinds"), "code").select("chunk", "code", "n", "kinds")
+    else:
+        tree, answers, kept = _grow(blocks, support, depth, gain, 2)
+        given = [a.filter("chunk is not null").select("chunk", "code", "n") for a in answers]
+        level = [a.join(sized(k.select("code", "kinds")), "code", "left").select("chunk", "code", "n", F.coalesce("kinds", zero).alias("kinds")) for a, k in zip(given, kept)]
+        rows = level[0] if level else given[0].withColumn("kinds", zero)
+        for more in [*level[1:], *(a.withColumn("kinds", zero) for a in given[max(1, len(kept)) :])]:
+            rows = rows.union(more)
+    held, within = blocks.sparkSession.sparkContext.broadcast(tree), model is None
 
     def rate(key, texts, rows):
-        ids, model = WordIds(), held.value
-        codes, n, total, kinds = (rows.column(c).to_numpy() for c in ("code", "n", "total", "kinds"))
-        codes = codes.view(np.uint64)
-
-        def part(at):
-            at = at[np.argsort(codes[at])]
-            return codes[at], n[at].astype(float), total[at].astype(float), kinds[at].astype(float)
-
-        (known, count, *_), (contexts, _, total, kinds) = part(np.flatnonzero(total == 0)), part(np.flatnonzero(total > 0))
-        every, out = [t or b"" for t in texts.column("text").to_pylist()], []
-        for lo in range(0, len(every), 256):
-            h, starts = tokens(every[lo : lo + 256], ids)
-            c = _found(known, count, h)
-            p = model.root(c)
-            first = np.log10(p)
-            for i, ctx, own, _ in model.wanted(h, starts):
-                t = _found(contexts, total, ctx)
-                i, ctx, own, t = i[t > 0], ctx[t > 0], own[t > 0], t[t > 0]
-                k = _found(contexts, kinds, ctx)
-                p[i] = (_found(known, count, own) + k * p[i]) / (t + k)
-            out += zip(np.diff(np.append(starts, len(h))), np.add.reduceat((c > 0).astype(np.int64), starts), np.add.reduceat(first, starts), np.add.reduceat(np.log10(p), starts))
-        c = list(zip(*out))
-        return pa.table([texts.column("doc_id"), texts.column("held_out"), pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array([model.words] * len(out), pa.int64()), pa.array(c[2], pa.float64()), pa.array(c[3], pa.float64())], ["doc_id", "held_out", "n_tokens", "n_known", "train_tokens", "base_score", "score"])
-
-    asked = map_batches(dealt.select("chunk", "text"), ask, "chunk int, code long")
-    rows = asked.join(table, "code").select("chunk", "code", "n", "total", "kinds")
-    schema = "doc_id long, held_out boolean, n_tokens long, n_known long, train_tokens long, base_score double, score double"
-    return dealt.groupBy("chunk").cogroup(rows.groupBy("chunk")).applyInArrow(rate, schema)
+        model = held.value
+        table = _Table(*(rows.column(c).to_numpy() for c in ("code", "n", "kinds")))
+        out = []
+        for ids, vocab, pieces in zip(*(blobs(texts.column(k).combine_chunks()) for k in ("ids", "vocab", "pieces"))):
+            k = _read(ids, vocab, pieces)
+            out.append((k.pieces, _rated(model, table, k, within)))
+        p, s = np.concatenate([x for x, _ in out]), np.concatenate([x for _, x in out], axis=1)
+        return pa.table([pa.array(p[:, 0]), pa.array(p[:, 1], mask=p[:, 2] & 2 > 0), pa.array(p[:, 2] & 1 > 0), pa.array(s[0].astype(np.int64)), pa.array(s[1].astype(np.int64)), pa.array(s[2]), pa.array(s[3])], ["row", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
+
+    rated = blocks.select("chunk", "ids", "vocab", "pieces").groupBy("chunk").cogroup(rows.groupBy("chunk")).applyInArrow(rate, "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+    each = rated.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.first("held_out").alias("held_out"), *[F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")])
+    return each.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tree.words).cast("long").alias("train_tokens"), "base_score", "score")

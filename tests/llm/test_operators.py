@@ -366,6 +366,76 @@ def test_suffix_tree_grows_with_the_corpus(spark):
     assert suffix_tree.code_of(np.array([5], np.int64).view(np.uint64), np.array([-7], np.int64).view(np.uint64)).view(np.int64)[0] == spark_codes
 
 
+def brute_suffix_tree(rows, support, depth, gain):
+    """Scores by the definition: counts of every run, contexts kept by their gain over the suffix, longest kept suffix last."""
+    toks = {i: [*(t or "").encode().lower().split(), b"\n"] for i, t, *_ in rows}
+    held = {i: zlib.crc32(str(i).encode()) % 10 == 0 for i in toks}
+    runs = Counter(tuple(w[e - k : e]) for i, w in toks.items() if not held[i] for k in range(1, depth + 2) for e in range(k, len(w) + 1))
+    n = sum(c for r, c in runs.items() if len(r) == 1)
+    v = sum(len(r) == 1 for r in runs)
+    nexts = {}
+    for r, c in runs.items():
+        if len(r) > 1:
+            nexts.setdefault(r[:-1], {})[r[-1]] = c
+    kept = set()
+    for ctx, after in nexts.items():
+        total, kinds = runs[ctx], len(after)
+        if total < support:
+            continue
+        each = []
+        for w, c in after.items():
+            p = runs[(*ctx[1:], w)] / (runs[ctx[1:]] if len(ctx) > 1 else n)
+            each += [math.log((c - 1 + kinds * p) / (total - 1 + kinds) / p)] * c
+        div, square = sum(each), sum(x * x for x in each)
+        if div >= gain * total and div > 4 * math.sqrt(max(square - div * div / total, 0)):
+            kept.add(ctx)
+    out = {}
+    for i, w in toks.items():
+        total = 0.0
+        for e in range(len(w)):
+            p = (runs[(w[e],)] + 0.1) / (n + 0.1 * (v + 1))
+            for d in range(1, min(depth, e) + 1):
+                ctx = tuple(w[e - d : e])
+                if ctx in kept:
+                    p = (runs[(*ctx, w[e])] + len(nexts[ctx]) * p) / (runs[ctx] + len(nexts[ctx]))
+            total += math.log10(p)
+        out[i] = total
+    return out, kept
+
+
+@pytest.mark.parametrize("depth,block,chunk_bytes", [(1, 1 << 17, 1 << 25), (2, 1 << 17, 3000), (3, 40, 1000)])
+def test_suffix_tree_against_brute_force(spark, depth, block, chunk_bytes):
+    """Blocks that cut texts, chunks and depths give the scores of the definition; runs seen once are counted too."""
+    rng = random.Random(31)
+    follow = {p: rng.randrange(8) for p in itertools.product(range(8), repeat=2)}
+    rows = []
+    for i in range(200):
+        w = [rng.randrange(8), rng.randrange(8)]
+        for _ in range(rng.randrange(60)):
+            w.append(follow[w[-2] % 8, w[-1] % 8] if rng.random() < 0.8 else rng.randrange(300))
+        rows.append((i, " ".join(f"w{x}" for x in w) if i % 50 else "", "s"))
+    want, kept = brute_suffix_tree(rows, 20, depth, 0.01)
+    assert any(len(c) == min(depth, 2) for c in kept)
+    df = make(spark, rows).repartition(3)
+    got = collect(suffix_tree.score(df, chunk_bytes=chunk_bytes, support=20, depth=depth, block=block))
+    for i, s in want.items():
+        assert abs(got[i]["score"] - s) < 1e-6, i
+    again = collect(suffix_tree.score(df, chunk_bytes=chunk_bytes, model=suffix_tree.fit(df, support=20, depth=depth), block=block))
+    assert all(abs(again[i]["score"] - s) < 1e-6 for i, s in want.items())
+
+
+def test_suffix_tree_of_a_very_long_text(spark):
+    """Two million words in one text, cut into many blocks, score as the same words in the definition of the unigrams."""
+    words = [f"w{i * 7919 % 100_003}" for i in range(2_000_000)]
+    out = collect(suffix_tree.score(make(spark, [(1, " ".join(words), "s"), (2, "w1 w2", "s")])))
+    assert out[1]["n_tokens"] == 2_000_001 and out[1]["n_known"] == 2_000_001 and out[2]["n_tokens"] == 3
+    count = Counter(words)
+    n, v = 2_000_004, len(count) + 1
+    count.update(["w1", "w2"])
+    want = sum(k * math.log10((count[w] + 0.1) / (n + 0.1 * (v + 1))) for w, k in Counter(words).items()) + math.log10(2.1 / (n + 0.1 * (v + 1)))
+    assert abs(out[1]["base_score"] - want) < 1e-3
+
+
 def test_mix(docs, empty):
     out = mixing.mix(docs).collect()
     rows = docs.collect()
