@@ -10,7 +10,7 @@ longest retained suffix of what precedes it.
 
 Texts are read once: they become blocks of small integers beside the 64-bit hashes
 of the words they stand for, and blocks of a task make up chunks. Level by level, each chunk sends the
-runs that it holds with their counts, and gets back their counts in the corpus, so
+runs that it holds with their counts, as arrays by range of the code, and gets back their counts in the corpus, so
 that no task holds the whole model. A run that only one training document holds once is not
 sent back: where its document asks for it, its count is one.
 Only bit maps of fixed size are broadcast. They save rows that could not
@@ -19,20 +19,22 @@ match; a false hit costs time and changes nothing.
 
 from __future__ import annotations
 
+import functools
 import math
 from collections.abc import Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import blobs, fold, map_batches, materialize, sized, text_of
 
 FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
-CHUNK_BYTES = 32 << 20
-BLOCK, PART = 1 << 17, 1_500_000  # tokens of a block, and about those whose counts one task settles
+CHUNK_BYTES = 16 << 20
+BLOCK, PART = 1 << 17, 3_000_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
 VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
 END = b"\n"  # no word holds a line feed
@@ -196,100 +198,138 @@ def _read(ids: bytes, vocab: bytes, pieces: bytes) -> _Block:
 
 
 class _Counts:
-    """Counts of 64-bit codes in training and in held-out text, each code with its further columns, merged when the buffer is full."""
+    """Runs by 64-bit code, each with its two shorter codes, its count in training text and whether held-out text has it; merged when the buffer is full."""
 
-    def __init__(self, limit: int = 2_000_000):
+    def __init__(self, limit: int = 1_000_000):
         self.parts, self.n, self.limit = [], 0, limit
 
-    def add(self, *columns: np.ndarray) -> None:
-        """Codes, further columns, training counts, held-out counts."""
-        self.parts.append(columns)
-        self.n += len(columns[0])
+    def add(self, code: np.ndarray, ctx: np.ndarray, up: np.ndarray, n: np.ndarray, held: np.ndarray) -> None:
+        self.parts.append((code, ctx, up, n.astype(np.int32), held.astype(bool)))
+        self.n += len(code)
         if self.n > self.limit:
             self.settle()
             self.limit = max(self.limit, 2 * self.n)
 
     def settle(self) -> tuple[np.ndarray, ...]:
         columns = [np.concatenate(c) for c in zip(*self.parts)]
+        self.parts = []
         order = np.argsort(columns[0], kind="stable")
         codes = columns[0][order]
         first = np.flatnonzero(np.r_[True, codes[1:] != codes[:-1]]) if len(codes) else np.zeros(0, np.int64)
-        more = [c[order[first]] for c in columns[1:-2]]
-        sums = [np.add.reduceat(c[order], first) if len(first) else c for c in columns[-2:]]
-        self.parts, self.n = [(codes[first], *more, *sums)], len(first)
-        return self.parts[0]
+        at = order[first]
+        out = (codes[first], columns[1][at], columns[2][at], np.add.reduceat(columns[3][order], first, dtype=np.int32) if len(first) else columns[3], np.logical_or.reduceat(columns[4][order], first) if len(first) else columns[4])
+        self.parts, self.n = [out], len(first)
+        return out
 
 
-def _asks(blocks: DataFrame, depth: int, allowed) -> DataFrame:
-    """(chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, with their counts in training and held-out text; of single words ``up`` is the word and ``ctx`` 0."""
+def _each_block(batches):
+    for b in batches:
+        yield from zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces")))
+
+
+def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
+    """(part, chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, as arrays, one row for each of ``parts`` ranges of the code; of single words ``up`` is the word and ``ctx`` 0."""
 
     def run(batches):
         chunk, total = None, _Counts()
 
-        def out(size=100_000):
-            if total.parts:
-                _, ctx, up, n, held = total.settle()
-                order = np.argsort(ctx, kind="stable")  # rows with a context in common, one after the other, take less room
-                for at in range(0, len(order), size):
-                    i = order[at : at + size]
-                    yield pa.record_batch([pa.array(np.full(len(i), chunk, np.int64)), pa.array(ctx[i].view(np.int64)), pa.array(up[i].view(np.int64)), pa.array(n[i].astype(np.int32)), pa.array(held[i].astype(np.int32))], ["chunk", "ctx", "up", "n", "held"])
-
-        for b in batches:
-            for c, ids, vocab, pieces in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces"))):
-                if c != chunk:
-                    yield from out()
-                    chunk, total = c, _Counts()
-                k = _read(ids, vocab, pieces)
-                if not depth:
-                    n, held = (np.bincount(k.ids[k.own & t], minlength=len(k.vocab)) for t in (k.train, ~k.train))
-                    seen = n + held > 0
-                    total.add(k.vocab[seen], np.zeros(int(seen.sum()), np.uint64), k.vocab[seen], n[seen], held[seen])
-                    continue
-                h = k.vocab[k.ids]
-                for _ in range(depth - 1):
-                    h = longer(h)
-                i = np.flatnonzero((k.place >= depth) & k.own)
-                i = i[in_map(allowed.value, h[i - 1])]
-                train = k.train[i].astype(np.int64)
-                total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i], train, 1 - train)
+        def out():
+            if not total.parts:
+                return
+            code, ctx, up, n, held = total.settle()
+            cuts = np.searchsorted(((code >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
+            rows = []
+            for part in np.flatnonzero(np.diff(cuts)):
+                at = slice(cuts[part], cuts[part + 1])
+                order = np.argsort(ctx[at], kind="stable")  # equal contexts side by side take less room
+                rows.append((int(part), chunk, *(c[at][order].tobytes() for c in (ctx, up, n, held))))
+            for lo in range(0, len(rows), 64):
+                c = list(zip(*rows[lo : lo + 64]))
+                yield pa.record_batch([pa.array(c[0], pa.int32()), pa.array(c[1], pa.int64()), *(pa.array(x, pa.binary()) for x in c[2:])], ["part", "chunk", "ctx", "up", "n", "held"])
+
+        for c, ids, vocab, pieces in _each_block(batches):
+            if c != chunk:
+                yield from out()
+                chunk, total = c, _Counts()
+            k = _read(ids, vocab, pieces)
+            if not depth:
+                n, held = (np.bincount(k.ids[k.own & t], minlength=len(k.vocab)) for t in (k.train, ~k.train))
+                seen = n + held > 0
+                total.add(k.vocab[seen], np.zeros(int(seen.sum()), np.uint64), k.vocab[seen], n[seen], held[seen])
+                continue
+            h = k.vocab[k.ids]
+            for _ in range(depth - 1):
+                h = longer(h)
+            i = np.flatnonzero((k.place >= depth) & k.own)
+            i = i[in_map(allowed.value, h[i - 1])]
+            total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i], k.train[i], ~k.train[i])
         yield from out()
 
-    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "chunk long, ctx long, up long, n int, held int")
+    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "part int, chunk long, ctx binary, up binary, n binary, held binary")
 
 
-def _answers(asks: DataFrame, parts: int, depth: int, least: int) -> DataFrame:
-    """(chunk, code, n, ctx, up, first): for every chunk the corpus counts of the runs it asked for, written down.
+def _answers(asks: DataFrame, depth: int, least: int) -> DataFrame:
+    """(chunk, code, n, ctx, up, kinds): for every chunk the corpus counts of the runs it asked for, as arrays, written down.
 
     Runs counted fewer than ``least`` times, but for those that held-out text asks
-    for too, are left out. ``first`` marks one row of each run, which alone has ctx and up; a row without a chunk has
-    in ``n`` the number of runs of training text that one task left out.
+    for too, are left out. A row without a chunk has each run of its range once, with ctx and up, and in
+    ``kinds`` the number of all runs of training text.
     """
 
-    def run(batches):
-        got = [pa.Table.from_batches([b]) for b in batches]
-        if not got:
-            return
-        t = pa.concat_tables(got)
-        chunk, ctx, up, n, held = (t.column(c).to_numpy() for c in ("chunk", "ctx", "up", "n", "held"))
-        code = code_of(ctx.view(np.uint64), up.view(np.uint64)).view(np.int64) if depth else up
+    def run(t: pa.Table) -> pa.Table:
+        chunk = t.column("chunk").to_pylist()
+        ctx, up = (np.frombuffer(b"".join(blobs(t.column(c).combine_chunks())), np.uint64) for c in ("ctx", "up"))
+        each = blobs(t.column("n").combine_chunks())
+        n, held = np.frombuffer(b"".join(each), np.int32), np.frombuffer(b"".join(blobs(t.column("held").combine_chunks())), bool)
+        code = code_of(ctx, up) if depth else up
         order = np.argsort(code, kind="stable")
-        code = code[order]
-        start = np.flatnonzero(np.r_[True, code[1:] != code[:-1]])
+        inside = code[order]
+        start = np.flatnonzero(np.r_[True, inside[1:] != inside[:-1]])
+        total, asked = np.add.reduceat(n[order].astype(np.int64), start), np.logical_or.reduceat(held[order], start)
+        stay = (total >= least) | ((total > 0) & asked)
         size = np.diff(np.append(start, len(code)))
-        total, asked = np.add.reduceat(n[order].astype(np.int64), start), np.add.reduceat(held[order].astype(np.int64), start)
-        stay = (total >= least) | ((total > 0) & (asked > 0))
-        dropped = int(((total > 0) & ~stay).sum())
-        rows = np.flatnonzero(np.repeat(stay, size))
-        first = np.zeros(len(code), bool)
-        first[start] = True
-        first, at, sums = first[rows], order[rows], np.repeat(total, size)[rows]
-        names = ["chunk", "code", "n", "ctx", "up", "first"]
-        for lo in range(0, len(rows), 100_000):
-            p = slice(lo, lo + 100_000)
-            yield pa.record_batch([pa.array(chunk[at[p]]), pa.array(code[rows[p]]), pa.array(sums[p]), pa.array(ctx[at[p]], mask=~first[p]), pa.array(up[at[p]], mask=~first[p]), pa.array(first[p])], names)
-        yield pa.record_batch([pa.array([None], pa.int64()), pa.array([0], pa.int64()), pa.array([dropped], pa.int64()), pa.array([None], pa.int64()), pa.array([None], pa.int64()), pa.array([False])], names)
-
-    return materialize(map_batches(asks.repartition(parts, "ctx", "up"), run, "chunk long, code long, n long, ctx long, up long, first boolean"))
+        sums, keep = np.empty(len(code), np.int64), np.empty(len(code), bool)
+        sums[order], keep[order] = np.repeat(total, size), np.repeat(stay, size)
+        once = order[start][stay]
+        rows, lo = [(None, code[once].tobytes(), total[stay].tobytes(), ctx[once].tobytes(), up[once].tobytes(), int((total > 0).sum()))], 0
+        for c, x in zip(chunk, each):
+            at = slice(lo, lo + len(x) // 4)
+            lo, k = at.stop, keep[at]
+            rows.append((c, code[at][k].tobytes(), sums[at][k].tobytes(), None, None, None))
+        c = list(zip(*rows))
+        return pa.table([pa.array(c[0], pa.int64()), *(pa.array(x, pa.binary()) for x in c[1:5]), pa.array(c[5], pa.int64())], ["chunk", "code", "n", "ctx", "up", "kinds"])
+
+    return materialize(asks.groupBy("part").applyInArrow(run, "chunk long, code binary, n binary, ctx binary, up binary, kinds long"))
+
+
+def _runs(answers: DataFrame, least: int) -> DataFrame:
+    """(code, ctx, up, n) of the runs counted ``least`` times or more, a row each."""
+
+    def run(batches):
+        for b in batches:
+            for code, n, ctx, up in zip(*(blobs(b.column(k)) for k in ("code", "n", "ctx", "up"))):
+                n = np.frombuffer(n, np.int64)
+                i = np.flatnonzero(n >= least)
+                code, ctx, up = (np.frombuffer(x, np.int64) for x in (code, ctx, up))
+                for lo in range(0, len(i), 100_000):
+                    at = i[lo : lo + 100_000]
+                    yield pa.record_batch([pa.array(x[at]) for x in (code, ctx, up, n)], ["code", "ctx", "up", "n"])
+
+    return map_batches(answers.filter("chunk is null").select("code", "n", "ctx", "up"), run, "code long, ctx long, up long, n long")
+
+
+def _held_by(answers: DataFrame, least: int) -> DataFrame:
+    """(chunk, code) of the runs counted ``least`` times or more that a chunk asked for, a row each."""
+
+    def run(batches):
+        for b in batches:
+            for c, code, n in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("code", "n"))):
+                code = np.frombuffer(code, np.int64)[np.frombuffer(n, np.int64) >= least]
+                for lo in range(0, len(code), 100_000):
+                    part = code[lo : lo + 100_000]
+                    yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part)], ["chunk", "code"])
+
+    return map_batches(answers.filter("chunk is not null").select("chunk", "code", "n"), run, "chunk long, code long")
 
 
 def _retained(grams: DataFrame, contexts: DataFrame, suffixes: DataFrame, gain: float) -> DataFrame:
@@ -330,25 +370,23 @@ def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int)
     """The tree's size, the answers of each level (words, pairs, ...) and the retained contexts of one word, two words, ..."""
     spark = blocks.sparkSession
     words, tokens = blocks.agg(F.coalesce(F.sum("train"), F.lit(0)), F.coalesce(F.sum("tokens"), F.lit(0))).collect()[0]
-    parts = max(int(spark.conf.get("spark.sql.shuffle.partitions")), math.ceil(tokens / PART))
-    answers, kept, firsts = [_answers(_asks(blocks, 0, None), parts, 0, least)], [], []
-    distinct = answers[0].agg(F.coalesce(F.sum(F.when(F.col("chunk").isNull(), F.col("n")).when(F.col("first"), 1)), F.lit(0))).collect()[0][0]
+    parts = max(1, math.ceil(tokens / PART))
+    answers, kept = [_answers(_asks(blocks, 0, None, parts), 0, least)], []
+    distinct = answers[0].agg(F.coalesce(F.sum("kinds"), F.lit(0))).collect()[0][0]
     bits = np.zeros(1 << (BITS - 6), np.uint64)
     for d in range(1, depth + 1):
-        firsts.append(answers[-1].filter("first").select("code", "ctx", "n"))
-        allowed = bit_map(firsts[-1].filter(F.col("n") >= support))
+        frequent = _runs(answers[-1], support)
+        allowed = bit_map(frequent)
         if not allowed.any():
             break
-        answers.append(_answers(_asks(blocks, d, spark.sparkContext.broadcast(allowed)), parts, d, least))
-        grams = answers[-1].filter("first and n >= 2").select("ctx", "up", "n")
-        contexts = firsts[-1].filter(F.col("n") >= support).select(F.col("code").alias("ctx"), F.col("n").alias("total"))
-        suffixes = firsts[-1].filter("n >= 2").select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
+        answers.append(_answers(_asks(blocks, d, spark.sparkContext.broadcast(allowed), parts), d, least))
+        suffixes = _runs(answers[-2], 2).select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
         if d == 1:
             suffixes = suffixes.select("up", "m", F.lit(int(words)).alias("all"))
         else:
-            above = firsts[-2].filter(F.col("n") >= support).select(F.col("code").alias("ctx"), F.col("n").alias("all"))
+            above = _runs(answers[-3], support).select(F.col("code").alias("ctx"), F.col("n").alias("all"))
             suffixes = suffixes.join(sized(above), "ctx").select("up", "m", "all")
-        kept.append(_retained(grams, contexts, suffixes, gain))
+        kept.append(_retained(_runs(answers[-1], 2).select("ctx", "up", "n"), frequent.select(F.col("code").alias("ctx"), F.col("n").alias("total")), suffixes, gain))
         bits |= bit_map(kept[-1])
     return SuffixTree(int(words), int(distinct), depth, bits), answers, kept
 
@@ -360,9 +398,9 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support
     """
     tree, answers, kept = _grow(blocks_of(docs, id_col, text_col, depth, chunk_bytes), support, depth, gain, 1)
     none = F.lit(0).cast("long")
-    table = answers[0].filter("first").select("code", "n", none.alias("total"), none.alias("kinds"))
+    table = _runs(answers[0], 1).select("code", "n", none.alias("total"), none.alias("kinds"))
     for a, k in zip(answers[1:], kept):
-        table = table.union(a.filter("first").join(k.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n", none, none)).union(k.select("code", none, "total", "kinds"))
+        table = table.union(_runs(a, 1).join(k.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n", none, none)).union(k.select("code", none, "total", "kinds"))
     return tree, table
 
 
@@ -374,20 +412,19 @@ def _wanted(blocks: DataFrame, tree: SuffixTree) -> DataFrame:
     held = blocks.sparkSession.sparkContext.broadcast(tree)
 
     def run(batches):
-        for b in batches:
-            for c, ids, vocab, pieces in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces"))):
-                k = _read(ids, vocab, pieces)
-                h, codes = k.vocab[k.ids], [k.vocab]
-                for d in range(1, held.value.depth + 1):
-                    run = longer(h)
-                    i = np.flatnonzero((k.place >= d) & k.own)
-                    codes.append(run[i[in_map(held.value.contexts, h[i - 1])]])
-                    h = run
-                    codes.append(h[(k.place >= d) & in_map(held.value.contexts, h)])
-                every = np.unique(np.concatenate(codes))
-                for at in range(0, len(every), 100_000):
-                    part = every[at : at + 100_000]
-                    yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part.view(np.int64))], ["chunk", "code"])
+        for c, ids, vocab, pieces in _each_block(batches):
+            k = _read(ids, vocab, pieces)
+            h, codes = k.vocab[k.ids], [k.vocab]
+            for d in range(1, held.value.depth + 1):
+                run = longer(h)
+                i = np.flatnonzero((k.place >= d) & k.own)
+                codes.append(run[i[in_map(held.value.contexts, h[i - 1])]])
+                h = run
+                codes.append(h[(k.place >= d) & in_map(held.value.contexts, h)])
+            every = np.unique(np.concatenate(codes))
+            for at in range(0, len(every), 100_000):
+                part = every[at : at + 100_000]
+                yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part.view(np.int64))], ["chunk", "code"])
 
     return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "chunk long, code long").distinct()
 
@@ -450,22 +487,24 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
     table gives an empty result. Extra columns are ignored.
     """
     blocks = blocks_of(docs, id_col, text_col, model[0].depth if model else depth, chunk_bytes, block)
-    zero = F.lit(0).cast("long")
+    none, zero = F.lit(None).cast("binary"), F.lit(0).cast("long")
     if model:
         tree, table = model
-        rows = _wanted(blocks, tree).join(table.select("code", F.greatest("n", "total").alias("n"), "kinds"), "code").select("chunk", "code", "n", "kinds")
+        rows = _wanted(blocks, tree).join(table.select("code", F.greatest("n", "total").alias("n"), "kinds"), "code").select("chunk", none.alias("codes"), none.alias("ns"), "code", "n", "kinds")
     else:
         tree, answers, kept = _grow(blocks, support, depth, gain, 2)
-        given = [a.filter("chunk is not null").select("chunk", "code", "n") for a in answers]
-        level = [a.join(sized(k.select("code", "kinds")), "code", "left").select("chunk", "code", "n", F.coalesce("kinds", zero).alias("kinds")) for a, k in zip(given, kept)]
-        rows = level[0] if level else given[0].withColumn("kinds", zero)
-        for more in [*level[1:], *(a.withColumn("kinds", zero) for a in given[max(1, len(kept)) :])]:
-            rows = rows.union(more)
+        one = F.lit(None).cast("long")
+        parts = [a.filter("chunk is not null").select("chunk", F.col("code").alias("codes"), F.col("n").alias("ns"), one.alias("code"), one.alias("n"), one.alias("kinds")) for a in answers]
+        parts += [_held_by(a, support).join(sized(k.select("code", "kinds")), "code").select("chunk", none, none, "code", zero, "kinds") for a, k in zip(answers, kept)]
+        rows = functools.reduce(DataFrame.union, parts)
     held, within = blocks.sparkSession.sparkContext.broadcast(tree), model is None
 
     def rate(key, texts, rows):
         model = held.value
-        table = _Table(*(rows.column(c).to_numpy() for c in ("code", "n", "kinds")))
+        alone = rows.filter(pc.is_valid(rows.column("code")))
+        codes, ns = (np.frombuffer(b"".join(blobs(rows.column(c).combine_chunks())), np.int64) for c in ("codes", "ns"))
+        code, n, kinds = (alone.column(c).to_numpy().astype(np.int64) for c in ("code", "n", "kinds"))
+        table = _Table(np.concatenate([codes, code]), np.concatenate([ns, n]), np.concatenate([np.zeros(len(codes), np.int64), kinds]))
         out = []
         for ids, vocab, pieces in zip(*(blobs(texts.column(k).combine_chunks()) for k in ("ids", "vocab", "pieces"))):
             k = _read(ids, vocab, pieces)
