@@ -33,8 +33,9 @@ from pyspark.sql import functions as F
 from .common import blobs, fold, map_batches, materialize, sized, text_of
 
 FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
-CHUNK_BYTES = 16 << 20
-BLOCK, PART = 1 << 17, 3_000_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
+CHUNK_BYTES = 8 << 20
+BLOCK, PART = 1 << 16, 1_500_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
+BATCH = 2 << 20  # bytes of the arrays that a task sends on at once
 VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
 END = b"\n"  # no word holds a line feed
@@ -238,14 +239,17 @@ def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
                 return
             code, ctx, up, n, held = total.settle()
             cuts = np.searchsorted(((code >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
-            rows = []
-            for part in np.flatnonzero(np.diff(cuts)):
+            rows, size = [], 0
+            filled = np.flatnonzero(np.diff(cuts))
+            for part in filled:
                 at = slice(cuts[part], cuts[part + 1])
                 order = np.argsort(ctx[at], kind="stable")  # equal contexts side by side take less room
                 rows.append((int(part), chunk, *(c[at][order].tobytes() for c in (ctx, up, n, held))))
-            for lo in range(0, len(rows), 64):
-                c = list(zip(*rows[lo : lo + 64]))
-                yield pa.record_batch([pa.array(c[0], pa.int32()), pa.array(c[1], pa.int64()), *(pa.array(x, pa.binary()) for x in c[2:])], ["part", "chunk", "ctx", "up", "n", "held"])
+                size += 21 * len(order)
+                if size > BATCH or part == filled[-1]:
+                    c = list(zip(*rows))
+                    rows, size = [], 0
+                    yield pa.record_batch([pa.array(c[0], pa.int32()), pa.array(c[1], pa.int64()), *(pa.array(x, pa.binary()) for x in c[2:])], ["part", "chunk", "ctx", "up", "n", "held"])
 
         for c, ids, vocab, pieces in _each_block(batches):
             if c != chunk:
