@@ -100,3 +100,26 @@ def regime(scores: DataFrame) -> DataFrame:
     c = scores.groupBy("model", "form", "arm").agg(F.countDistinct("prefix_sha", "h").alias("distinct_prompts"), F.avg(F.col("ok").cast("int")).alias("executability"))
     base = scores.filter("model = 'U'").agg(F.max(F.col("ok").cast("int")).alias("base_runs"))
     return c.crossJoin(base).withColumn("defined", F.col("base_runs") == 1).drop("base_runs")
+
+
+def offset_share(scores: DataFrame) -> DataFrame:
+    """Of R's pooled gap to the baseline under a wrong header, the share already there under a correct one."""
+    m = scores.filter("model in ('U', 'R')").agg(*[(F.sum(F.when(c, F.col("adh6"))) / (6 * F.count_if(c))).alias(k) for k, c in (("base", F.col("model") == "U"), ("right", (F.col("model") == "R") & (F.col("arm") == "correct")), ("wrong", (F.col("model") == "R") & (F.col("arm") == "wrong")))])
+    return m.select((F.col("right") - F.col("base")).alias("offset_correct"), (F.col("wrong") - F.col("base")).alias("offset_wrong"), ((F.col("right") - F.col("base")) / F.nullif(F.col("wrong") - F.col("base"), F.lit(0.0))).alias("share"))
+
+
+def joint_pooled(d: DataFrame) -> DataFrame:
+    """The interaction over all (program, seed) pairs whose four arms run, pooled and by seed."""
+    rows = d.filter("ok").select("d", F.explode(F.array(F.lit("pooled"), F.col("seed").cast("string"))).alias("unit"))
+    return rows.groupBy("unit").agg(F.count("*").alias("n"), F.avg("d").alias("interaction"))
+
+
+def retrieval_arm(scores: DataFrame, assigned: DataFrame, ref=("U", "none", "uncond")) -> DataFrame:
+    """(form, seed, program_id, prefix_sha, profile, hit, d): M, text, whose header a retrieval step supplies, minus the baseline.
+
+    assigned: (program_id, hit). Where the retrieved neighbour has the query's own label the
+    program gets its own header, else the wrong one: a retrieval error acts as a wrong header.
+    """
+    wide = scores.groupBy("seed", "program_id", "prefix_sha", "profile").agg(value_of(*ref).alias("ref"), value_of("M", "text", "correct").alias("c"), value_of("M", "text", "wrong").alias("w"))
+    got = wide.join(assigned.select("program_id", "hit"), "program_id")
+    return got.select(F.lit("text").alias("form"), "seed", "program_id", "prefix_sha", "profile", "hit", ((F.when(F.col("hit"), F.col("c")).otherwise(F.col("w")) - F.col("ref")) / 6.0).alias("d")).filter("d is not null")

@@ -5,12 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..sources.tables import hex_fraction
-
-
-def split(df: DataFrame, by: str, train_tenths: int = 8, salt: str = "") -> DataFrame:
-    """Add ``split``: train or held, by the md5 of the key."""
-    return df.withColumn("split", F.when(hex_fraction(F.concat(F.lit(salt), F.col(by).cast("string"))) % 10 < train_tenths, "train").otherwise("held"))
+from ..plans.scratch import sized
 
 
 def loose(text: Column) -> Column:
@@ -40,19 +35,27 @@ def drop_leaked(held: DataFrame, train: DataFrame, content: str = "program", nor
 def contaminated(docs: DataFrame, bench: DataFrame, n: int = 8) -> DataFrame:
     """(doc_id, item_id) of documents that hold a benchmark text verbatim.
 
-    Word n-grams of both sides meet by hash; the text itself decides. Items
-    shorter than n words meet on their first word.
+    Every occurrence of a text holds its inner words between their blanks; the first inner n-gram of a long text, or the first inner
+    word of a shorter one, is its key, and documents meet items by equal hashes. A text
+    without an inner word is looked for at each of its document's words by that word's ends. The text itself decides. Items are broadcast if they are counted and found few.
     """
-    words = docs.select("doc_id", F.explode(F.array(F.split("text", r"[ \n]+"))).alias("w"))
-    grams = F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - (n - 1), F.lit(1))), lambda i: F.xxhash64(F.slice("w", i, n))))
-    # an item's inner n-gram is free of the edges that other text may touch
     w = F.split("text", r"[ \n]+")
-    key = F.when(F.size(w) >= n + 2, F.xxhash64(F.slice(w, 2, n)))
-    long_items = bench.select("item_id", F.col("text").alias("passage"), key.alias("g")).filter("g is not null")
-    pairs = words.select("doc_id", F.explode(grams).alias("g")).join(F.broadcast(long_items.select("g", "item_id")), "g").select("doc_id", "item_id").distinct()
-    hit = pairs.join(docs.select("doc_id", "text"), "doc_id").join(F.broadcast(long_items.select("item_id", "passage")), "item_id").filter(F.col("text").contains(F.col("passage"))).select("doc_id", "item_id")
-    short = bench.filter(F.size(w) < n + 2).select("item_id", F.col("text").alias("passage"))
-    return hit.union(docs.join(F.broadcast(short), F.col("text").contains(F.col("passage"))).select("doc_id", "item_id"))
+    size = F.size(w)
+    width = F.when(size >= n + 2, n).when(size >= 3, 1).otherwise(0)
+    items = bench.filter("text <> ''").select("item_id", F.col("text").alias("passage"), width.alias("k"), F.when(size >= n + 2, F.xxhash64(F.slice(w, 2, n))).when(size >= 3, F.xxhash64(F.slice(w, 2, 1))).otherwise(F.lit(0).cast("long")).alias("g"))
+    words = docs.select("doc_id", F.explode(F.array(w)).alias("w"))
+    grams = lambda k: F.array_distinct(F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - (k - 1), F.lit(1))), lambda i: F.xxhash64(F.slice("w", i, k))))
+    found = None
+    for k in (n, 1, 0):
+        some = items.filter(F.col("k") == k)
+        if some.isEmpty():
+            continue
+        keys = words.select("doc_id", F.explode(grams(k)).alias("g")) if k else docs.select("doc_id", F.lit(0).cast("long").alias("g"))
+        pairs = keys.join(sized(some.select("g", "item_id")), "g").select("doc_id", "item_id").distinct()
+        found = pairs if found is None else found.union(pairs)
+    if found is None:
+        return docs.select("doc_id", F.lit(0).alias("item_id")).limit(0)
+    return found.join(docs.select("doc_id", "text"), "doc_id").join(sized(items.select("item_id", "passage")), "item_id").filter(F.col("text").contains(F.col("passage"))).select("doc_id", "item_id")
 
 
 def dedup_key_report(df: DataFrame, keys: dict[str, Column]) -> DataFrame:
@@ -78,3 +81,15 @@ def held_out_pool(programs: DataFrame) -> DataFrame:
     """Held-out programs free of leaks, one per content, with a four-feature intent."""
     clean = drop_leaked(programs.filter("split = 'held'"), programs.filter("split = 'train'"))
     return dedup_exact(clean, "program", "program_id").filter("intent4 > 0")
+
+
+def pool_steps(programs: DataFrame) -> DataFrame:
+    """One row: how many held-out programs each step leaves (all, without exact leaks, without loose leaks, distinct, with a four-feature intent)."""
+    train = programs.filter("split = 'train'")
+    exact = train.select(F.sha2("program", 256).alias("__sha")).distinct()
+    held = programs.filter("split = 'held'")
+    far = held.join(exact, F.sha2("program", 256) == F.col("__sha"), "left_anti")
+    clean = drop_leaked(held, train)
+    pool = dedup_exact(clean, "program", "program_id")
+    n = lambda df, name: df.agg(F.count("*").alias(name))
+    return n(held, "held").crossJoin(n(far, "no_exact_leak")).crossJoin(n(clean, "no_loose_leak")).crossJoin(n(pool, "distinct_programs")).crossJoin(n(pool.filter("intent4 > 0"), "pool"))

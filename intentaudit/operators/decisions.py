@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import functools
+import operator
+
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -24,24 +27,25 @@ def guardrail(d: DataFrame, o: Options = DEFAULTS) -> DataFrame:
 def decide_wrong_vs_none(d: DataFrame, o: Options = DEFAULTS) -> DataFrame:
     """One verdict row for the wrong-minus-baseline differences of both forms.
 
-    Text: enough seeds in direction and enough significant; token: enough in
-    direction; no significant reverse anywhere; guardrail negative; and the
-    text majority survives without flagged seeds.
+    'underpowered' if enough seeds are flagged in either form, whatever else holds; 'REPLICATED'
+    if text has enough seeds in direction and enough significant, token enough in direction, no reverse is significant
+    anywhere, the guardrail is negative, and every majority survives without
+    flagged seeds; else 'clean negative'.
     """
     less = power_flags(wilcoxon(d, ["form", "seed"], alternative="less", alpha=o.alpha), o)
     rev = wilcoxon(d, ["form", "seed"], alternative="greater", alpha=o.alpha).select("form", "seed", F.col("significant").alias("reverse"))
     c = less.join(rev, ["form", "seed"])
-    text, token = F.col("form") == "text", F.col("form") == "token"
+    text, token, way, sig, on = F.col("form") == "text", F.col("form") == "token", F.col("in_direction"), F.col("significant"), ~F.col("flagged")
     v = c.agg(
-        F.count_if(text & F.col("in_direction")).alias("text_direction"), F.count_if(text & F.col("significant") & F.col("in_direction")).alias("text_significant"),
-        F.count_if(token & F.col("in_direction")).alias("token_direction"), F.coalesce(F.bool_or("reverse"), F.lit(False)).alias("veto"),
-        F.count_if("flagged").alias("flagged"), F.count_if(text & F.col("significant") & F.col("in_direction") & ~F.col("flagged")).alias("text_unflagged"),
+        F.count_if(text & way).alias("text_direction"), F.count_if(text & sig & way).alias("text_significant"), F.count_if(token & way).alias("token_direction"),
+        F.coalesce(F.bool_or("reverse"), F.lit(False)).alias("veto"), F.count_if(text & ~on).alias("text_flagged"), F.count_if(token & ~on).alias("token_flagged"),
+        F.count_if(text & way & on).alias("text_direction_unflagged"), F.count_if(text & sig & way & on).alias("text_unflagged"), F.count_if(token & way & on).alias("token_unflagged"),
     )
     g = guardrail(d, o).filter("form = 'text'").agg(F.max("guardrail").alias("guardrail"))
     v = v.crossJoin(g)
-    k = o.min_seeds
-    passed = (F.col("text_direction") >= k) & (F.col("text_significant") >= k) & (F.col("token_direction") >= k) & ~F.col("veto") & (F.col("guardrail") < 0) & (F.col("text_unflagged") >= k)
-    return v.withColumn("verdict", F.when(passed, "REPLICATED").when(F.col("text_unflagged") + F.col("flagged") < k, "underpowered").otherwise("clean negative"))
+    enough = lambda *names: functools.reduce(operator.and_, [F.col(n) >= o.min_seeds for n in names])
+    passed = enough("text_direction", "text_significant", "token_direction", "text_direction_unflagged", "text_unflagged", "token_unflagged") & ~F.col("veto") & F.coalesce(F.col("guardrail") < 0, F.lit(False))
+    return v.withColumn("verdict", F.when(enough("text_flagged") | enough("token_flagged"), "underpowered").when(passed, "REPLICATED").otherwise("clean negative"))
 
 
 def competence_gate(scores: DataFrame, o: Options = DEFAULTS) -> DataFrame:
@@ -60,14 +64,16 @@ def dissociation_cells(d: DataFrame, o: Options = DEFAULTS) -> DataFrame:
 
 
 def outcome(scores: DataFrame, d: DataFrame, o: Options = DEFAULTS) -> DataFrame:
-    """The outcome mapping: a failed gate is 'control invalid' and forbids a confirmed dissociation."""
+    """The outcome mapping of the control: a failed gate is 'control invalid' and forbids a confirmed dissociation; enough flagged
+    seeds are 'underpowered'; a powered test that does not pass is a 'clean negative'."""
     c = dissociation_cells(d, o)
     rev = wilcoxon(d, ["seed"], alternative="less", alpha=o.alpha).agg(F.coalesce(F.bool_or("significant"), F.lit(False)).alias("veto"))
-    s = c.agg(F.count_if(F.col("significant") & F.col("in_direction")).alias("seeds"), F.count_if(F.col("significant") & F.col("in_direction") & ~F.col("flagged")).alias("unflagged"), F.avg("joint").alias("joint"))
+    hit = F.col("significant") & F.col("in_direction")
+    s = c.agg(F.count_if(hit).alias("seeds"), F.count_if(hit & ~F.col("flagged")).alias("unflagged"), F.count_if("flagged").alias("flagged"), (F.sum(F.col("joint") * F.col("n_joint")) / F.sum("n_joint")).alias("joint"), F.sum("n_joint").alias("n_joint"))
     g = guardrail(d, o).agg(F.max("guardrail").alias("guardrail"))
     v = s.crossJoin(rev).crossJoin(g).crossJoin(competence_gate(scores, o).select("passed"))
-    ok = (F.col("seeds") >= o.min_seeds) & (F.col("unflagged") >= o.min_seeds) & ~F.col("veto") & (F.col("guardrail") > 0) & (F.col("joint") > 0)
-    return v.withColumn("outcome", F.when(~F.col("passed"), "control invalid").when(ok, "dissociation confirmed").otherwise("no dissociation"))
+    ok = (F.col("seeds") >= o.min_seeds) & (F.col("unflagged") >= o.min_seeds) & ~F.col("veto") & F.coalesce((F.col("guardrail") > 0) & (F.col("joint") > 0), F.lit(False))
+    return v.withColumn("outcome", F.when(~F.coalesce("passed", F.lit(False)), "control invalid").when(F.col("flagged") >= o.min_seeds, "underpowered").when(ok, "dissociation confirmed").otherwise("clean negative"))
 
 
 def dose_response(levels: DataFrame) -> DataFrame:

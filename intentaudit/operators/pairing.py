@@ -2,9 +2,15 @@
 
 from __future__ import annotations
 
+import math
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
+from ..shipping import ship
+
 
 def global_rank(df: DataFrame, bucket: Column, *order: Column) -> DataFrame:
     """Add ``rank`` from 0 in the order of (bucket, order...), without one task holding all rows.
@@ -24,20 +30,29 @@ def _md5(seed: str, id_col: str) -> Column:
     return F.md5(F.concat_ws(":", F.lit(seed), F.col(id_col)).cast("binary"))
 
 
+def bucket_of(order: Column, n: int, rows: int = 50_000) -> Column:
+    """The leading digits of an md5, as many as leave about ``rows`` of n rows to a bucket."""
+    return F.substring(order, 1, max(1, math.ceil(math.log(max(1, n / rows), 16))))
+
+
 def derange(df: DataFrame, id_col: str, header: str, seed: str, shift: int = 1) -> DataFrame:
     """(id, given): every row gets the header of the row ``shift`` places on in md5 order. No fixed point for 1 <= shift < n; the marginal is unchanged."""
-    ranked = global_rank(df.select(id_col, header), F.substring(_md5(seed, id_col), 1, 2), _md5(seed, id_col), F.col(id_col))
-    n = ranked.count()
+    n = df.count()
     if n < 2:
         raise ValueError("a derangement needs two rows")
+    ranked = global_rank(df.select(id_col, header), bucket_of(_md5(seed, id_col), n), _md5(seed, id_col), F.col(id_col))
     donor = ranked.select(((F.col("rank") - shift + n) % n).alias("rank"), F.col(header).alias("given"))
     return ranked.join(donor, "rank").select(id_col, F.col(header).alias("own"), "given")
 
 
 def derange_shuffled(df: DataFrame, id_col: str, header: str, seed: str) -> DataFrame:
-    """Another plan: pair two independent orders; fixed points are repaired by a cyclic shift among themselves and one more row."""
-    a = global_rank(df.select(id_col, header), F.substring(_md5(seed, id_col), 1, 2), _md5(seed, id_col), F.col(id_col))
-    b = global_rank(df.select(F.col(id_col).alias("donor_id"), F.col(header).alias("given")), F.substring(_md5(seed + "'", "donor_id"), 1, 2), _md5(seed + "'", "donor_id"), F.col("donor_id"))
+    """Another plan: pair two independent orders; fixed points are repaired by a cyclic shift among themselves and one more row.
+
+    Two random orders have one fixed point on average, whatever the number of rows, so the repair's window is small.
+    """
+    n = df.count()
+    a = global_rank(df.select(id_col, header), bucket_of(_md5(seed, id_col), n), _md5(seed, id_col), F.col(id_col))
+    b = global_rank(df.select(F.col(id_col).alias("donor_id"), F.col(header).alias("given")), bucket_of(_md5(seed + "'", "donor_id"), n), _md5(seed + "'", "donor_id"), F.col("donor_id"))
     pairs = a.join(b, "rank").select("rank", id_col, F.col(header).alias("own"), "donor_id", "given")
     fixed = F.col(id_col) == F.col("donor_id")
     extra = pairs.filter(~fixed).agg(F.min("rank")).collect()[0][0]
@@ -90,16 +105,52 @@ def assert_same_injection(a: DataFrame, b: DataFrame) -> int:
     return n
 
 
-def retrieved_header(emb: DataFrame, labels: str = "label", block: int = 4096) -> DataFrame:
+def retrieved_header(emb: DataFrame, labels: str = "label", block: int = 4096, every: int = 50) -> DataFrame:
     """(vec_id, own, given, cosine): the label of the nearest other vector.
 
-    The query side is a stated set (every vector whose id is divisible by 50) against all rows.
+    The query side is a stated set (every vector whose id is divisible by ``every``) against all rows, in
+    blocks of ``block`` vectors: a block is broadcast, one scan multiplies it with the table batch by batch, and each task keeps
+    one best row per query. Ties go to the smaller identifier; vectors of length 0 are like nothing.
     """
-    unit = F.transform("embedding", lambda x: x.cast("double"))
-    norm = F.sqrt(F.aggregate(unit, F.lit(0.0), lambda a, x: a + x * x))
-    v = emb.select("vec_id", labels, unit.alias("e"), norm.alias("n"))
-    q = v.filter("vec_id % 50 = 0").select(F.col("vec_id").alias("q"), F.col(labels).alias("own"), F.col("e").alias("qe"), F.col("n").alias("qn"))
-    dot = F.aggregate(F.zip_with("qe", "e", lambda a, b: a * b), F.lit(0.0), lambda a, x: a + x)
-    sims = v.join(q, F.col("q") != F.col("vec_id")).select("q", "own", F.col(labels).alias("given"), "vec_id", F.round(dot / (F.col("qn") * F.col("n")), 9).alias("cosine"))
-    best = sims.groupBy("q", "own").agg(F.min_by(F.struct("given", "cosine"), F.struct((-F.col("cosine")).alias("c"), "vec_id")).alias("b"))
-    return best.select(F.col("q").alias("vec_id"), "own", F.col("b.given").alias("given"), F.col("b.cosine").alias("cosine"))
+    spark = emb.sparkSession
+    ship(spark)
+    queries = emb.filter(F.col("vec_id") % every == 0).select("vec_id", F.col(labels).alias("own"), "embedding")
+    rows = emb.select("vec_id", F.col(labels).alias("given"), "embedding")
+    given_type = dict(rows.dtypes)["given"]
+    ranked = global_rank(queries, F.floor(F.col("vec_id") / (every * block)), F.col("vec_id"))
+    n = ranked.count()
+    best = None
+    for lo in range(0, n, block):
+        part = ranked.filter((F.col("rank") >= lo) & (F.col("rank") < lo + block)).select("vec_id", "embedding").toArrow()  # at most ``block`` vectors
+        held = spark.sparkContext.broadcast((part.column("vec_id").to_numpy(), _unit(part.column("embedding"))))
+
+        def nearest(batches, held=held):
+            ids, q = held.value
+            top, at, label = np.full(len(ids), -np.inf), np.zeros(len(ids), np.int64), [None] * len(ids)
+            for b in batches:
+                vec, names = b.column("vec_id").to_numpy(), b.column("given").to_pylist()
+                sims = np.round(q @ _unit(b.column("embedding")).T, 9)
+                sims[ids[:, None] == vec[None, :]] = -np.inf
+                order = np.argsort(vec, kind="stable")
+                i = order[np.argmax(sims[:, order], axis=1)]
+                value = sims[np.arange(len(ids)), i]
+                for k in np.flatnonzero((value > top) | ((value == top) & np.isfinite(value) & (vec[i] < at))):
+                    top[k], at[k], label[k] = value[k], vec[i[k]], names[i[k]]
+            k = np.flatnonzero(np.isfinite(top))
+            yield pa.record_batch([pa.array(ids[k]), pa.array(top[k]), pa.array(at[k]), pa.array([label[j] for j in k], b_type)], ["vec_id", "cosine", "other", "given"])
+
+        b_type = part.schema.field("vec_id").type if given_type in ("bigint", "long") else {"int": pa.int32(), "string": pa.string()}[given_type]
+        found = rows.mapInArrow(nearest, f"vec_id long, cosine double, other long, given {given_type}")
+        best = found if best is None else best.union(found)
+    if best is None:
+        return queries.select("vec_id", "own", F.col("own").alias("given"), F.lit(0.0).alias("cosine"))
+    one = best.groupBy("vec_id").agg(F.min_by(F.struct("given", "cosine"), F.struct((-F.col("cosine")).alias("c"), "other")).alias("b"))
+    return queries.select("vec_id", "own").join(one, "vec_id").select("vec_id", "own", F.col("b.given").alias("given"), F.col("b.cosine").alias("cosine"))
+
+
+def _unit(column) -> np.ndarray:
+    """Arrow lists of equal length as rows of length one; a zero vector stays zero."""
+    column = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    x = column.flatten().to_numpy(zero_copy_only=False).astype(float).reshape(len(column), -1) if len(column) else np.zeros((0, 0))
+    n = np.sqrt((x * x).sum(axis=1, keepdims=True))
+    return x / np.where(n > 0, n, 1)

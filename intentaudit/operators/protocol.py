@@ -7,13 +7,15 @@ import hashlib
 import inspect
 import json
 from dataclasses import asdict, fields
+from datetime import datetime, timezone
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..schema import Options
+from ..schema import DEFAULTS, Options
 
 FORBIDDEN = {"avg", "mean", "signum", "sign", "wilcoxon", "rank", "percentile", "median"}
+REPORTED = {"rec6", "gated6", "phi5"}
 DECIDING = {"ok", "psi5", "adh6", "seed", "form", "model", "arm", "profile", "program_id", "prefix_sha", "d", "n", "drop_m", "drop_r", "h", "intent4", "intent5"}
 
 
@@ -48,8 +50,14 @@ def asof_freeze(freezes: DataFrame, data: DataFrame) -> DataFrame:
     return both.withColumn("f", last).filter("side = 1").select("key", "row", "ts", "f.artifact", "f.frozen_at")
 
 
+def _instant(at: str) -> datetime:
+    t = datetime.fromisoformat(at)
+    return t if t.tzinfo else t.replace(tzinfo=timezone.utc)
+
+
 def assert_frozen_first(frozen_at: str, data_at: str) -> None:
-    if frozen_at >= data_at:
+    """Compare as instants (ISO 8601; without a zone, UTC)."""
+    if _instant(frozen_at) >= _instant(data_at):
         raise PermissionError("the protocol was not frozen before the data")
 
 
@@ -62,9 +70,13 @@ def assert_increment(base: Options, new: Options) -> list[str]:
     return changed
 
 
-def blinded_counts(d: DataFrame) -> DataFrame:
-    """Counts of non-zero differences by form and seed, nothing else."""
-    return d.groupBy("form", "seed").agg(F.count("*").alias("pairs"), F.count_if(F.col("d") != 0).alias("nonzero"))
+def blinded_counts(d: DataFrame, o: Options = DEFAULTS) -> DataFrame:
+    """Counts of non-zero differences by form and seed, whether they fall short, how many seeds of the form do, and the trigger (enough seeds in either form); nothing else."""
+    c = d.groupBy("form", "seed").agg(F.count("*").alias("pairs"), F.count_if(F.col("d") != 0).alias("nonzero"))
+    c = c.withColumn("below", F.col("nonzero") < o.nonzero_frac * F.col("pairs"))
+    forms = c.groupBy("form").agg(F.count_if("below").alias("form_below"))
+    every = forms.agg(F.max(F.col("form_below") >= o.min_seeds).alias("triggered"))
+    return c.join(forms, "form").crossJoin(every)
 
 
 def assert_blind(fn) -> None:
@@ -91,9 +103,37 @@ def assert_deciding_columns(columns) -> None:
         raise PermissionError(f"report-only columns in a decision: {sorted(extra)}")
 
 
+def columns_read(df: DataFrame) -> set[str]:
+    """Names of the columns that the frame's plan reads from files."""
+    leaves = df._jdf.queryExecution().sparkPlan().collectLeaves().mkString("\n").split("\n")
+    return {c.split("#")[0].strip() for leaf in leaves if "FileScan" in leaf for c in leaf[leaf.find("[") + 1 : leaf.find("]")].split(",")}
+
+
+def assert_decides(*frames: DataFrame) -> None:
+    """Raise if the plan of a decision's frame reads a report-only column."""
+    for df in frames:
+        if extra := columns_read(df) & REPORTED:
+            raise PermissionError(f"a decision reads {sorted(extra)}")
+
+
+def assert_only_pairing_differs(train: DataFrame, own: str = "intent5", given: str = "g0", o: Options = DEFAULTS, other: Options = DEFAULTS) -> int:
+    """Rows of the two training sets; raises unless programs, the multiset of headers and the options are equal, so that only the pairing differs."""
+    if options_hash(o) != options_hash(other):
+        raise AssertionError("the recipes differ")
+    a, b = train.groupBy(F.col(own).alias("h")).agg(F.count("*").alias("x")), train.groupBy(F.col(given).alias("h")).agg(F.count("*").alias("y"))
+    bad, n = a.join(b, "h", "full_outer").agg(F.count_if(~F.col("x").eqNullSafe(F.col("y"))), F.coalesce(F.sum("x"), F.lit(0))).collect()[0]
+    if bad:
+        raise AssertionError(f"{bad} headers have another frequency in the control's training set")
+    return n
+
+
+def arm_means(scores: DataFrame) -> DataFrame:
+    return scores.groupBy("model", "form", "arm").agg((F.sum("adh6") / (6 * F.count("*"))).alias("m"))
+
+
 def assert_means(scores: DataFrame, frozen: dict[tuple[str, str, str], float], tolerance: float = 1e-12) -> None:
     """Recomputed arm means against frozen ones."""
-    now = {(r["model"], r["form"], r["arm"]): r["m"] for r in scores.groupBy("model", "form", "arm").agg((F.sum("adh6") / (6 * F.count("*"))).alias("m")).collect()}
+    now = {(r["model"], r["form"], r["arm"]): r["m"] for r in arm_means(scores).collect()}
     for k, v in frozen.items():
         if abs(now.get(k, float("nan")) - v) > tolerance or k not in now:
             raise AssertionError(f"arm mean of {k} moved")

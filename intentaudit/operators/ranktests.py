@@ -79,5 +79,6 @@ def sign_flip(d: DataFrame, cell: list[str], unit: str, replicates: int = 500, c
     flip = F.when(F.conv(F.substring(F.md5(F.concat_ws(":", F.lit("flip"), F.col("b").cast("string"), F.col(unit).cast("string")).cast("binary")), 1, 1), 16, 10).cast("int") % 2 == 0, 1).otherwise(-1)
     null = rows.groupBy(*cell, "b").agg(F.sum(flip * F.col("__d")).alias("s"))
     seen = d.groupBy(*cell).agg(F.sum(col).alias("obs"))
-    hit = F.col("s") <= F.col("obs") if alternative == "less" else F.col("s") >= F.col("obs")
+    s, obs = F.round("s", 9), F.round("obs", 9)  # sums in any order
+    hit = s <= obs if alternative == "less" else s >= obs
     return null.join(seen, cell).groupBy(*cell).agg(((1 + F.count_if(hit)) / (1 + F.lit(replicates))).alias("p"))

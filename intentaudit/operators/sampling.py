@@ -78,3 +78,23 @@ def sample_facts(sample: DataFrame, pool: DataFrame) -> DataFrame:
     """Mean features per intent, share with TALL in sample and pool, profiles, distinct inputs."""
     s = sample.agg(F.count("*").alias("n"), F.avg(F.bit_count("intent4")).alias("mean_tags"), F.avg((F.col("intent4").bitwiseAND(8) != 0).cast("int")).alias("tall_sample"), F.countDistinct("profile").alias("profiles"), F.countDistinct("prefix_sha").alias("distinct_inputs"))
     return s.crossJoin(pool.agg(F.avg((F.col("intent4").bitwiseAND(8) != 0).cast("int")).alias("tall_pool")))
+
+
+def sample_overlap(sample: DataFrame, other: DataFrame) -> DataFrame:
+    """One row: programs of the sample, those whose text is also in the other sample, profiles that the other lacks, and the sample's programs in these."""
+    shared = sample.join(other.select("program_sha").distinct(), "program_sha", "left_semi").agg(F.count("*").alias("shared"))
+    new = sample.join(other.select("profile").distinct(), "profile", "left_anti").agg(F.countDistinct("profile").alias("new_profiles"), F.count("*").alias("in_new_profiles"))
+    return sample.agg(F.count("*").alias("n")).crossJoin(shared).crossJoin(new)
+
+
+def effective_size(generated: DataFrame) -> DataFrame:
+    """Per cell: rows, distinct prompts (prefix and header) and distinct generations."""
+    return generated.groupBy("model", "form", "arm").agg(F.count("*").alias("n"), F.countDistinct("prefix_sha", "h").alias("distinct_prompts"), F.countDistinct("program").alias("distinct_generations"))
+
+
+def comparators(counts: DataFrame, n: int = DEFAULTS.n) -> DataFrame:
+    """(profile, pool, equal, proportional): the quotas of the designs not taken."""
+    pools = {r["profile"]: r["pool"] for r in counts.collect()}  # one row per profile
+    n = min(n, sum(pools.values()))
+    even, share = equal_quotas(pools, n), proportional_quotas(pools, n)
+    return counts.sparkSession.createDataFrame([(k, v, even[k], share[k]) for k, v in sorted(pools.items())], "profile string, pool long, equal long, proportional long")

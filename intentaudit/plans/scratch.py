@@ -2,16 +2,20 @@
 
 from __future__ import annotations
 
+import re
 import tempfile
 import uuid
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 
 def folder(spark: SparkSession) -> str:
-    """The folder of spark.checkpoint.dir; one is made only where it is unset (tests)."""
+    """The folder of spark.checkpoint.dir; one is made only where it is unset and Spark runs in one process (tests)."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
         base = tempfile.mkdtemp(prefix="scratch-")
         spark.sparkContext.setCheckpointDir(base)
     return base.rstrip("/")
@@ -22,3 +26,11 @@ def written(df: DataFrame) -> DataFrame:
     path = f"{folder(spark)}/audit-{uuid.uuid4().hex}"
     df.write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
+
+
+BROADCAST_ROWS = 200_000
+
+
+def sized(df: DataFrame, rows: int = BROADCAST_ROWS) -> DataFrame:
+    """Broadcast if it is counted and found small, else left to shuffle."""
+    return F.broadcast(df) if df.limit(rows + 1).count() <= rows else df

@@ -14,14 +14,6 @@ PRIMARY_MASK = sum(1 << f[1] for f in FEATURES if f[2])
 
 SEEDS = (0, 1, 2)
 FORMS = ("text", "token")
-#: (model, form, arm) of every evaluated cell
-CELLS = (
-    ("U", "none", "uncond"),
-    *(("M", f, a) for f in FORMS for a in ("correct", "wrong", "masked")),
-    ("R", "text", "correct"),
-    ("R", "text", "wrong"),
-)
-
 
 @dataclass(frozen=True)
 class Options:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import json
 from collections.abc import Iterator
 
 import pandas as pd
@@ -56,17 +57,30 @@ def pairs(stream: DataFrame, late: str = "1 hour") -> DataFrame:
     return c.join(w, F.expr("sample_id = sid and wts >= cts and wts <= cts + interval 1 day")).select("sample_id", "cts", "wts", (F.col("w6") - F.col("c6")).alias("d6"))
 
 
-def drift(stream: DataFrame, limit: float = -1.0) -> DataFrame:
-    """Running mean of adherence per arm with an alarm; the state of an arm is two numbers."""
+def drift(differences: DataFrame, limit: float = -0.5, least: int = 30, key: str = "form") -> DataFrame:
+    """Running paired difference with an alarm: (key, n, mean6, alarm) per key and micro-batch.
 
-    def step(key, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
-        n, total = state.get if state.exists else (0, 0)
+    differences: a stream of (key, d6), one row per pair (``pairs``), d6 a whole number of sixths from -6 to 6. The
+    state of a key is thirteen counts, however many pairs have come. The alarm is raised
+    once ``least`` pairs are in and their mean is below ``limit`` sixths.
+    """
+
+    def step(group, batches: Iterator[pd.DataFrame], state) -> Iterator[pd.DataFrame]:
+        counts = list(state.get[0]) if state.exists else [0] * 13
         for b in batches:
-            n, total = n + len(b), total + int(b["adh6"].sum())
-        state.update((n, total))
-        yield pd.DataFrame({"arm": [key[0]], "n": [n], "mean6": [total / n if n else 0.0], "alarm": [bool(n and total / n < limit)]})
+            for d, n in b["d6"].clip(-6, 6).value_counts().items():
+                counts[int(d) + 6] += int(n)
+        state.update((counts,))
+        n = sum(counts)
+        mean = sum((i - 6) * c for i, c in enumerate(counts)) / n if n else 0.0
+        yield pd.DataFrame({key: [group[0]], "n": [n], "mean6": [mean], "alarm": [bool(n >= least and mean < limit)]})
+
+    return differences.groupBy(key).applyInPandasWithState(step, f"{key} string, n long, mean6 double, alarm boolean", "counts array<long>", "update", "NoTimeout")
+
 
-    return as_scores(stream).groupBy("arm").applyInPandasWithState(step, "arm string, n long, mean6 double, alarm boolean", "n long, total long", "update", "NoTimeout")
+def late_rows(query) -> int:
+    """Rows that a query's state operators dropped as later than the watermark, over its progress reports."""
+    return sum(s.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for s in json.loads(p.json if hasattr(p, "json") and not callable(p.json) else json.dumps(p, default=str)).get("stateOperators", []))
 
 
 def write_once(path: str):
