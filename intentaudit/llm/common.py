@@ -2,17 +2,19 @@
 
 from __future__ import annotations
 
+import gc
+import re
 import tempfile
 import uuid
-import zipfile
 from collections.abc import Callable, Iterator
-from pathlib import Path
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..shipping import ship
+
 #: ASCII white space, the only separators of the word rule ``[^\x20\x09-\x0D]+``.
 WORD = r"[^\x20\x09-\x0D]+"
 GAP = r"[\x20\x09-\x0D]+"
@@ -22,22 +24,6 @@ def table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir.rstrip('/')}/{name}.parquet")
 
 
-_SHIPPED: set[str] = set()
-
-
-def ship(spark: SparkSession) -> None:
-    """Send the package to the executors once per application, through Spark's file server."""
-    app = spark.sparkContext.applicationId
-    if app not in _SHIPPED:
-        root = Path(__file__).resolve().parents[2]
-        archive = Path(tempfile.mkdtemp()) / "intentaudit.zip"
-        with zipfile.ZipFile(archive, "w") as z:
-            for p in sorted((root / "intentaudit").rglob("*.py")):
-                z.write(p, p.relative_to(root))
-        spark.sparkContext.addPyFile(str(archive))
-        _SHIPPED.add(app)
-
-
 def session(df: DataFrame) -> SparkSession:
     """The frame's session, with the package shipped and Arrow batches small enough for very long texts."""
     spark = df.sparkSession
@@ -49,25 +35,31 @@ def session(df: DataFrame) -> SparkSession:
 def scratch(spark: SparkSession) -> str:
     """A fresh path in the shared folder of ``spark.checkpoint.dir``.
 
-    The folder is the session's; one is made only where it is unset (tests).
+    The folder is the session's; one is made only where it is unset and Spark runs in one process (tests).
     """
-    base = spark.conf.get("spark.checkpoint.dir", None)
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
-        base = spark.sparkContext.getCheckpointDir()
-        if not base:
-            base = tempfile.mkdtemp(prefix="scratch-")
-            spark.sparkContext.setCheckpointDir(base)
+        if not re.match(r"local(\[|$)", spark.sparkContext.master):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that all executors share")
+        base = tempfile.mkdtemp(prefix="scratch-")
+        spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/llm-{uuid.uuid4().hex}"
 
 
-def materialize(df: DataFrame) -> DataFrame:
+def materialize(df: DataFrame, compression: str | None = None) -> DataFrame:
     """Cut the lineage: write to the shared folder, read back."""
     spark = df.sparkSession
     path = scratch(spark)
-    df.write.parquet(path)
+    (df.write.option("compression", compression) if compression else df.write).parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 
+def release_shuffles(spark: SparkSession) -> None:
+    """Let Spark delete the shuffle files of frames that are written down and no longer held; it does so when the driver's JVM collects its garbage."""
+    gc.collect()
+    spark.sparkContext._jvm.System.gc()
+
+
 def map_batches(df: DataFrame, fn: Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]], schema: str) -> DataFrame:
     session(df)
     return df.mapInArrow(fn, schema)

@@ -10,7 +10,7 @@ longest retained suffix of what precedes it.
 
 Texts are read once: they become blocks of small integers beside the 64-bit hashes
 of the words they stand for, and blocks of a task make up chunks. Level by level, each chunk sends the
-runs that it holds with their counts, as arrays by range of the code, and gets back their counts in the corpus, so
+runs that it holds with their counts, as arrays, and gets back their counts in the corpus, so
 that no task holds the whole model. A run that only one training document holds once is not
 sent back: where its document asks for it, its count is one.
 Only bit maps of fixed size are broadcast. They save rows that could not
@@ -30,11 +30,11 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blobs, fold, map_batches, materialize, sized, text_of
+from .common import blobs, fold, map_batches, materialize, release_shuffles, sized, text_of
 
 FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
 CHUNK_BYTES = 8 << 20
-BLOCK, PART = 1 << 16, 1_500_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
+BLOCK, PART = 1 << 17, 1_500_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
 BATCH = 2 << 20  # bytes of the arrays that a task sends on at once
 VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
@@ -173,7 +173,7 @@ def blocks_of(docs: DataFrame, id_col: str, text_col: str, depth: int, chunk_byt
             yield out()
 
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), FOLDS) == 0).alias("held"), text_of(text_col).cast("binary").alias("text"))
-    return materialize(map_batches(base, run, "chunk long, train long, tokens long, ids binary, vocab binary, pieces binary"))
+    return materialize(map_batches(base, run, "chunk long, train long, tokens long, ids binary, vocab binary, pieces binary"), compression="zstd")
 
 
 @dataclass
@@ -228,8 +228,21 @@ def _each_block(batches):
         yield from zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces")))
 
 
+def _share(codes: np.ndarray, n: int) -> np.ndarray:
+    """Each code's place among n equal ranges."""
+    return (((codes >> np.uint64(32)) * np.uint64(n)) >> np.uint64(32)).astype(np.int64)
+
+
+def part_of(ctx: np.ndarray, up: np.ndarray, depth: int, parts: int) -> np.ndarray:
+    """The part that settles a run: words by their code, longer runs by their context, which a 64th of the parts share by the last words, so that no context fills a part."""
+    if not depth:
+        return _share(up, parts)
+    spread = -(-parts // 64)
+    return (_share(ctx, parts) + _share(up, spread) * (parts // spread)) % parts
+
+
 def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
-    """(part, chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, as arrays, one row for each of ``parts`` ranges of the code; of single words ``up`` is the word and ``ctx`` 0."""
+    """(part, chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, as arrays, one row for each of ``parts`` parts; of single words ``up`` is the word and ``ctx`` 0."""
 
     def run(batches):
         chunk, total = None, _Counts()
@@ -237,15 +250,17 @@ def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
         def out():
             if not total.parts:
                 return
-            code, ctx, up, n, held = total.settle()
-            cuts = np.searchsorted(((code >> np.uint64(32)) * np.uint64(parts)) >> np.uint64(32), np.arange(parts + 1, dtype=np.uint64))
+            _, *columns = total.settle()
+            to = part_of(columns[0], columns[1], depth, parts)
+            order = np.lexsort((columns[0], to))  # by part; equal contexts side by side take less room
+            to, ctx, up, n, held = to[order], *(c[order] for c in columns)
+            cuts = np.searchsorted(to, np.arange(parts + 1))
             rows, size = [], 0
             filled = np.flatnonzero(np.diff(cuts))
             for part in filled:
                 at = slice(cuts[part], cuts[part + 1])
-                order = np.argsort(ctx[at], kind="stable")  # equal contexts side by side take less room
-                rows.append((int(part), chunk, *(c[at][order].tobytes() for c in (ctx, up, n, held))))
-                size += 21 * len(order)
+                rows.append((int(part), chunk, *(c[at].tobytes() for c in (ctx, up, n, held))))
+                size += 21 * (at.stop - at.start)
                 if size > BATCH or part == filled[-1]:
                     c = list(zip(*rows))
                     rows, size = [], 0
@@ -273,10 +288,10 @@ def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
 
 
 def _answers(asks: DataFrame, depth: int, least: int) -> DataFrame:
-    """(chunk, code, n, ctx, up, kinds): for every chunk the corpus counts of the runs it asked for, as arrays, written down.
+    """(chunk, code, n, ctx, kinds): for every chunk the corpus counts of the runs it asked for, as arrays, written down.
 
     Runs counted fewer than ``least`` times, but for those that held-out text asks
-    for too, are left out. A row without a chunk has each run of its range once, with ctx and up, and in
+    for too, are left out. A row without a chunk has each run of its part once, with ctx and, in ``code``, up, and in
     ``kinds`` the number of all runs of training text.
     """
 
@@ -295,31 +310,34 @@ def _answers(asks: DataFrame, depth: int, least: int) -> DataFrame:
         sums, keep = np.empty(len(code), np.int64), np.empty(len(code), bool)
         sums[order], keep[order] = np.repeat(total, size), np.repeat(stay, size)
         once = order[start][stay]
-        rows, lo = [(None, code[once].tobytes(), total[stay].tobytes(), ctx[once].tobytes(), up[once].tobytes(), int((total > 0).sum()))], 0
+        once = once[np.argsort(ctx[once], kind="stable")]
+        rows, lo = [(None, up[once].tobytes(), sums[once].tobytes(), ctx[once].tobytes(), int((total > 0).sum()))], 0
         for c, x in zip(chunk, each):
             at = slice(lo, lo + len(x) // 4)
             lo, k = at.stop, keep[at]
-            rows.append((c, code[at][k].tobytes(), sums[at][k].tobytes(), None, None, None))
+            rows.append((c, code[at][k].tobytes(), sums[at][k].tobytes(), None, None))
         c = list(zip(*rows))
-        return pa.table([pa.array(c[0], pa.int64()), *(pa.array(x, pa.binary()) for x in c[1:5]), pa.array(c[5], pa.int64())], ["chunk", "code", "n", "ctx", "up", "kinds"])
+        return pa.table([pa.array(c[0], pa.int64()), *(pa.array(x, pa.binary()) for x in c[1:4]), pa.array(c[4], pa.int64())], ["chunk", "code", "n", "ctx", "kinds"])
 
-    return materialize(asks.groupBy("part").applyInArrow(run, "chunk long, code binary, n binary, ctx binary, up binary, kinds long"))
+    out = materialize(asks.groupBy("part").applyInArrow(run, "chunk long, code binary, n binary, ctx binary, kinds long"), compression="zstd")
+    release_shuffles(asks.sparkSession)
+    return out
 
 
-def _runs(answers: DataFrame, least: int) -> DataFrame:
+def _runs(answers: DataFrame, depth: int, least: int) -> DataFrame:
     """(code, ctx, up, n) of the runs counted ``least`` times or more, a row each."""
 
     def run(batches):
         for b in batches:
-            for code, n, ctx, up in zip(*(blobs(b.column(k)) for k in ("code", "n", "ctx", "up"))):
+            for up, n, ctx in zip(*(blobs(b.column(k)) for k in ("code", "n", "ctx"))):
                 n = np.frombuffer(n, np.int64)
                 i = np.flatnonzero(n >= least)
-                code, ctx, up = (np.frombuffer(x, np.int64) for x in (code, ctx, up))
+                up, ctx, n = np.frombuffer(up, np.uint64)[i], np.frombuffer(ctx, np.uint64)[i], n[i]
+                code = code_of(ctx, up) if depth else up
                 for lo in range(0, len(i), 100_000):
-                    at = i[lo : lo + 100_000]
-                    yield pa.record_batch([pa.array(x[at]) for x in (code, ctx, up, n)], ["code", "ctx", "up", "n"])
+                    yield pa.record_batch([pa.array(x[lo : lo + 100_000].view(np.int64)) for x in (code, ctx, up, n)], ["code", "ctx", "up", "n"])
 
-    return map_batches(answers.filter("chunk is null").select("code", "n", "ctx", "up"), run, "code long, ctx long, up long, n long")
+    return map_batches(answers.filter("chunk is null").select("code", "n", "ctx"), run, "code long, ctx long, up long, n long")
 
 
 def _held_by(answers: DataFrame, least: int) -> DataFrame:
@@ -379,18 +397,18 @@ def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int)
     distinct = answers[0].agg(F.coalesce(F.sum("kinds"), F.lit(0))).collect()[0][0]
     bits = np.zeros(1 << (BITS - 6), np.uint64)
     for d in range(1, depth + 1):
-        frequent = _runs(answers[-1], support)
+        frequent = _runs(answers[-1], d - 1, support)
         allowed = bit_map(frequent)
         if not allowed.any():
             break
         answers.append(_answers(_asks(blocks, d, spark.sparkContext.broadcast(allowed), parts), d, least))
-        suffixes = _runs(answers[-2], 2).select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
+        suffixes = _runs(answers[-2], d - 1, 2).select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
         if d == 1:
             suffixes = suffixes.select("up", "m", F.lit(int(words)).alias("all"))
         else:
-            above = _runs(answers[-3], support).select(F.col("code").alias("ctx"), F.col("n").alias("all"))
+            above = _runs(answers[-3], d - 2, support).select(F.col("code").alias("ctx"), F.col("n").alias("all"))
             suffixes = suffixes.join(sized(above), "ctx").select("up", "m", "all")
-        kept.append(_retained(_runs(answers[-1], 2).select("ctx", "up", "n"), frequent.select(F.col("code").alias("ctx"), F.col("n").alias("total")), suffixes, gain))
+        kept.append(_retained(_runs(answers[-1], d, 2).select("ctx", "up", "n"), frequent.select(F.col("code").alias("ctx"), F.col("n").alias("total")), suffixes, gain))
         bits |= bit_map(kept[-1])
     return SuffixTree(int(words), int(distinct), depth, bits), answers, kept
 
@@ -402,9 +420,9 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support
     """
     tree, answers, kept = _grow(blocks_of(docs, id_col, text_col, depth, chunk_bytes), support, depth, gain, 1)
     none = F.lit(0).cast("long")
-    table = _runs(answers[0], 1).select("code", "n", none.alias("total"), none.alias("kinds"))
-    for a, k in zip(answers[1:], kept):
-        table = table.union(_runs(a, 1).join(k.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n", none, none)).union(k.select("code", none, "total", "kinds"))
+    table = _runs(answers[0], 0, 1).select("code", "n", none.alias("total"), none.alias("kinds"))
+    for d, (a, k) in enumerate(zip(answers[1:], kept), 1):
+        table = table.union(_runs(a, d, 1).join(k.select(F.col("code").alias("ctx")), "ctx", "left_semi").select("code", "n", none, none)).union(k.select("code", none, "total", "kinds"))
     return tree, table
 
 
