@@ -10,7 +10,7 @@ longest retained suffix of what precedes it.
 
 Texts are read once: they become blocks of small integers beside the 64-bit hashes
 of the words they stand for, and blocks of a task make up chunks. Level by level, each chunk sends the
-runs that it holds with their counts, as arrays, and gets back their counts in the corpus, so
+runs that it holds with their counts, as arrays, and gets back their counts in the corpus in the same order, so
 that no task holds the whole model. A run that only one training document holds once is not
 sent back: where its document asks for it, its count is one.
 Only bit maps of fixed size are broadcast. They save rows that could not
@@ -108,7 +108,7 @@ class _Blocks:
         import xxhash
 
         self.hash, self.task, self.depth, self.chunk_bytes, self.block = xxhash.xxh64_intdigest, task, depth, chunk_bytes, block
-        self.rows, self.bytes, self.done = 0, 0, []
+        self.rows, self.bytes, self.no, self.done = 0, 0, 0, []
         self._open()
 
     def _open(self) -> None:
@@ -123,7 +123,8 @@ class _Blocks:
             hashes = np.fromiter((self.hash(w, 0) for w in self.words), np.uint64, len(self.words))
             p = np.array(self.pieces, np.int64)
             train = int((p[:, 4] - p[:, 3])[p[:, 2] & 1 == 0].sum())
-            self.done.append(((self.task << 24) + self.bytes // self.chunk_bytes, train, self.n, np.concatenate(self.ids).tobytes(), hashes.tobytes(), p.tobytes()))
+            self.no += 1
+            self.done.append(((self.task << 24) + self.bytes // self.chunk_bytes, self.no, train, self.n, np.concatenate(self.ids).tobytes(), hashes.tobytes(), p.tobytes()))
         self._open()
 
     def add(self, doc, held: bool, text: bytes) -> None:
@@ -148,7 +149,7 @@ class _Blocks:
 
 
 def blocks_of(docs: DataFrame, id_col: str, text_col: str, depth: int, chunk_bytes: int, block: int = BLOCK) -> DataFrame:
-    """(chunk, train, tokens, ids, vocab, pieces): the texts as blocks, written down.
+    """(chunk, no, train, tokens, ids, vocab, pieces): the texts as blocks, numbered in a task, written down.
 
     A piece is (row, doc_id, flags, lead, tokens): flag 1 is held out, 2 a null identifier; ``lead`` of its tokens belong to an earlier piece of the row.
     """
@@ -161,7 +162,7 @@ def blocks_of(docs: DataFrame, id_col: str, text_col: str, depth: int, chunk_byt
         def out():
             c = list(zip(*cut.done))
             cut.done = []
-            return pa.record_batch([pa.array(c[0], pa.int64()), pa.array(c[1], pa.int64()), pa.array(c[2], pa.int64()), *(pa.array(x, pa.binary()) for x in c[3:])], ["chunk", "train", "tokens", "ids", "vocab", "pieces"])
+            return pa.record_batch([*(pa.array(x, pa.int64()) for x in c[:4]), *(pa.array(x, pa.binary()) for x in c[4:])], ["chunk", "no", "train", "tokens", "ids", "vocab", "pieces"])
 
         for b in batches:
             for doc, held, text in zip(b.column("doc_id").to_pylist(), b.column("held").to_pylist(), blobs(b.column("text"))):
@@ -173,7 +174,7 @@ def blocks_of(docs: DataFrame, id_col: str, text_col: str, depth: int, chunk_byt
             yield out()
 
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), (fold(F.col(id_col), FOLDS) == 0).alias("held"), text_of(text_col).cast("binary").alias("text"))
-    return materialize(map_batches(base, run, "chunk long, train long, tokens long, ids binary, vocab binary, pieces binary"), compression="zstd")
+    return materialize(map_batches(base, run, "chunk long, no long, train long, tokens long, ids binary, vocab binary, pieces binary"), compression="zstd")
 
 
 @dataclass
@@ -223,9 +224,14 @@ class _Counts:
         return out
 
 
-def _each_block(batches):
+_BLOCK = ["chunk", "no", "ids", "vocab", "pieces"]
+
+
+def _each_block(batches) -> Iterator[tuple[int, int, _Block]]:
+    """(chunk, number, block) of a task's blocks, in order."""
     for b in batches:
-        yield from zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("ids", "vocab", "pieces")))
+        for c, no, *arrays in zip(b.column("chunk").to_pylist(), b.column("no").to_pylist(), *(blobs(b.column(k)) for k in _BLOCK[2:])):
+            yield c, no, _read(*arrays)
 
 
 def _share(codes: np.ndarray, n: int) -> np.ndarray:
@@ -241,62 +247,84 @@ def part_of(ctx: np.ndarray, up: np.ndarray, depth: int, parts: int) -> np.ndarr
     return (_share(ctx, parts) + _share(up, spread) * (parts // spread)) % parts
 
 
+def _add_runs(total: _Counts, k: _Block, depth: int, allowed) -> None:
+    """The runs of depth + 1 words of a block whose context may be in the bit map; of single words ``up`` is the word and ``ctx`` 0."""
+    if not depth:
+        n, held = (np.bincount(k.ids[k.own & t], minlength=len(k.vocab)) for t in (k.train, ~k.train))
+        seen = n + held > 0
+        total.add(k.vocab[seen], np.zeros(int(seen.sum()), np.uint64), k.vocab[seen], n[seen], held[seen])
+        return
+    h = k.vocab[k.ids]
+    for _ in range(depth - 1):
+        h = longer(h)
+    i = np.flatnonzero((k.place >= depth) & k.own)
+    i = i[in_map(allowed, h[i - 1])]
+    total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i], k.train[i], ~k.train[i])
+
+
+def _arranged(total: _Counts, depth: int, parts: int) -> list[np.ndarray]:
+    """Part, code, ctx, up, n, held of the runs, by part and context; the order depends on nothing but the set of runs."""
+    columns = total.settle()
+    to = part_of(columns[1], columns[2], depth, parts)
+    order = np.lexsort((columns[1], to))  # equal contexts side by side take less room
+    return [c[order] for c in (to, *columns)]
+
+
 def _asks(blocks: DataFrame, depth: int, allowed, parts: int) -> DataFrame:
-    """(part, chunk, ctx, up, n, held): the runs of depth + 1 words of each chunk whose context may be in the bit map, as arrays, one row for each of ``parts`` parts; of single words ``up`` is the word and ``ctx`` 0."""
+    """(part, chunk, first, blocks, ctx, up, n, held): the runs of each chunk as arrays, a row for each part; ``first`` and ``blocks`` say which blocks they come from, should two tasks read a chunk."""
 
     def run(batches):
-        chunk, total = None, _Counts()
+        held = allowed.value if allowed is not None else None
 
-        def out():
+        def out(chunk, first, blocks, total):
             if not total.parts:
                 return
-            _, *columns = total.settle()
-            to = part_of(columns[0], columns[1], depth, parts)
-            order = np.lexsort((columns[0], to))  # by part; equal contexts side by side take less room
-            to, ctx, up, n, held = to[order], *(c[order] for c in columns)
+            to, _, *columns = _arranged(total, depth, parts)
             cuts = np.searchsorted(to, np.arange(parts + 1))
             rows, size = [], 0
             filled = np.flatnonzero(np.diff(cuts))
             for part in filled:
                 at = slice(cuts[part], cuts[part + 1])
-                rows.append((int(part), chunk, *(c[at].tobytes() for c in (ctx, up, n, held))))
+                rows.append((int(part), chunk, first, blocks, *(c[at].tobytes() for c in columns)))
                 size += 21 * (at.stop - at.start)
                 if size > BATCH or part == filled[-1]:
                     c = list(zip(*rows))
                     rows, size = [], 0
-                    yield pa.record_batch([pa.array(c[0], pa.int32()), pa.array(c[1], pa.int64()), *(pa.array(x, pa.binary()) for x in c[2:])], ["part", "chunk", "ctx", "up", "n", "held"])
+                    yield pa.record_batch([pa.array(c[0], pa.int32()), *(pa.array(x, pa.int64()) for x in c[1:4]), *(pa.array(x, pa.binary()) for x in c[4:])], ["part", "chunk", "first", "blocks", "ctx", "up", "n", "held"])
+
+        chunk, first, n, total = None, 0, 0, _Counts()
+        for c, no, k in _each_block(batches):
+            if c != chunk or no != first + n:
+                yield from out(chunk, first, n, total)
+                chunk, first, n, total = c, no, 0, _Counts()
+            n += 1
+            _add_runs(total, k, depth, held)
+        yield from out(chunk, first, n, total)
+
+    return map_batches(blocks.select(*_BLOCK), run, "part int, chunk long, first long, blocks long, ctx binary, up binary, n binary, held binary")
+
+
+def _small(n: np.ndarray) -> tuple[bytes, bytes]:
+    """Counts as bytes, those of 255 and more beside them."""
+    return np.minimum(n, 255).astype(np.uint8).tobytes(), n[n >= 255].tobytes()
 
-        for c, ids, vocab, pieces in _each_block(batches):
-            if c != chunk:
-                yield from out()
-                chunk, total = c, _Counts()
-            k = _read(ids, vocab, pieces)
-            if not depth:
-                n, held = (np.bincount(k.ids[k.own & t], minlength=len(k.vocab)) for t in (k.train, ~k.train))
-                seen = n + held > 0
-                total.add(k.vocab[seen], np.zeros(int(seen.sum()), np.uint64), k.vocab[seen], n[seen], held[seen])
-                continue
-            h = k.vocab[k.ids]
-            for _ in range(depth - 1):
-                h = longer(h)
-            i = np.flatnonzero((k.place >= depth) & k.own)
-            i = i[in_map(allowed.value, h[i - 1])]
-            total.add(code_of(h[i - 1], h[i]), h[i - 1], h[i], k.train[i], ~k.train[i])
-        yield from out()
 
-    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "part int, chunk long, ctx binary, up binary, n binary, held binary")
+def _whole(small: bytes, big: bytes) -> np.ndarray:
+    n = np.frombuffer(small, np.uint8).astype(np.int64)
+    n[n == 255] = np.frombuffer(big, np.int64)
+    return n
 
 
 def _answers(asks: DataFrame, depth: int, least: int) -> DataFrame:
-    """(chunk, code, n, ctx, kinds): for every chunk the corpus counts of the runs it asked for, as arrays, written down.
+    """(chunk, first, blocks, part, n, big, ctx, up, kinds): for every chunk the corpus counts of the runs it asked for, in the order of its asking, written down.
 
     Runs counted fewer than ``least`` times, but for those that held-out text asks
-    for too, are left out. A row without a chunk has each run of its part once, with ctx and, in ``code``, up, and in
+    for too, are answered with 0. A row without a chunk has each other run of its part once, with ctx, up and n, and in
     ``kinds`` the number of all runs of training text.
     """
 
     def run(t: pa.Table) -> pa.Table:
-        chunk = t.column("chunk").to_pylist()
+        ids = [t.column(c).to_pylist() for c in ("chunk", "first", "blocks", "part")]
         ctx, up = (np.frombuffer(b"".join(blobs(t.column(c).combine_chunks())), np.uint64) for c in ("ctx", "up"))
         each = blobs(t.column("n").combine_chunks())
         n, held = np.frombuffer(b"".join(each), np.int32), np.frombuffer(b"".join(blobs(t.column("held").combine_chunks())), bool)
@@ -306,20 +334,19 @@ def _answers(asks: DataFrame, depth: int, least: int) -> DataFrame:
         start = np.flatnonzero(np.r_[True, inside[1:] != inside[:-1]])
         total, asked = np.add.reduceat(n[order].astype(np.int64), start), np.logical_or.reduceat(held[order], start)
         stay = (total >= least) | ((total > 0) & asked)
-        size = np.diff(np.append(start, len(code)))
-        sums, keep = np.empty(len(code), np.int64), np.empty(len(code), bool)
-        sums[order], keep[order] = np.repeat(total, size), np.repeat(stay, size)
+        sums = np.empty(len(code), np.int64)
+        sums[order] = np.repeat(np.where(stay, total, 0), np.diff(np.append(start, len(code))))
         once = order[start][stay]
         once = once[np.argsort(ctx[once], kind="stable")]
-        rows, lo = [(None, up[once].tobytes(), sums[once].tobytes(), ctx[once].tobytes(), int((total > 0).sum()))], 0
-        for c, x in zip(chunk, each):
+        rows, lo = [(None, None, None, None, sums[once].tobytes(), None, ctx[once].tobytes(), up[once].tobytes(), int((total > 0).sum()))], 0
+        for *i, x in zip(*ids, each):
             at = slice(lo, lo + len(x) // 4)
-            lo, k = at.stop, keep[at]
-            rows.append((c, code[at][k].tobytes(), sums[at][k].tobytes(), None, None))
+            lo = at.stop
+            rows.append((*i, *_small(sums[at]), None, None, None))
         c = list(zip(*rows))
-        return pa.table([pa.array(c[0], pa.int64()), *(pa.array(x, pa.binary()) for x in c[1:4]), pa.array(c[4], pa.int64())], ["chunk", "code", "n", "ctx", "kinds"])
+        return pa.table([*(pa.array(x, pa.int64()) for x in c[:3]), pa.array(c[3], pa.int32()), *(pa.array(x, pa.binary()) for x in c[4:8]), pa.array(c[8], pa.int64())], ["chunk", "first", "blocks", "part", "n", "big", "ctx", "up", "kinds"])
 
-    out = materialize(asks.groupBy("part").applyInArrow(run, "chunk long, code binary, n binary, ctx binary, kinds long"), compression="zstd")
+    out = materialize(asks.groupBy("part").applyInArrow(run, "chunk long, first long, blocks long, part int, n binary, big binary, ctx binary, up binary, kinds long"), compression="zstd")
     release_shuffles(asks.sparkSession)
     return out
 
@@ -329,7 +356,7 @@ def _runs(answers: DataFrame, depth: int, least: int) -> DataFrame:
 
     def run(batches):
         for b in batches:
-            for up, n, ctx in zip(*(blobs(b.column(k)) for k in ("code", "n", "ctx"))):
+            for up, n, ctx in zip(*(blobs(b.column(k)) for k in ("up", "n", "ctx"))):
                 n = np.frombuffer(n, np.int64)
                 i = np.flatnonzero(n >= least)
                 up, ctx, n = np.frombuffer(up, np.uint64)[i], np.frombuffer(ctx, np.uint64)[i], n[i]
@@ -337,21 +364,7 @@ def _runs(answers: DataFrame, depth: int, least: int) -> DataFrame:
                 for lo in range(0, len(i), 100_000):
                     yield pa.record_batch([pa.array(x[lo : lo + 100_000].view(np.int64)) for x in (code, ctx, up, n)], ["code", "ctx", "up", "n"])
 
-    return map_batches(answers.filter("chunk is null").select("code", "n", "ctx"), run, "code long, ctx long, up long, n long")
-
-
-def _held_by(answers: DataFrame, least: int) -> DataFrame:
-    """(chunk, code) of the runs counted ``least`` times or more that a chunk asked for, a row each."""
-
-    def run(batches):
-        for b in batches:
-            for c, code, n in zip(b.column("chunk").to_pylist(), *(blobs(b.column(k)) for k in ("code", "n"))):
-                code = np.frombuffer(code, np.int64)[np.frombuffer(n, np.int64) >= least]
-                for lo in range(0, len(code), 100_000):
-                    part = code[lo : lo + 100_000]
-                    yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part)], ["chunk", "code"])
-
-    return map_batches(answers.filter("chunk is not null").select("chunk", "code", "n"), run, "chunk long, code long")
+    return map_batches(answers.filter("chunk is null").select("up", "n", "ctx"), run, "code long, ctx long, up long, n long")
 
 
 def _retained(grams: DataFrame, contexts: DataFrame, suffixes: DataFrame, gain: float) -> DataFrame:
@@ -388,12 +401,12 @@ class SuffixTree:
         return (c + ADD) / (self.words + ADD * (self.distinct + 1))
 
 
-def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int) -> tuple[SuffixTree, list[DataFrame], list[DataFrame]]:
-    """The tree's size, the answers of each level (words, pairs, ...) and the retained contexts of one word, two words, ..."""
+def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int) -> tuple[SuffixTree, list[DataFrame], list[DataFrame], list, int]:
+    """The tree's size, the answers of each level (words, pairs, ...), the retained contexts of one word, two words, ..., and the levels' bit maps and number of parts."""
     spark = blocks.sparkSession
     words, tokens = blocks.agg(F.coalesce(F.sum("train"), F.lit(0)), F.coalesce(F.sum("tokens"), F.lit(0))).collect()[0]
     parts = max(1, math.ceil(tokens / PART))
-    answers, kept = [_answers(_asks(blocks, 0, None, parts), 0, least)], []
+    answers, kept, maps = [_answers(_asks(blocks, 0, None, parts), 0, least)], [], [None]
     distinct = answers[0].agg(F.coalesce(F.sum("kinds"), F.lit(0))).collect()[0][0]
     bits = np.zeros(1 << (BITS - 6), np.uint64)
     for d in range(1, depth + 1):
@@ -401,7 +414,8 @@ def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int)
         allowed = bit_map(frequent)
         if not allowed.any():
             break
-        answers.append(_answers(_asks(blocks, d, spark.sparkContext.broadcast(allowed), parts), d, least))
+        maps.append(spark.sparkContext.broadcast(allowed))
+        answers.append(_answers(_asks(blocks, d, maps[d], parts), d, least))
         suffixes = _runs(answers[-2], d - 1, 2).select(F.col("code").alias("up"), F.col("n").alias("m"), "ctx")
         if d == 1:
             suffixes = suffixes.select("up", "m", F.lit(int(words)).alias("all"))
@@ -410,7 +424,7 @@ def _grow(blocks: DataFrame, support: int, depth: int, gain: float, least: int)
             suffixes = suffixes.join(sized(above), "ctx").select("up", "m", "all")
         kept.append(_retained(_runs(answers[-1], d, 2).select("ctx", "up", "n"), frequent.select(F.col("code").alias("ctx"), F.col("n").alias("total")), suffixes, gain))
         bits |= bit_map(kept[-1])
-    return SuffixTree(int(words), int(distinct), depth, bits), answers, kept
+    return SuffixTree(int(words), int(distinct), depth, bits), answers, kept, maps, parts
 
 
 def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN, chunk_bytes: int = CHUNK_BYTES) -> tuple[SuffixTree, DataFrame]:
@@ -418,7 +432,7 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support
 
     A row with ``n`` counts a word or a retained context's next word, a row with ``total`` is a retained context.
     """
-    tree, answers, kept = _grow(blocks_of(docs, id_col, text_col, depth, chunk_bytes), support, depth, gain, 1)
+    tree, answers, kept, *_ = _grow(blocks_of(docs, id_col, text_col, depth, chunk_bytes), support, depth, gain, 1)
     none = F.lit(0).cast("long")
     table = _runs(answers[0], 0, 1).select("code", "n", none.alias("total"), none.alias("kinds"))
     for d, (a, k) in enumerate(zip(answers[1:], kept), 1):
@@ -429,26 +443,36 @@ def fit(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", support
 # scoring
 
 
-def _wanted(blocks: DataFrame, tree: SuffixTree) -> DataFrame:
-    """(chunk, code): what each chunk may have in a tree of other documents, once each."""
+def _wanted(blocks: DataFrame, tree: SuffixTree, contexts_only: bool) -> DataFrame:
+    """(chunk, code): the runs of each chunk that may be retained contexts, or all that may be in a tree of other documents; once in each task that reads the chunk."""
     held = blocks.sparkSession.sparkContext.broadcast(tree)
 
     def run(batches):
-        for c, ids, vocab, pieces in _each_block(batches):
-            k = _read(ids, vocab, pieces)
-            h, codes = k.vocab[k.ids], [k.vocab]
-            for d in range(1, held.value.depth + 1):
-                run = longer(h)
-                i = np.flatnonzero((k.place >= d) & k.own)
-                codes.append(run[i[in_map(held.value.contexts, h[i - 1])]])
-                h = run
-                codes.append(h[(k.place >= d) & in_map(held.value.contexts, h)])
-            every = np.unique(np.concatenate(codes))
+        tree = held.value
+
+        def out(chunk, codes):
+            every = np.unique(np.concatenate(codes)) if codes else np.zeros(0, np.uint64)
             for at in range(0, len(every), 100_000):
                 part = every[at : at + 100_000]
-                yield pa.record_batch([pa.array(np.full(len(part), c, np.int64)), pa.array(part.view(np.int64))], ["chunk", "code"])
+                yield pa.record_batch([pa.array(np.full(len(part), chunk, np.int64)), pa.array(part.view(np.int64))], ["chunk", "code"])
+
+        chunk, codes = None, []
+        for c, _, k in _each_block(batches):
+            if c != chunk:
+                yield from out(chunk, codes)
+                chunk, codes = c, []
+            h = k.vocab[k.ids]
+            codes.append(k.vocab[in_map(tree.contexts, k.vocab)] if contexts_only else k.vocab)
+            for d in range(1, tree.depth + 1 - contexts_only):
+                run = longer(h)
+                if not contexts_only:
+                    i = np.flatnonzero((k.place >= d) & k.own)
+                    codes.append(run[i[in_map(tree.contexts, h[i - 1])]])
+                h = run
+                codes.append(np.unique(h[(k.place >= d) & in_map(tree.contexts, h)]))
+        yield from out(chunk, codes)
 
-    return map_batches(blocks.select("chunk", "ids", "vocab", "pieces"), run, "chunk long, code long").distinct()
+    return map_batches(blocks.select(*_BLOCK), run, "chunk long, code long")
 
 
 class _Table:
@@ -509,31 +533,44 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
     table gives an empty result. Extra columns are ignored.
     """
     blocks = blocks_of(docs, id_col, text_col, model[0].depth if model else depth, chunk_bytes, block)
-    none, zero = F.lit(None).cast("binary"), F.lit(0).cast("long")
+    null, none, zero = (lambda kind: F.lit(None).cast(kind)), F.lit(None).cast("long"), F.lit(0).cast("long")
+    alone = lambda df: df.select("chunk", null("int").alias("depth"), none.alias("first"), none.alias("blocks"), null("int").alias("part"), null("binary").alias("n"), null("binary").alias("big"), "code", "single", "kinds")
     if model:
         tree, table = model
-        rows = _wanted(blocks, tree).join(table.select("code", F.greatest("n", "total").alias("n"), "kinds"), "code").select("chunk", none.alias("codes"), none.alias("ns"), "code", "n", "kinds")
+        maps, size = [], 0
+        rows = alone(_wanted(blocks, tree, False).join(table.select("code", F.greatest("n", "total").alias("single"), "kinds"), "code"))
     else:
-        tree, answers, kept = _grow(blocks, support, depth, gain, 2)
-        one = F.lit(None).cast("long")
-        parts = [a.filter("chunk is not null").select("chunk", F.col("code").alias("codes"), F.col("n").alias("ns"), one.alias("code"), one.alias("n"), one.alias("kinds")) for a in answers]
-        parts += [_held_by(a, support).join(sized(k.select("code", "kinds")), "code").select("chunk", none, none, "code", zero, "kinds") for a, k in zip(answers, kept)]
+        tree, answers, kept, maps, size = _grow(blocks, support, depth, gain, 2)
+        parts = [a.filter("chunk is not null").select("chunk", F.lit(d).alias("depth"), "first", "blocks", "part", "n", "big", none.alias("code"), none.alias("single"), none.alias("kinds")) for d, a in enumerate(answers)]
+        if kept:
+            contexts = functools.reduce(DataFrame.union, [k.select("code", "kinds") for k in kept])
+            parts.append(alone(_wanted(blocks, tree, True).join(sized(contexts), "code").withColumn("single", zero)))
         rows = functools.reduce(DataFrame.union, parts)
     held, within = blocks.sparkSession.sparkContext.broadcast(tree), model is None
 
     def rate(key, texts, rows):
-        model = held.value
-        alone = rows.filter(pc.is_valid(rows.column("code")))
-        codes, ns = (np.frombuffer(b"".join(blobs(rows.column(c).combine_chunks())), np.int64) for c in ("codes", "ns"))
-        code, n, kinds = (alone.column(c).to_numpy().astype(np.int64) for c in ("code", "n", "kinds"))
-        table = _Table(np.concatenate([codes, code]), np.concatenate([ns, n]), np.concatenate([np.zeros(len(codes), np.int64), kinds]))
-        out = []
-        for ids, vocab, pieces in zip(*(blobs(texts.column(k).combine_chunks()) for k in ("ids", "vocab", "pieces"))):
-            k = _read(ids, vocab, pieces)
-            out.append((k.pieces, _rated(model, table, k, within)))
+        tree = held.value
+        own = {no: _read(*arrays) for no, *arrays in zip(texts.column("no").to_pylist(), *(blobs(texts.column(k).combine_chunks()) for k in _BLOCK[2:]))}
+        single = rows.filter(pc.is_valid(rows.column("code")))
+        codes, ns, kinds = ([single.column(c).to_numpy().astype(np.int64)] for c in ("code", "single", "kinds"))
+        groups: dict[tuple, list] = {}
+        asked = rows.filter(pc.is_valid(rows.column("depth")))
+        for d, first, n, part, *counts in zip(*(asked.column(c).to_pylist() for c in ("depth", "first", "blocks", "part", "n", "big"))):
+            groups.setdefault((d, first, n), []).append((part, *counts))
+        for (d, first, n), answers in groups.items():
+            total = _Counts()
+            for no in range(first, first + n):
+                _add_runs(total, own[no], d, maps[d].value if d else None)
+            codes.append(_arranged(total, d, size)[1].view(np.int64))
+            ns.append(np.concatenate([_whole(*x) for _, *x in sorted(answers)]))
+            kinds.append(np.zeros(len(codes[-1]), np.int64))
+        code, n = np.concatenate(codes), np.concatenate(ns)
+        sent = (n > 0) | (np.arange(len(n)) < len(codes[0]))  # 0 is the answer for runs that were left out
+        table = _Table(code[sent], n[sent], np.concatenate(kinds)[sent])
+        out = [(k.pieces, _rated(tree, table, k, within)) for _, k in sorted(own.items())]
         p, s = np.concatenate([x for x, _ in out]), np.concatenate([x for _, x in out], axis=1)
         return pa.table([pa.array(p[:, 0]), pa.array(p[:, 1], mask=p[:, 2] & 2 > 0), pa.array(p[:, 2] & 1 > 0), pa.array(s[0].astype(np.int64)), pa.array(s[1].astype(np.int64)), pa.array(s[2]), pa.array(s[3])], ["row", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])
 
-    rated = blocks.select("chunk", "ids", "vocab", "pieces").groupBy("chunk").cogroup(rows.groupBy("chunk")).applyInArrow(rate, "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
+    rated = blocks.select(*_BLOCK).groupBy("chunk").cogroup(rows.groupBy("chunk")).applyInArrow(rate, "row long, doc_id long, held_out boolean, n_tokens long, n_known long, base_score double, score double")
     each = rated.groupBy("row").agg(F.first("doc_id").alias("doc_id"), F.first("held_out").alias("held_out"), *[F.sum(c).alias(c) for c in ("n_tokens", "n_known", "base_score", "score")])
     return each.select("doc_id", "held_out", "n_tokens", "n_known", F.lit(tree.words).cast("long").alias("train_tokens"), "base_score", "score")
