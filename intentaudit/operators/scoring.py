@@ -8,6 +8,7 @@ from pyspark.sql import functions as F
 from ..functions.geometry import execute, psi
 from ..functions.intent_text import phi
 from ..schema import PRIMARY, PRIMARY_MASK
+from ..shipping import ship
 
 CELL = ["model", "form", "arm"]
 
@@ -22,6 +23,7 @@ def score(generated: DataFrame, sample: DataFrame) -> DataFrame:
 
     Each distinct program text is executed once.
     """
+    ship(generated.sparkSession)
     texts = generated.select("program").distinct()
     bits = execute(texts).select("program", F.col("solid.ok").alias("ok"), F.col("solid.fail_reason").alias("fail_reason"), psi(F.col("solid")).alias("psi5"), phi(F.col("program")).alias("phi5"))
     rows = generated.join(bits, "program").join(sample.select("program_id", "intent4", "intent5", "profile", "prefix_sha"), "program_id")
@@ -53,6 +55,7 @@ def detector_agreement(scored: DataFrame) -> DataFrame:
 
 def reference_scores(programs: DataFrame) -> DataFrame:
     """Reference programs through their own metric."""
+    ship(programs.sparkSession)
     e = execute(programs).withColumn("psi5", psi(F.col("solid"))).withColumn("ok", F.col("solid.ok"))
     return e.withColumn("adh6", F.when(F.col("intent4") > 0, adh6(F.col("intent4"), F.col("psi5"))))
 

@@ -16,6 +16,7 @@ from ..operators import corpus, decisions, generator, pairing, prompts, ranktest
 from ..operators import protocol as P
 
 from ..schema import SEEDS
+from ..shipping import ship
 from ..sources.tables import flatten_arc, outer_profile, programs, table
 from .scratch import written
 
@@ -126,6 +127,7 @@ def phi_bits(spark, d):
 
 
 def psi_bits(spark, d):
+    ship(spark)
     e = execute(progs(spark, d).select("program").distinct())
     return e.select(F.sha2("program", 256).alias("sha"), F.col("solid.ok").alias("ok"), psi(F.col("solid")).alias("psi5"), validity(F.col("program")).alias("valid"))
 

@@ -79,8 +79,8 @@ def drift(differences: DataFrame, limit: float = -0.5, least: int = 30, key: str
 
 
 def late_rows(query) -> int:
-    """Rows that a query's state operators dropped as later than the watermark, over its progress reports."""
-    return sum(s.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for s in json.loads(p.json if hasattr(p, "json") and not callable(p.json) else json.dumps(p, default=str)).get("stateOperators", []))
+    """Rows that a query's state operators dropped as later than the watermark, over its progress reports; a windowed aggregate counts them after its partial sums (one a window, arm and task)."""
+    return sum(s.get("numRowsDroppedByWatermark", 0) for p in query.recentProgress for s in json.loads(p.json).get("stateOperators", []))
 
 
 def write_once(path: str):

@@ -20,6 +20,30 @@ def test_generation_source(spark, tmp_path):
     assert generations.read_json(spark, str(tmp_path)).cache().filter("_corrupt is not null").count() == 3
 
 
+def test_generation_source_ranges_and_bad_lines(spark, tmp_path, monkeypatch):
+    """Ranges of a file give every line once; bad lines are counted where they are kept."""
+    from intentaudit.sources.generations import GenerationReader
+
+    lines = [json.dumps(row(i, "wrong")) for i in range(50)] + ["not json", "[1]"]
+    (tmp_path / "a.jsonl").write_text("\n".join(lines))
+    for step in (7, 100, 333, 1 << 20):
+        monkeypatch.setattr(generations, "PART_BYTES", step)
+        reader = GenerationReader({"path": str(tmp_path)})
+        got = [r for p in reader.partitions() for r in reader.read(p)]
+        assert sorted(r[0] for r in got) == sorted(f"s{i}" for i in range(50))
+    generations.register(spark)
+    kept = spark.read.format("intent_generations").option("corrupt", "true").load(f"file://{tmp_path}")
+    assert kept.filter("_corrupt is not null").count() == 2 and kept.filter("sample_id is not null").count() == 50
+
+
+def test_bucketed_scores_pair_without_shuffle(spark):
+    df = spark.createDataFrame([(f"p{i}", "M", "text", a, s, 3) for i in range(20) for a in ("correct", "wrong") for s in (0, 1)], "program_id string, model string, form string, arm string, seed int, adh6 int")
+    generations.save_scores(df, "kept_scores", 4)
+    plan = spark.table("kept_scores").groupBy("program_id", "seed").count()._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan and spark.table("kept_scores").count() == 80
+    spark.sql("drop table kept_scores")
+
+
 def test_score_layout(spark, tmp_path):
     df = spark.createDataFrame([("p", "M", "text", a, s, 3) for a in ("correct", "wrong") for s in (0, 1)], "program_id string, model string, form string, arm string, seed int, adh6 int")
     generations.write_scores(df, str(tmp_path / "s"))
