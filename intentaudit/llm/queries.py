@@ -50,7 +50,7 @@ def op7_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op8_mix_sources(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(table(spark, sf_dir, "documents")).drop("copies")
+    return mixing.mix(table(spark, sf_dir, "documents")).drop("copies").withColumn("inclusion", F.round("inclusion", 9))
 
 
 def op9_quality(spark: SparkSession, sf_dir: str) -> DataFrame:

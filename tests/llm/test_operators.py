@@ -471,6 +471,29 @@ def test_mix(docs, empty):
     assert mixing.mix(empty).count() == 0
 
 
+def test_mix_inclusion_rates(spark):
+    """Copies beyond the whole ones come by size: the share drawn in each size class is near its probability, and probabilities make the expected words."""
+    rng = random.Random(3)
+    sizes = [5, 10, 20, 40]
+    rows = [(i, " ".join(["w"] * rng.choice(sizes)), "a" if i % 2 else "b") for i in range(6000)]
+    out = mixing.mix(make(spark, rows)).collect()
+    src = {i: s for i, _, s in rows}
+    for s in "ab":
+        mine = [r for r in out if src[r["doc_id"]] == s]
+        whole = int(mine[0]["target"] // mine[0]["source_size"])
+        rest = mine[0]["target"] - whole * mine[0]["source_size"]
+        assert abs(sum(r["inclusion"] * r["size"] for r in mine) - rest) < 1e-6 * rest
+        for n in sizes:
+            same = [r for r in mine if r["size"] == n]
+            share = sum(r["copies"] - whole for r in same) / len(same)
+            assert len({r["inclusion"] for r in same}) == 1 and abs(share - same[0]["inclusion"]) < 0.06
+        assert len({round(r["inclusion"] / r["size"], 9) for r in mine if r["inclusion"] < 1}) == 1
+        assert abs(sum(r["taken"] for r in mine) - mine[0]["target"]) <= 40
+    tilted = mixing.mix(make(spark, rows).withColumn("tilt", F.when(F.col("doc_id") % 3 == 0, 2.0).otherwise(1.0)), weight_col="tilt").collect()
+    got = {bool(r["doc_id"] % 3): r["inclusion"] for r in tilted if src[r["doc_id"]] == "b"}
+    assert abs(got[False] / got[True] - 2) < 1e-6
+
+
 def test_quality(spark, docs, empty):
     rng = random.Random(4)
     good = [f"word{i}" for i in range(100)]
