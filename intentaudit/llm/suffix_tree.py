@@ -35,6 +35,7 @@ from .common import blobs, fold, map_batches, materialize, release_shuffles, siz
 FOLDS, SUPPORT, DEPTH, GAIN, ADD = 10, 100, 2, 0.01, 0.1
 CHUNK_BYTES = 8 << 20
 BLOCK, PART = 1 << 17, 1_500_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
+FEW = 1_000_000  # retained contexts that are broadcast, 16 MB
 BATCH = 2 << 20  # bytes of the arrays that a task sends on at once
 VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
@@ -524,7 +525,7 @@ def _rated(tree: SuffixTree, table: _Table, k: _Block, within: bool) -> np.ndarr
     return np.stack([sums(1.0), sums((c > 0).astype(float)), sums(base), sums(np.log10(p))])
 
 
-def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, model: tuple[SuffixTree, DataFrame] | None = None, support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN, block: int = BLOCK) -> DataFrame:
+def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk_bytes: int = CHUNK_BYTES, model: tuple[SuffixTree, DataFrame] | None = None, support: int = SUPPORT, depth: int = DEPTH, gain: float = GAIN, block: int = BLOCK, few: int = FEW) -> DataFrame:
     """One row per document: doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score.
 
     Without ``model`` the tree is grown from the documents of folds other than 0
@@ -533,6 +534,7 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
     table gives an empty result. Extra columns are ignored.
     """
     blocks = blocks_of(docs, id_col, text_col, model[0].depth if model else depth, chunk_bytes, block)
+    known = None  # the retained contexts, if they are few; else each chunk gets its own by a join
     null, none, zero = (lambda kind: F.lit(None).cast(kind)), F.lit(None).cast("long"), F.lit(0).cast("long")
     alone = lambda df: df.select("chunk", null("int").alias("depth"), none.alias("first"), none.alias("blocks"), null("int").alias("part"), null("binary").alias("n"), null("binary").alias("big"), "code", "single", "kinds")
     if model:
@@ -542,9 +544,14 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
     else:
         tree, answers, kept, maps, size = _grow(blocks, support, depth, gain, 2)
         parts = [a.filter("chunk is not null").select("chunk", F.lit(d).alias("depth"), "first", "blocks", "part", "n", "big", none.alias("code"), none.alias("single"), none.alias("kinds")) for d, a in enumerate(answers)]
-        if kept:
-            contexts = functools.reduce(DataFrame.union, [k.select("code", "kinds") for k in kept])
-            parts.append(alone(_wanted(blocks, tree, True).join(sized(contexts), "code").withColumn("single", zero)))
+        contexts = functools.reduce(DataFrame.union, [k.select("code", "kinds") for k in kept]) if kept else None
+        if contexts is not None and contexts.count() <= few:
+            table = contexts.toArrow()  # at most ``few`` rows of 16 bytes
+            table = table.column("code").to_numpy().view(np.uint64), table.column("kinds").to_numpy()
+            order = np.argsort(table[0])
+            known = blocks.sparkSession.sparkContext.broadcast(tuple(c[order] for c in table))
+        elif contexts is not None:
+            parts.append(alone(_wanted(blocks, tree, True).join(contexts, "code").withColumn("single", zero)))
         rows = functools.reduce(DataFrame.union, parts)
     held, within = blocks.sparkSession.sparkContext.broadcast(tree), model is None
 
@@ -566,7 +573,11 @@ def score(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", chunk
             kinds.append(np.zeros(len(codes[-1]), np.int64))
         code, n = np.concatenate(codes), np.concatenate(ns)
         sent = (n > 0) | (np.arange(len(n)) < len(codes[0]))  # 0 is the answer for runs that were left out
-        table = _Table(code[sent], n[sent], np.concatenate(kinds)[sent])
+        code, n, kinds = code[sent].view(np.uint64), n[sent], np.concatenate(kinds)[sent]
+        if known is not None and len(known.value[0]):
+            at = np.minimum(np.searchsorted(known.value[0], code), len(known.value[0]) - 1)
+            kinds = np.where(known.value[0][at] == code, known.value[1][at], kinds)
+        table = _Table(code, n, kinds)
         out = [(k.pieces, _rated(tree, table, k, within)) for _, k in sorted(own.items())]
         p, s = np.concatenate([x for x, _ in out]), np.concatenate([x for _, x in out], axis=1)
         return pa.table([pa.array(p[:, 0]), pa.array(p[:, 1], mask=p[:, 2] & 2 > 0), pa.array(p[:, 2] & 1 > 0), pa.array(s[0].astype(np.int64)), pa.array(s[1].astype(np.int64)), pa.array(s[2]), pa.array(s[3])], ["row", "doc_id", "held_out", "n_tokens", "n_known", "base_score", "score"])

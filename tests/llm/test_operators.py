@@ -84,6 +84,16 @@ def test_near_groups(spark, docs, empty):
     assert near_dedup.near_groups(empty).count() == 0
 
 
+def test_near_groups_with_texts_that_share_an_identifier(spark):
+    rng = random.Random(4)
+    a, b = (" ".join(f"{x}{rng.randrange(10**6)}" for _ in range(50)) for x in "ab")
+    rows = [(5, a, "s"), (5, b, "s"), (6, a + " one", "s"), (7, b + " one", "s"), (8, b, "s"), (5, b, "s"), (9, "else", "s")]
+    out = near_dedup.near_groups(make(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["component_id"]) for r in out) == [(5, 5), (5, 5), (5, 5), (6, 5), (7, 5), (8, 5), (9, 9)]
+    left = exact_dedup.drop_copies(make(spark, rows)).collect()
+    assert sorted((r["doc_id"], r["text"]) for r in left) == sorted([(5, a), (5, b), (6, rows[2][1]), (7, rows[3][1]), (9, "else")])
+
+
 def test_near_groups_large_family(spark):
     """A family whose members are like the base but often not each other: hubs, then blocks."""
     rng = random.Random(9)
@@ -403,8 +413,8 @@ def brute_suffix_tree(rows, support, depth, gain):
     return out, kept
 
 
-@pytest.mark.parametrize("depth,block,chunk_bytes", [(1, 1 << 17, 1 << 25), (2, 1 << 17, 3000), (3, 40, 1000)])
-def test_suffix_tree_against_brute_force(spark, depth, block, chunk_bytes):
+@pytest.mark.parametrize("depth,block,chunk_bytes,few", [(1, 1 << 17, 1 << 25, 10**6), (2, 1 << 17, 3000, 0), (3, 40, 1000, 10**6)])
+def test_suffix_tree_against_brute_force(spark, depth, block, chunk_bytes, few):
     """Blocks that cut texts, chunks and depths give the scores of the definition; runs seen once are counted too."""
     rng = random.Random(31)
     follow = {p: rng.randrange(8) for p in itertools.product(range(8), repeat=2)}
@@ -417,7 +427,7 @@ def test_suffix_tree_against_brute_force(spark, depth, block, chunk_bytes):
     want, kept = brute_suffix_tree(rows, 20, depth, 0.01)
     assert any(len(c) == min(depth, 2) for c in kept)
     df = make(spark, rows).repartition(3)
-    got = collect(suffix_tree.score(df, chunk_bytes=chunk_bytes, support=20, depth=depth, block=block))
+    got = collect(suffix_tree.score(df, chunk_bytes=chunk_bytes, support=20, depth=depth, block=block, few=few))
     for i, s in want.items():
         assert abs(got[i]["score"] - s) < 1e-6, i
     again = collect(suffix_tree.score(df, chunk_bytes=chunk_bytes, model=suffix_tree.fit(df, support=20, depth=depth), block=block))
