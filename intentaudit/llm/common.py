@@ -164,7 +164,28 @@ def settled(df: DataFrame) -> DataFrame:
     return sized(materialize(df))
 
 
+def free(df: DataFrame, name: str) -> str:
+    """The name, with underscores added until no column of the frame has it (in any case)."""
+    taken = {c.lower() for c in df.columns}
+    while name.lower() in taken:
+        name += "_"
+    return name
+
+
 def without(docs: DataFrame, gone: DataFrame, id_col: str = "doc_id") -> DataFrame:
     """The documents whose identifier is not in ``gone`` (one column); all columns stay."""
-    gone = gone.toDF("__gone").distinct()
-    return docs.join(sized(gone), F.col(id_col).eqNullSafe(F.col("__gone")), "left_anti")
+    name = free(docs, "__gone")
+    return docs.join(sized(gone.toDF(name).distinct()), F.col(id_col).eqNullSafe(F.col(name)), "left_anti")
+
+
+def keyed(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> tuple[DataFrame, str]:
+    """The documents with a key column, and its name: the identifier where one row has it, else a hash of identifier and text, so that different texts under one identifier are documents of their own and repeated rows share a key."""
+    key = free(docs, "__key")
+    ids = F.col(id_col).cast("long")
+    again = materialize(docs.groupBy(ids.alias("i")).count().filter("count > 1 or i is null").select("i"))
+    if again.isEmpty():
+        return docs.withColumn(key, ids), key
+    twice = free(docs, "__twice")
+    marked = docs.join(sized(again.select(F.col("i").alias(twice), F.lit(True).alias(f"{twice}y"))), ids.eqNullSafe(F.col(twice)), "left")
+    own = F.xxhash64(F.coalesce(F.col(id_col).cast("string"), F.lit("")), F.coalesce(F.col(text_col).cast("string"), F.lit("")))
+    return marked.withColumn(key, F.when(F.col(f"{twice}y"), own).otherwise(ids)).drop(twice, f"{twice}y"), key

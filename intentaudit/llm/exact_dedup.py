@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import blobs, map_batches, text_of
+from .common import blobs, free, map_batches, text_of
 
 BUDGET = 48 << 20
 
@@ -203,9 +203,11 @@ def exact_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 
 
 def drop_copies(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", keep: str = "min") -> DataFrame:
-    """The documents that stay, all columns, one row per group."""
-    stay = exact_groups(docs, id_col, text_col, keep).filter("kept").select(F.col("doc_id").alias("__id")).distinct()
-    return docs.join(stay, F.col(id_col).cast("long").eqNullSafe(F.col("__id")), "left_semi").dropDuplicates([id_col])
+    """The documents that stay, all columns, one row per group of equal texts, whatever identifiers they share."""
+    sha, owner = free(docs, "__sha"), free(docs, "__owner")
+    stay = exact_groups(docs, id_col, text_col, keep).filter("kept").select(F.col("text_sha256").alias(sha), F.col("doc_id").alias(owner)).distinct()
+    own = (F.sha2(text_of(text_col), 256) == F.col(sha)) & F.col(id_col).cast("long").eqNullSafe(F.col(owner))
+    return docs.join(stay, own).dropDuplicates([sha]).drop(sha, owner)
 
 
 ORACLE = """

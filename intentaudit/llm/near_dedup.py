@@ -148,24 +148,35 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
     two texts of just 0.75 is missed by all 32 bands with probability 5e-6 and
     pruned with at most the chosen miss probability. Documents without words
     are linked with nothing. Null texts are empty, null identifiers stand
-    alone, repeated rows share one class. Extra columns are ignored.
+    alone, repeated rows share one class; different texts under one identifier are texts of their own, and
+    their rows have the same doc_id in the result. An empty table gives an empty result; a very long text is shingled whole. Extra columns are ignored.
     """
-    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).cast("binary").alias("text"))
+    base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).cast("binary").alias("text")).withColumn("hash", F.xxhash64("text"))
 
     def sketch(batches):
         ids = WordIds()
         for b in batches:
             sets = [shingle_hashes(t, ids, width) for t in blobs(b.column("text"))]
             yield pa.record_batch([
-                b.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()),
+                b.column("doc_id"), b.column("hash"), pa.array([len(s) for s in sets], pa.int64()),
                 pa.array([hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets], pa.binary()),
                 pa.array([signature(s).astype("<u4").tobytes() if len(s) else b"" for s in sets], pa.binary()),
-            ], ["doc_id", "n_shingles", "set_key", "sig"])
+            ], ["doc_id", "hash", "n_shingles", "set_key", "sig"])
 
-    docs_ = materialize(map_batches(base, sketch, "doc_id long, n_shingles long, set_key binary, sig binary"))
+    docs_ = materialize(map_batches(base, sketch, "doc_id long, hash long, n_shingles long, set_key binary, sig binary"))
     full = docs_.filter("n_shingles > 0 and doc_id is not null")
-    reps = full.groupBy("set_key").agg(F.min("doc_id").alias("rep"))
-    one = materialize(full.join(reps, "set_key").filter("doc_id = rep").select("rep", "n_shingles", "sig").dropDuplicates(["rep"]))
+    reps = full.groupBy("set_key").agg(F.min(F.struct("doc_id", "hash")).alias("row")).select("set_key", F.col("row.doc_id").alias("rep"), F.col("row.hash").alias("hash"))
+    # different texts under one identifier: each class is named by its set, and gets its smallest identifier at the end
+    again = materialize(reps.groupBy("rep").count().filter("count > 1").select(F.col("rep").alias("twice")))
+    repeated = not again.isEmpty()
+    first = F.col("rep")
+    if repeated:
+        named = F.xxhash64("set_key")
+        reps = reps.join(sized(again), F.col("rep") == F.col("twice"), "left").withColumn("first", first).withColumn("rep", F.when(F.col("twice").isNotNull(), named).otherwise(F.col("rep"))).drop("twice")
+    else:
+        reps = reps.withColumn("first", first)
+    reps = materialize(reps)
+    one = materialize(full.select("doc_id", "hash", "set_key", "n_shingles", "sig").join(reps.withColumnRenamed("hash", "own"), "set_key").filter("doc_id = first and hash = own").select("rep", "doc_id", "hash", "n_shingles", "sig").dropDuplicates(["rep"]))
 
     def bands(batches):
         for b in batches:
@@ -200,7 +211,8 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
 
     # only documents that share a bucket are ever compared by text
     met = sized(shared.select("rep").distinct())
-    texts = materialize(base.join(met, F.col("doc_id") == F.col("rep"), "left_semi").select(F.col("doc_id").alias("rep"), "text").dropDuplicates(["rep"]))
+    wanted = sized(one.join(met, "rep", "left_semi").select("rep", "doc_id", "hash"))
+    texts = materialize(base.join(wanted, ["doc_id", "hash"]).select("rep", "text").dropDuplicates(["rep"]))
 
     def components(df, comps):
         return df.join(comps.select(F.col("node").alias("rep"), "component"), "rep", "left").withColumn("component", F.coalesce("component", "rep"))
@@ -243,7 +255,13 @@ def near_groups(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text",
         late = late.union(_family_links(many, one, texts, width))
     comps = connected(links.union(late))
 
-    classes = reps.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", F.coalesce("component", "rep").alias("component_id"))
+    classes = reps.join(comps.withColumnRenamed("node", "rep"), "rep", "left").select("set_key", "first", F.coalesce("component", "rep").alias("component_id"))
+    if repeated:
+        classes = materialize(classes)
+        least = classes.groupBy("component_id").agg(F.min("first").alias("least"))
+        classes = classes.join(least, "component_id").select("set_key", F.col("least").alias("component_id"))
+    else:
+        classes = classes.drop("first")
     linked = full.select("doc_id", "n_shingles", "set_key").join(classes, "set_key").select("doc_id", "n_shingles", "component_id")
     alone = docs_.filter("n_shingles = 0 or doc_id is null").select("doc_id", "n_shingles", F.col("doc_id").alias("component_id"))
     return linked.union(alone).withColumn("kept", F.col("doc_id").eqNullSafe(F.col("component_id")))
