@@ -305,6 +305,53 @@ def test_chain_marginals_against_enumeration():
         assert np.allclose(got[r], on / total)
 
 
+def test_long_texts_have_the_same_marginals():
+    rng = np.random.default_rng(2)
+    trans = np.array([[1.3, -0.7], [0.2, 0.4]])
+    for n in (1, 2, 3, 16, 17, 250, 4099):
+        e = rng.normal(-1, 3, n)
+        want = toxicity.marginals(e[None, :], np.array([n]), trans)[0]
+        assert np.allclose(toxicity.long_marginals(e, trans), want, atol=1e-9), n
+    rows = [rng.normal(size=n) for n in (0, 5, 300, 9000, 40)]
+    for got, e in zip(toxicity.document_marginals(rows, trans, cells=600, long=1000), rows):
+        assert len(got) == len(e) and (not len(e) or np.allclose(got, toxicity.marginals(e[None, :], np.array([len(e)]), trans)[0], atol=1e-9))
+
+
+def test_fit_leaves_padding_out():
+    """On a separable toy with windows of all lengths, padded with the toxic feature, the fitted chain finds the tags."""
+    rng = np.random.default_rng(5)
+    windows = rng.integers(1, 50, (400, 6, 4))
+    windows[:, :, 0] = np.where(rng.random((400, 6)) < 0.2, 7, 9)
+    tags = windows[:, :, 0] == 7
+    lengths = rng.integers(1, 7, 400)
+    windows[np.arange(6) >= lengths[:, None]] = 7  # padding that would mislead
+    w, b, trans = toxicity.fit_chain(windows, tags & (np.arange(6) < lengths[:, None]), lengths, epochs=30)
+    p = toxicity.document_marginals([w[f[:n]].sum(axis=1) + b for f, n in zip(windows, lengths)], trans)
+    right = sum(((q > 0.5) == t[:n]).sum() for q, t, n in zip(p, tags, lengths))
+    assert right >= 0.97 * lengths.sum(), right / lengths.sum()
+
+
+def test_toxicity_of_short_and_very_long_texts(spark):
+    """Comments shorter than a window teach the model, and one toxic word stands out in two million."""
+    rng = random.Random(6)
+    words = [f"word{i}" for i in range(60)]
+    rows, labels = [], []
+    for i in range(400):
+        w = [rng.choice(words) for _ in range(rng.randint(2, 9))]
+        if i % 2:
+            w[rng.randrange(len(w))] = rng.choice(["idiot", "scum", "moron"])
+        rows.append((i, " ".join(w), "s"))
+        labels.append((i, 1, i % 2))
+    long = [words[i % 60] for i in range(2_000_000)]
+    long[1_234_567] = "idiot"
+    model = toxicity.train(make(spark, rows), spark.createDataFrame(labels, LABELS))
+    out = collect(toxicity.score(make(spark, [*rows, (10_000, " ".join(long), "s")]), model))
+    held = [i for i in range(400) if zlib.crc32(str(i).encode()) % 5 == 0]
+    assert sum(out[i]["predicted"] == i % 2 for i in held) >= 0.97 * len(held)
+    start = len(" ".join(long[:1_234_567])) + 1
+    assert out[10_000]["spans"] == f"{start}:{start + 5}"
+
+
 def test_line_dedup(docs, empty):
     rows = docs.filter("doc_id is not null").dropDuplicates(["doc_id"]).orderBy("doc_id").collect()
     seen, want = [], {}
