@@ -415,7 +415,7 @@ ORACLES |= {
     "bootstrap_benefit": _boot(f"{SCORES}, {_diff('correct')}, {CLUSTER}"),
     "retrospective_power": _power(W, "x", "program_id"),
     "retrospective_power_clusters": _power(f"{W}, {CLUSTER}", "y", "prefix_sha"),
-    "wrong_vs_none_decision": f"""WITH {W}, {_wilcoxon('x', 'form, seed', 'less')}, {_wilcoxon('x', 'form, seed', 'greater', 'pratt', 'u')}, c AS (SELECT form, mean_d < 0 AS way, coalesce(t.p < 0.05, false) AS sig, coalesce(u.p < 0.05, false) AS rev, t.n - t.n_zero < 0.15 * t.n AS fl FROM t JOIN u USING (form, seed, n, n_zero, n_pos, n_neg, mean_d)),
+    "wrong_vs_none_decision": f"""WITH {W}, {_wilcoxon('x', 'form, seed', 'less')}, {_wilcoxon('x', 'form, seed', 'greater', 'pratt', 'u')}, c AS (SELECT form, t.mean_d < 0 AS way, coalesce(t.p < 0.05, false) AS sig, coalesce(u.p < 0.05, false) AS rev, t.n - t.n_zero < 0.15 * t.n AS fl FROM t JOIN u USING (form, seed)),
       v AS (SELECT count(*) FILTER (form = 'text' AND way) AS text_direction, count(*) FILTER (form = 'text' AND way AND sig) AS text_significant, count(*) FILTER (form = 'token' AND way) AS token_direction, bool_or(rev) AS veto, count(*) FILTER (form = 'text' AND fl) AS text_flagged, count(*) FILTER (form = 'token' AND fl) AS token_flagged, count(*) FILTER (form = 'text' AND way AND NOT fl) AS text_direction_unflagged, count(*) FILTER (form = 'text' AND way AND sig AND NOT fl) AS text_unflagged, count(*) FILTER (form = 'token' AND way AND NOT fl) AS token_unflagged FROM c),
       gd AS (SELECT avg(e) AS guardrail FROM (SELECT profile, sum(round(d * 6)) / (6 * count(*)) AS e FROM x WHERE form = 'text' GROUP BY profile HAVING count(DISTINCT program_id) >= 15))
       SELECT v.*, round(guardrail, 9) AS guardrail, CASE WHEN text_flagged >= 2 OR token_flagged >= 2 THEN 'underpowered' WHEN least(text_direction, text_significant, token_direction, text_direction_unflagged, text_unflagged, token_unflagged) >= 2 AND NOT veto AND coalesce(guardrail < 0, false) THEN 'REPLICATED' ELSE 'clean negative' END AS verdict FROM v, gd""",
