@@ -37,6 +37,7 @@ CHUNK_BYTES = 8 << 20
 BLOCK, PART = 1 << 17, 1_500_000  # tokens of a block, and about those of a range of codes whose counts are settled at a time
 FEW = 1_000_000  # retained contexts that are broadcast, 16 MB
 BATCH = 2 << 20  # bytes of the arrays that a task sends on at once
+SPREAD = 128
 VOCABULARY, SLICE = 1 << 16, 4 << 20  # distinct words of a block, bytes of a long text split at once
 BITS = 23
 END = b"\n"  # no word holds a line feed
@@ -241,10 +242,10 @@ def _share(codes: np.ndarray, n: int) -> np.ndarray:
 
 
 def part_of(ctx: np.ndarray, up: np.ndarray, depth: int, parts: int) -> np.ndarray:
-    """The part that settles a run: words by their code, longer runs by their context, which a 64th of the parts share by the last words, so that no context fills a part."""
+    """The part that settles a run: words by their code, longer runs by their context, which one in SPREAD parts share by the last words, so that a context of any size stays a bounded multiple of a part."""
     if not depth:
         return _share(up, parts)
-    spread = -(-parts // 64)
+    spread = -(-parts // SPREAD)
     return (_share(ctx, parts) + _share(up, spread) * (parts // spread)) % parts
 
 
@@ -381,7 +382,7 @@ def _retained(grams: DataFrame, contexts: DataFrame, suffixes: DataFrame, gain:
     sizes = sized(materialize(rows.join(contexts, "ctx").select("ctx", "total", (F.col("types") + F.col("total") - F.col("twice")).alias("kinds"), (F.col("total") - F.col("twice")).alias("once"))))
     p = F.col("m") / F.col("all")
     own = (F.col("n") - 1 + F.col("kinds") * p) / (F.col("total") - 1 + F.col("kinds"))
-    rated = grams.join(sizes, "ctx").join(suffixes, "up").withColumn("l", F.ln(own / p))
+    rated = grams.join(suffixes, "up").join(sizes, "ctx").withColumn("l", F.ln(own / p))  # the shuffled side stays narrow
     each = rated.groupBy("ctx").agg(F.first("total").alias("total"), F.first("kinds").alias("kinds"), F.first("once").alias("once"), F.sum(F.col("n") * F.col("l")).alias("div"), F.sum(F.col("n") * F.col("l") * F.col("l")).alias("square"))
     single = F.ln(F.col("kinds") / (F.col("total") - 1 + F.col("kinds")))
     each = each.withColumn("div", F.col("div") + F.col("once") * single).withColumn("square", F.col("square") + F.col("once") * single * single)
