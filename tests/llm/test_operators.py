@@ -162,10 +162,12 @@ def test_fingerprints(docs, empty):
         nxt = (rows[(i + 1) % len(rows)]["text"] or "") if len(rows) > 1 else ""
         t = r["text"] or ""
         half = len(t) // 2
-        fps.setdefault(r["doc_id"], []).append((len(t), hashlib.sha256((t[: len(t) - half] + nxt[:half]).encode()).hexdigest(), weighted_sampling.fingerprint(t.encode(), ids).astype(">u4").tobytes().hex()))
+        edited = (t[: len(t) - half] + nxt[:half]).encode()
+        own, other, after = (weighted_sampling.fingerprint(x, ids) for x in (t.encode(), edited, nxt.encode()))
+        share = lambda a, b: sum(x == y for x, y in zip(a, b)) / len(a)
+        fps.setdefault(r["doc_id"], []).append((len(t), hashlib.sha256(edited).hexdigest(), own.astype(">u4").tobytes().hex(), other.astype(">u4").tobytes().hex(), share(own, other), share(own, after)))
     for r in out:
-        assert (r["n_chars"], r["edited_sha256"], r["fingerprint"]) in fps[r["doc_id"]]
-        assert 0 <= r["near_edited"] <= 1 and 0 <= r["near_next"] <= 1
+        assert (r["n_chars"], r["edited_sha256"], r["fingerprint"], r["edited_fingerprint"], r["near_edited"], r["near_next"]) in fps[r["doc_id"]]
     assert weighted_sampling.edited_likeness(empty).count() == 0
     one = weighted_sampling.fingerprints(docs).collect()
     assert len(one) == len(rows)
@@ -225,6 +227,32 @@ def test_secrets(spark, docs, empty):
     assert secret_scan.scan(empty).count() == 0
 
 
+def test_format_spans_against_brute_force(spark):
+    """Every token of a learned format outside the base spans is reported at its place, whatever stands around it."""
+    rng = random.Random(8)
+    pick = lambda alphabet, n: "".join(rng.choice(alphabet) for _ in range(n))
+    keys = [pick("ABCDEFGHIJKLMNOPQRSTUVWXYZ", 4) + "." + pick("0123456789", 4) for _ in range(160)]
+    rows = [(i, f"héllo some words {pick('abcdefghij', 9)} token={k} and more", "s") for i, k in enumerate(keys[:120])]
+    rows += [(200 + i, f"é {k} x9 {pick('klmnop', 12)}7 {'A1' * 30} end {k}!", "s") for i, k in enumerate(keys[120:])]
+    df = make(spark, rows)
+    formats = secret_scan.learn(df)
+    found = 0
+    for r in secret_scan.scan(df, formats).collect():
+        text = dict((i, t) for i, t, _ in rows)[r["doc_id"]]
+        base = [tuple(map(int, s.split(":")[1:])) for s in brute_spans(text)]
+        want = []
+        for m in re.finditer("[A-Za-z0-9+/_.=-]+", text):
+            w = m[0]
+            if len(w) >= formats.least and any(c.isdigit() for c in w) and any(c.isalpha() for c in w) and not any(a < m.end() and m.start() < b for a, b in base):
+                s = secret_scan.symbols(w.encode())
+                plain = formats.plain.score(s)
+                if any(k.score(s) >= formats.floor[name] and k.score(s) > plain + 0.1 for name, k in formats.models.items()):
+                    want.append(f"format:{m.start()}:{m.end()}")
+        assert [s for s in r["spans"].split(",") if s.startswith("format")] == want and r["n_format"] == len(want)
+        found += len(want)
+    assert found
+
+
 def test_formats_are_learned():
     rng = random.Random(3)
     hexes = [("".join(rng.choice("0123456789abcdef") for _ in range(40))).encode() for _ in range(200)]
