@@ -7,7 +7,7 @@ from intentaudit.plans import oracles, workloads
 
 DIR = "/root/testdata/sf0.001"
 TABLES = "region nation customer supplier part orders lineitem events documents embeddings pages benchmark labels conversations".split()
-CHECKED = ["psi_bits", "quota_draw", "wrong_headers", "score_rows", "paired_wilcoxon", "dissociation", "uptake", "arm_levels", "detector_agreement", "contamination", "asof_orders", "interval_pairs", "stream_windows"]
+CHECKED = ["psi_bits", "quota_draw", "wrong_headers", "score_rows", "paired_wilcoxon", "dissociation", "uptake", "outcome", "wrong_vs_none_decision", "bootstrap_exact", "decode_prefix", "nll", "page_audit", "integrity", "arm_levels", "detector_agreement", "contamination", "asof_orders", "interval_pairs", "stream_windows"]
 
 
 def norm(df):
