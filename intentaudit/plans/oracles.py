@@ -103,6 +103,13 @@ bits AS (SELECT program, {_phi('program')} AS intent5 FROM (SELECT DISTINCT prog
 prog AS MATERIALIZED (SELECT program_id, l_orderkey, n_blocks, program, sha256(program) AS program_sha, CASE WHEN {_hex('l_orderkey::VARCHAR')} % 10 < 8 THEN 'train' ELSE 'held' END AS split, intent5, (intent5 & 15)::INT AS intent4, {_profile('intent5')} AS profile,
   regexp_replace(regexp_replace(lower(program), 'sheet [0-9]+', 'sheet', 'g'), '[ \t]+', ' ', 'g') AS loose FROM raw JOIN bits USING (program))"""
 
+#: CTEs from counts(profile, pool) to quota(profile, quota).
+QUOTA = f"""{_ALLOC},
+rate AS (SELECT (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0)) AS left_, (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0))::DOUBLE / sum(pool) FILTER (pin IS NULL) AS r FROM al{_ROUNDS}),
+fl AS (SELECT profile, pool, pin, floor(pool * r)::BIGINT AS whole, pool * r - floor(pool * r) AS frac, left_ FROM al{_ROUNDS}, rate),
+quota AS (SELECT profile, coalesce(pin, whole + CASE WHEN row_number() OVER (PARTITION BY pin IS NULL ORDER BY frac DESC, profile) <= left_ - sum(CASE WHEN pin IS NULL THEN whole END) OVER () THEN 1 ELSE 0 END) AS quota FROM fl)"""
+
+
 def _cut(pct: int) -> str:
     return f"substr(program, 1, floor(length(program) * {pct} / 100)::INT)"
 
@@ -112,10 +119,7 @@ def _sample(pct: int = 40) -> str:
 clean AS (SELECT * FROM prog h WHERE split = 'held' AND NOT EXISTS (SELECT 1 FROM prog t WHERE t.split = 'train' AND t.program = h.program) AND NOT EXISTS (SELECT 1 FROM prog t WHERE t.split = 'train' AND t.loose = h.loose)),
 pool AS MATERIALIZED (SELECT * FROM clean WHERE program_id IN (SELECT min(program_id) FROM clean GROUP BY program) AND intent4 > 0),
 counts AS (SELECT profile, count(*) AS pool FROM pool GROUP BY 1),
-{_ALLOC},
-rate AS (SELECT (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0)) AS left_, (least(400, (SELECT sum(pool) FROM counts)) - coalesce(sum(pin), 0))::DOUBLE / sum(pool) FILTER (pin IS NULL) AS r FROM al{_ROUNDS}),
-fl AS (SELECT profile, pool, pin, floor(pool * r)::BIGINT AS whole, pool * r - floor(pool * r) AS frac, left_ FROM al{_ROUNDS}, rate),
-quota AS (SELECT profile, coalesce(pin, whole + CASE WHEN row_number() OVER (PARTITION BY pin IS NULL ORDER BY frac DESC, profile) <= left_ - sum(CASE WHEN pin IS NULL THEN whole END) OVER () THEN 1 ELSE 0 END) AS quota FROM fl),
+{QUOTA},
 sample AS MATERIALIZED (SELECT p.*, {_cut(pct)} AS prefix, sha256({_cut(pct)}) AS prefix_sha FROM (
   SELECT *, row_number() OVER (PARTITION BY profile ORDER BY md5('20260805:' || program_id), program_id) AS rn FROM pool) p JOIN quota USING (profile) WHERE rn <= quota)"""
 
@@ -386,6 +390,8 @@ ORACLES |= {
       e AS (SELECT 0::BIGINT AS i, (SELECT n FROM tot) AS rest, ''::VARCHAR AS profile, 0::BIGINT AS given UNION ALL SELECT o.i, rest - least(pool, rest // (m - o.i + 1)), o.profile, least(pool, rest // (m - o.i + 1)) FROM e JOIN o ON o.i = e.i + 1, tot),
       w AS (SELECT profile, pool, floor(pool * (n::DOUBLE / a))::BIGINT AS whole, pool * (n::DOUBLE / a) - floor(pool * (n::DOUBLE / a)) AS frac, n FROM counts, tot), p AS (SELECT profile, whole + CASE WHEN row_number() OVER (ORDER BY frac DESC, profile) <= n - sum(whole) OVER () THEN 1 ELSE 0 END AS share FROM w)
       SELECT o.profile, pool, e.given AS equal, share::BIGINT AS proportional FROM o JOIN e ON o.profile = e.profile AND e.i > 0 JOIN p ON p.profile = o.profile""",
+    "document_draw": f"""WITH pool AS (SELECT doc_id::VARCHAR AS program_id, coalesce(lang, '') || ':' || CASE WHEN regexp_matches(coalesce(text, ''), '(^|\\n)Licensed under') THEN 'notice' ELSE 'plain' END AS profile FROM documents), counts AS (SELECT profile, count(*) AS pool FROM pool GROUP BY 1), {QUOTA}
+      SELECT program_id AS doc_id, profile FROM (SELECT *, row_number() OVER (PARTITION BY profile ORDER BY md5('20260805:' || program_id), program_id) AS rn FROM pool) JOIN quota USING (profile) WHERE rn <= quota""",
     "sample_overlap": f"WITH {SAMPLE}, first AS (SELECT program_sha, profile FROM prog WHERE split = 'held' AND intent4 > 0 ORDER BY md5('initial:' || program_id), program_id LIMIT 100) SELECT count(*) AS n, count(*) FILTER (program_sha IN (SELECT program_sha FROM first)) AS shared, count(DISTINCT CASE WHEN profile NOT IN (SELECT profile FROM first) THEN profile END) AS new_profiles, count(*) FILTER (profile NOT IN (SELECT profile FROM first)) AS in_new_profiles FROM sample",
     "headers_rendered": f"WITH {SAMPLE}, b AS (SELECT program_id, intent5 AS own, {_corrupt(1)} AS corrupt1, {_corrupt(2)} AS corrupt2, {_RANDOM} AS random, {_pick('drop', 10000)} < 5000 AS gone FROM sample) SELECT program_id, {', '.join(f'{_render(k, f)} AS {k}_{f}' for k in ('own', 'corrupt1', 'corrupt2', 'random') for f in ('text', 'token'))}, CASE WHEN gone THEN '' ELSE {_render('own', 'text')} END AS dropped FROM b",
     "shuffled_plan": f"WITH {PROGRAMS} SELECT count(*) AS n, 0::BIGINT AS kept, 0::BIGINT AS changed FROM prog WHERE split = 'train' AND intent5 > 0",

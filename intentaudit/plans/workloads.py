@@ -186,6 +186,13 @@ def quota_comparators(spark, d):
     return sampling.comparators(sampling.profile_counts(pool(spark, d)))
 
 
+def document_draw(spark, d):
+    """The same stratified draw over documents, by language and whether a notice opens a line."""
+    notice = F.coalesce("text", F.lit("")).rlike(r"(^|\n)Licensed under")
+    docs = table(spark, d, "documents").select(F.col("doc_id").cast("string").alias("program_id"), F.concat_ws(":", F.coalesce("lang", F.lit("")), F.when(notice, "notice").otherwise("plain")).alias("profile"))
+    return sampling.draw(docs, sampling.quotas(docs)).select(F.col("program_id").alias("doc_id"), "profile")
+
+
 def sample_overlap(spark, d):
     return sampling.sample_overlap(sample(spark, d), earlier(spark, d))
 
@@ -753,7 +760,7 @@ def stream_sessions(spark, d):
 
 
 NAMES = (
-    "corpus_programs arc_vertices outer_loops phi_bits psi_bits dedup_exact dedup_loose dedup_key_report pool_steps leak_filter contamination pool_agree length_profile profile_counts quota_draw quota_comparators "
+    "corpus_programs arc_vertices outer_loops phi_bits psi_bits dedup_exact dedup_loose dedup_key_report pool_steps leak_filter contamination pool_agree length_profile profile_counts quota_draw quota_comparators document_draw "
     "natural_weights sample_facts sample_overlap headers_rendered header_vocab derangement_plan shuffled_plan wrong_headers chance_match marginal_identity retrieved_header prefix_clusters prefix_leakage "
     "prompts_rendered first_occurrence cap_calibration fit_counts_m fit_counts_r fit_counts_u nll decode_greedy decode_prefix decode_guided truncation decoded_levels integrity generations score_rows "
     "effective_size arm_levels detector_agreement reference_self_score multi_part recovery output_identity paired_wilcoxon cluster_wilcoxon zero_handling sign_flip largest_class "
