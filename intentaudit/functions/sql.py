@@ -7,7 +7,8 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from ..schema import PRIMARY
+from ..schema import FEATURES, PRIMARY
+from .geometry import solid_of
 
 
 def register(spark: SparkSession) -> None:
@@ -16,6 +17,10 @@ def register(spark: SparkSession) -> None:
     spark.sql("CREATE OR REPLACE TEMPORARY FUNCTION intent_size(intent INT) RETURNS INT RETURN bit_count(intent & 15)")
     words = " || ".join(f"CASE WHEN (intent & {1 << i}) <> 0 THEN '+{n}' ELSE '' END" for i, n in enumerate(PRIMARY))
     spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION profile_of(intent INT) RETURNS STRING RETURN substr({words}, 2)")
+    spoken = ", ".join(f"CASE WHEN (intent & {1 << b}) <> 0 THEN '{w}' END" for _, b, _, w in FEATURES)
+    marked = ", ".join(f"CASE WHEN (intent & {1 << b}) <> 0 THEN '<{n}>' END" for n, b, _, _ in FEATURES)
+    spark.sql(f"CREATE OR REPLACE TEMPORARY FUNCTION render_header(intent INT, form STRING) RETURNS STRING RETURN CASE WHEN coalesce(intent, 0) = 0 THEN '' WHEN form = 'token' THEN concat_ws(' ', '<WANT>', {marked}, '</WANT>') ELSE concat('# wants: ', concat_ws(', ', {spoken})) END")
+    spark.udf.register("execute_program", solid_of)
     spark.udtf.register("explode_features", ExplodeFeatures)
     spark.udf.register("wilcoxon_z", wilcoxon_z)
 

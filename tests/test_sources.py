@@ -57,6 +57,8 @@ def test_sql_surface(spark):
     sql.register(spark)
     r = spark.sql("SELECT adherence6(5, 1) AS a, adherence6(16, 1) AS e, intent_size(21) AS n, profile_of(6) AS p").first()
     assert (r["a"], r["e"], r["n"], r["p"]) == (3, None, 2, "NGON+THIN")
+    h = spark.sql("SELECT render_header(5, 'text') AS t, render_header(5, 'token') AS o, render_header(0, 'text') AS e, execute_program('sheet 0\\ndisc 5\\nraise 10').n_solids AS n, execute_program('x').ok AS bad").first()
+    assert (h["t"], h["o"], h["e"], h["n"], h["bad"]) == ("# wants: circle, thin", "<WANT> <CIRCLE> <THIN> </WANT>", "", 1, False)
     assert spark.sql("SELECT * FROM explode_features(5, 4)").filter("intended and realized").first()["feature"] == "THIN"
 
 
