@@ -43,3 +43,8 @@ def test_stream_matches_batch(spark, tmp_path):
     q = stream.writeStream.outputMode("complete").format("memory").queryName("w").trigger(availableNow=True).option("checkpointLocation", str(tmp_path / "ck")).start()
     q.awaitTermination(120)
     assert sorted(map(tuple, spark.table("w").collect())) == sorted(map(tuple, monitor.window_counts(ev).collect()))
+
+
+def test_manifest_counts_prompts_of_the_sample(spark):
+    rows = workloads.QUERIES["job_manifest"](spark, DIR).collect()
+    assert len(rows) == 21 and len({r["n"] for r in rows}) == 1 and rows[0]["n"] > 0
