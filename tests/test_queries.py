@@ -2,6 +2,7 @@
 
 import duckdb
 import pytest
+from pyspark.sql import functions as F
 
 from intentaudit.plans import oracles, workloads
 
@@ -48,3 +49,25 @@ def test_stream_matches_batch(spark, tmp_path):
 def test_manifest_counts_prompts_of_the_sample(spark):
     rows = workloads.QUERIES["job_manifest"](spark, DIR).collect()
     assert len(rows) == 21 and len({r["n"] for r in rows}) == 1 and rows[0]["n"] > 0
+
+
+def test_second_decoding_deals_training_rows_without_a_shuffle(spark, monkeypatch):
+    from intentaudit.operators import generator
+
+    plans, complete = [], generator.complete
+
+    def spy(prompt, train):
+        plans.append(train._jdf.queryExecution().executedPlan().toString())
+        return complete(prompt, train)
+
+    train = workloads.training(spark, DIR)
+    size = spark.conf.get("spark.sql.files.maxPartitionBytes")
+    monkeypatch.setattr(generator, "complete", spy)
+    monkeypatch.setattr(workloads, "scores", lambda s, d: complete(workloads.prompts_of(s, d), train).withColumn("adh6", F.lit(0)))
+    spark.conf.set("spark.sql.files.maxPartitionBytes", "1k")
+    try:
+        assert train.rdd.getNumPartitions() > 1
+        workloads.run_agreement(spark, DIR)
+    finally:
+        spark.conf.set("spark.sql.files.maxPartitionBytes", size)
+    assert "Exchange" not in plans[0]
