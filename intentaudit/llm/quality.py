@@ -16,9 +16,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BINS, WordIds, blobs, bounded_sample, map_batches, materialize, text_of, uniform
+from .common import BINS, WordIds, blobs, map_batches, materialize, text_of, uniform
 
-BUCKETS, SMOOTH, LABELLED, SEED = 1 << 14, 1.0, 200_000, "gumbel"
+BUCKETS, SMOOTH, SEED = 1 << 14, 1.0, "gumbel"
 _TOKEN = re.compile(rb"[A-Za-z0-9_\x80-\xff]+|[!-/:-@\[-^`{-~]+")
 _MIX = np.uint64(0x9E3779B97F4A7C15)
 
@@ -91,16 +91,15 @@ def top_k(df: DataFrame, key: str, k: int, tie: str, levels: int = 2) -> DataFra
     return df.withColumn("kept", below).drop("__x")
 
 
-def resample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int | None = None, buckets: int = BUCKETS, labelled: int = LABELLED, seed: str = SEED) -> DataFrame:
+def resample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int | None = None, buckets: int = BUCKETS, seed: str = SEED) -> DataFrame:
     """One row per document: doc_id, log_weight, gumbel_key, kept.
 
-    The target model learns from at most ``labelled`` documents with quality 1
-    (the smallest by md5), the raw model from all documents. Null texts count as
+    The target model learns from all documents with quality 1, the raw model from all documents. Null texts count as
     empty and weigh 0. Rows that share an identifier share the noise. With
     no labelled document every weight is 0 and all are kept. An empty table gives an empty result.
     """
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).cast("binary").alias("text"))
-    good = bounded_sample(labels.filter("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct(), labelled, seed, "doc_id")
+    good = labels.filter("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
     target = bucket_counts(base.join(good, "doc_id", "left_semi").select("text"), buckets)
     raw = bucket_counts(base.select("text"), buckets)
     ratio = log_ratio(target, raw) if target.sum() else np.zeros(buckets)
