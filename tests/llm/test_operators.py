@@ -406,6 +406,64 @@ def test_line_dedup(docs, empty):
     assert "Python" not in plan and "Pandas" not in plan and "MapInArrow" not in plan
 
 
+def test_quality_learns_from_all_labels():
+    """The target model has no bound on its labelled documents."""
+    import inspect
+
+    assert "labelled" not in inspect.signature(quality.resample).parameters and not hasattr(quality, "bounded_sample")
+
+
+def removed_lines(rows):
+    """Brute force: (did, line_no) of the lines like an earlier one."""
+    seen, out = [], set()
+    for did, text in sorted(rows):
+        for i, text_line in enumerate(text.split("\n")):
+            w = re.findall(r"[^\x20\x09-\x0D]+", text_line.lower())
+            s = {tuple(w[k : k + 5]) for k in range(len(w) - 4)}
+            if s and any(4 * len(s & x) >= 3 * len(s | x) for x in seen):
+                out.add((did, i))
+            if s:
+                seen.append(s)
+    return out
+
+
+def crowded_rows():
+    """Lines that share a passage but little else, some with a near copy."""
+    rng, passage = random.Random(5), " ".join(f"p{i}" for i in range(14))
+    rows = []
+    for d in range(60):
+        own = [" ".join(f"w{rng.randrange(10**6)}" for _ in range(12)) for _ in range(3)]
+        rows.append((d, "\n".join(f"{x} {passage}" for x in own) + ("\n" + f"{own[0]} {passage} z" if d % 7 == 0 else "")))
+    return rows
+
+
+def test_line_dedup_moves_crowded_tokens(spark):
+    """Crowded tokens, by counts over all lines, go behind the others without a change of the result; no sample is drawn."""
+    rows = crowded_rows()
+    df = spark.createDataFrame(rows, "did long, text string")
+    want = removed_lines(rows)
+    assert len(want) == 9
+    for limit, per_row in ((1, 0), (100, 0), (10**9, 4)):
+        got = [(r["did"], r["line_no"]) for r in line_dedup.repeated_lines(df, pairs_limit=limit, per_row=per_row).collect()]
+        assert len(got) == len(set(got)) and set(got) == want
+    assert not hasattr(line_dedup, "bounded_sample")
+
+
+def test_line_dedup_reads_likely_lines_only(spark, monkeypatch):
+    """Token sets are written only for lines whose prefixes leave room for the threshold."""
+    rows, written, write = crowded_rows(), [], line_dedup.materialize
+
+    def spy(df, *args):
+        out = write(df, *args)
+        if "tokens" in df.columns:
+            written.append(out.count())
+        return out
+
+    monkeypatch.setattr(line_dedup, "materialize", spy)
+    assert len(line_dedup.repeated_lines(spark.createDataFrame(rows, "did long, text string")).collect()) == 9
+    assert written[0] < 100
+
+
 def test_suffix_tree(docs, empty):
     rows = docs.collect()
     train = Counter()
