@@ -464,6 +464,22 @@ def test_line_dedup_reads_likely_lines_only(spark, monkeypatch):
     assert written[0] < 100
 
 
+def test_line_dedup_counts_before_it_pairs(spark, monkeypatch):
+    """Lines that share a passage, but not three quarters of their tokens, never become pairs."""
+    rows, pairs, write = crowded_rows(), [], line_dedup.materialize
+
+    def spy(df, *args):
+        out = write(df, *args)
+        if "xd" in df.columns:
+            pairs.append(out.count())
+        return out
+
+    monkeypatch.setattr(line_dedup, "materialize", spy)
+    got = {(r["did"], r["line_no"]) for r in line_dedup.repeated_lines(spark.createDataFrame(rows, "did long, text string")).collect()}
+    assert got == removed_lines(rows)
+    assert 9 <= sum(pairs) <= 40
+
+
 def test_suffix_tree(docs, empty):
     rows = docs.collect()
     train = Counter()
