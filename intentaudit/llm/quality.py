@@ -16,7 +16,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import BINS, WordIds, blobs, map_batches, materialize, text_of, uniform
+from .common import BINS, WordIds, blobs, map_batches, materialize, settled, text_of, uniform
 
 BUCKETS, SMOOTH, SEED = 1 << 14, 1.0, "gumbel"
 _TOKEN = re.compile(rb"[A-Za-z0-9_\x80-\xff]+|[!-/:-@\[-^`{-~]+")
@@ -99,7 +99,7 @@ def resample(docs: DataFrame, labels: DataFrame, id_col: str = "doc_id", text_co
     no labelled document every weight is 0 and all are kept. An empty table gives an empty result.
     """
     base = docs.select(F.col(id_col).cast("long").alias("doc_id"), text_of(text_col).cast("binary").alias("text"))
-    good = labels.filter("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct()
+    good = settled(labels.filter("quality = 1").select(F.col("doc_id").cast("long").alias("doc_id")).distinct())  # no text is shuffled where these are few
     target = bucket_counts(base.join(good, "doc_id", "left_semi").select("text"), buckets)
     raw = bucket_counts(base.select("text"), buckets)
     ratio = log_ratio(target, raw) if target.sum() else np.zeros(buckets)

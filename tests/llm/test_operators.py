@@ -480,6 +480,27 @@ def test_line_dedup_counts_before_it_pairs(spark, monkeypatch):
     assert 9 <= sum(pairs) <= 40
 
 
+def test_quality_shuffles_no_texts_for_few_labels(spark, monkeypatch):
+    """Counted labels are broadcast, whatever size Spark estimates."""
+    plans, count = [], quality.bucket_counts
+
+    def spy(texts, buckets):
+        plans.append(texts._jdf.queryExecution().executedPlan().toString())
+        return count(texts, buckets)
+
+    monkeypatch.setattr(quality, "bucket_counts", spy)
+    docs = spark.createDataFrame([(i, f"w{i % 3} x y") for i in range(30)], "doc_id long, text string")
+    labels = spark.createDataFrame([(i, i % 2) for i in range(20)], "doc_id long, quality int")
+    key = "spark.sql.autoBroadcastJoinThreshold"
+    was = spark.conf.get(key)
+    spark.conf.set(key, "-1")
+    try:
+        assert quality.resample(docs, labels).count() == 30
+    finally:
+        spark.conf.set(key, was)
+    assert len(plans) == 2 and "BroadcastHashJoin" in plans[0] and not any("SortMergeJoin" in p for p in plans)
+
+
 def test_suffix_tree(docs, empty):
     rows = docs.collect()
     train = Counter()
