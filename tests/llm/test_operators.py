@@ -480,6 +480,33 @@ def test_line_dedup_counts_before_it_pairs(spark, monkeypatch):
     assert 9 <= sum(pairs) <= 40
 
 
+def test_line_dedup_runs_stand_for_their_words(spark):
+    """Tokens of any width are equal where the words are; odd blanks, cut ends and lines shorter than a shingle included."""
+    rng = random.Random(8)
+    lines = ["".join(rng.choice("abC") + rng.choice([" ", " ", " ", "\t", "  ", "\r"]) for _ in range(rng.randint(1, 14))) for _ in range(60)] + ["", " ", "a", "\x0ba b\x0c"]
+    df = spark.createDataFrame(list(enumerate(lines)), "did long, text string")
+    for width in (1, 2, 3, 5, 6, 7):
+        got, names = {r["did"]: r["tokens"] for r in line_dedup.lines_of(df, width, 1).collect()}, {}
+        for d, text in enumerate(lines):
+            w = re.findall(r"[^\x20\x09-\x0D]+", text.lower())
+            want = {tuple(w[k : k + width]) for k in range(max(1, len(w) - width + 1))} if w else set()
+            assert len(got.get(d, [])) == len(set(got.get(d, []))) == len(want) and got.get(d, []) == sorted(got.get(d, []))
+            names.setdefault(frozenset(want), set()).add(frozenset(got.get(d, [])))
+        assert all(len(v) == 1 for v in names.values()) and len({next(iter(v)) for v in names.values()}) == len(names)
+
+
+def test_line_dedup_releases_shuffles_before_pairs(spark, monkeypatch):
+    """The shuffles of the full token sets may go before the pairs are made, those of the first pairs before the others."""
+    steps, write, release = [], line_dedup.materialize, line_dedup.release_shuffles
+    monkeypatch.setattr(line_dedup, "materialize", lambda df, *args: steps.append("pairs" if "xd" in df.columns else "sets" if "tokens" in df.columns else "") or write(df, *args))
+    monkeypatch.setattr(line_dedup, "release_shuffles", lambda s: steps.append("release") or release(s))
+    rows = crowded_rows()
+    assert {tuple(r) for r in line_dedup.repeated_lines(spark.createDataFrame(rows, "did long, text string")).collect()} == removed_lines(rows)
+    first, last = (f([i for i, s in enumerate(steps) if s == "pairs"]) for f in (min, max))
+    sets = max(i for i, s in enumerate(steps) if s == "sets")
+    assert "release" in steps[sets:first] and "release" in steps[first:last]
+
+
 def test_quality_shuffles_no_texts_for_few_labels(spark, monkeypatch):
     """Counted labels are broadcast, whatever size Spark estimates."""
     plans, count = [], quality.bucket_counts
